@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import host_rules
+from . import host_rules, mixing, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,8 +19,23 @@ def op4_host_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op5_simhash_bktree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    named = simhash.near_duplicates(docs, keep=["doc_id"])
+    return named.select("doc_id", simhash.as_hex("fp").alias("fingerprint"), "component_id")
+
+
+def op6_splitting_tree_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _table(spark, sf_dir, "documents")
+    return mixing.mix(docs, keep=["doc_id"])
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op4_host_rules": op4_host_rules}
+    return {
+        "op4_host_rules": op4_host_rules,
+        "op5_simhash_bktree": op5_simhash_bktree,
+        "op6_splitting_tree_mix": op6_splitting_tree_mix,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
