@@ -8,6 +8,7 @@ import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, types as T
 
 #: Text bytes that one Python step works on at a time; a longer single text forms a step alone.
@@ -72,7 +73,7 @@ def fresh(columns: list[str], name: str) -> str:
 def slices(batch: pa.RecordBatch, column: str | int, most: int = STEP_BYTES) -> Iterator[pa.RecordBatch]:
     """Cuts a record batch so that each part holds about `most` bytes of the column's text."""
     i = batch.schema.get_field_index(column) if isinstance(column, str) else column
-    sizes = pa.compute.fill_null(pa.compute.binary_length(batch.column(i)), 0).to_numpy(zero_copy_only=False)
+    sizes = pc.fill_null(pc.binary_length(batch.column(i)), 0).to_numpy(zero_copy_only=False)
     begin, total = 0, 0
     for k, n in enumerate(sizes.tolist()):
         if k > begin and total + n > most:
