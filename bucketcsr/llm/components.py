@@ -76,14 +76,15 @@ def _state(edges: DataFrame) -> tuple:
     return tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first())
 
 
-def connected(edges: DataFrame) -> DataFrame:
+def connected(edges: DataFrame, contracted: bool = False) -> DataFrame:
     """edges(u, v: long) -> (node, root) for every node with an edge; root is the smallest node it reaches.
 
     Rows with a null end and loops are ignored; repeated and reversed edges count once; no edges: no rows.
+    contracted: each partition of edges is a forest already, so the first pass is left out.
     """
     spark = edges.sparkSession
     oriented = edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
-    now, path = store_at(oriented.mapInArrow(_contract, "u long, v long"))
+    now, path = store_at(oriented if contracted else oriented.mapInArrow(_contract, "u long, v long"))
     before = _state(now)
     for _ in range(MAX_ROUNDS):
         if not before[0]:

@@ -12,7 +12,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, types as T
 
 #: Text bytes that one Python step works on at a time; a longer single text forms a step alone.
-STEP_BYTES = 2 << 20
+STEP_BYTES = 1 << 20
 
 _stored: list[tuple[SparkSession, str]] = []
 
@@ -95,6 +95,7 @@ def map_text(df: DataFrame, column: str, add: list[T.StructField], make: Callabl
     schema = T.StructType([df.schema[c] for c in keep] + add)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pa.set_memory_pool(pa.system_memory_pool())  # gives memory back between steps
         names = [f.name for f in schema.fields]
         for batch in batches:
             for part in slices(batch, text_at):

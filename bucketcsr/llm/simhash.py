@@ -118,18 +118,19 @@ def block_masks(radius: int, extra: int = 4) -> list[int]:
 def _search(radius: int):
     """Reads (shard, masked, fp) sorted by the first two; yields forest edges of each shard."""
 
-    def links(group: np.ndarray, out: list[tuple[int, int]]) -> None:
+    def links(group: np.ndarray, forest: Forest, out: list[tuple[int, int]]) -> None:
         values = [int(x) & (2**64 - 1) for x in group]
         if len(values) == 2:
-            if (values[0] ^ values[1]).bit_count() <= radius:
+            if (values[0] ^ values[1]).bit_count() <= radius and forest.union(int(group[0]), int(group[1])):
                 out.append((int(group[0]), int(group[1])))
             return
-        tree, forest = BKTree(), Forest()
+        tree = BKTree()
         signed = lambda x: x - (1 << 64) if x >> 63 else x
         for v in values:
-            out.extend((signed(v), signed(w)) for w in tree.near_then_add(v, radius) if forest.union(v, w))
+            out.extend((signed(v), signed(w)) for w in tree.near_then_add(v, radius) if forest.union(signed(v), signed(w)))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forest = Forest()  # over all shards of this task: an edge that joins nothing new is not sent
         rest = [np.zeros(0, np.int64)] * 3
         found: list[tuple[int, int]] = []
 
@@ -147,7 +148,7 @@ def _search(radius: int):
             sizes = np.diff(edges)
             done = len(sizes) if last else len(sizes) - 1
             for i in np.flatnonzero(sizes[:done] > 1):
-                links(fp[edges[i] : edges[i + 1]], found)
+                links(fp[edges[i] : edges[i + 1]], forest, found)
             return [x[edges[done] :] for x in parts]
 
         for batch in batches:
@@ -176,7 +177,7 @@ def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, kee
     prints = map_text(marked, text, [T.StructField("fp", T.LongType())], lambda t: [fingerprints(t, width)], [*keep, ident])
     prints = store(prints.withColumn(tag, F.monotonically_increasing_id()))
     distinct = store(prints.groupBy("fp").agg(F.min(ident).alias("least")))
-    reached = store(connected(links(distinct.select("fp"), radius)))
+    reached = store(connected(links(distinct.select("fp"), radius), contracted=True))
     # smallest doc_id of each component, over its distinct fingerprints only
     rooted = distinct.join(reached, distinct["fp"] == reached["node"], "left").select(distinct["fp"], "least", F.coalesce("root", distinct["fp"]).alias("root"))
     rooted = store(rooted)
