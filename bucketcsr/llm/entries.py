@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import host_rules, mixing, packing, simhash
+from . import host_rules, langid, licenses, mixing, packing, quality, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -34,12 +34,27 @@ def op9_shortest_pack_first(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(_table(spark, sf_dir, "documents"))
 
 
+def op1_subword_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.score_documents(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "labels"))
+
+
+def op3_hyperdim_langid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return langid.predict_documents(_table(spark, sf_dir, "documents"))
+
+
+def op10_license_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(_table(spark, sf_dir, "documents"), keep=["doc_id"])
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_subword_quality": op1_subword_quality,
+        "op3_hyperdim_langid": op3_hyperdim_langid,
         "op4_host_rules": op4_host_rules,
         "op5_simhash_bktree": op5_simhash_bktree,
         "op6_splitting_tree_mix": op6_splitting_tree_mix,
         "op9_shortest_pack_first": op9_shortest_pack_first,
+        "op10_license_index": op10_license_index,
     }
 
 
