@@ -77,13 +77,17 @@ def _features(texts: pa.Array, spec: Subwords) -> tuple[W.Words, np.ndarray, np.
 
 
 def _pairs(words: W.Words, ids: np.ndarray, word_hash: np.ndarray, spec: Subwords) -> tuple[np.ndarray, np.ndarray]:
-    """Buckets of neighbouring words, and the first pair of each text (n + 1)."""
+    """Buckets of neighbouring words, and the first pair of each text (n + 1).
+
+    A word that follows itself gives, whatever the word, the one pair "again".
+    """
     if len(ids) < 2:
         return np.zeros(0, np.int64), np.zeros(len(words.first), np.int64)
     h = word_hash[ids]
     doc = words.doc
     same = doc[1:] == doc[:-1]
-    bucket = (W.mixed(h[:-1] * np.uint64(3) + h[1:]) & np.uint64(spec.buckets - 1)).astype(np.int64)[same]
+    pair = np.where(ids[1:] == ids[:-1], np.uint64(0xA6A1), h[:-1] * np.uint64(3) + h[1:])
+    bucket = (W.mixed(pair) & np.uint64(spec.buckets - 1)).astype(np.int64)[same]
     return bucket, np.searchsorted(doc[1:][same], np.arange(len(words.first)))
 
 
