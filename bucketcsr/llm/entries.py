@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import host_rules, langid, licenses, mixing, packing, quality, simhash
+from . import capfilter, host_rules, langid, licenses, mixing, packing, quality, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -46,6 +46,10 @@ def op10_license_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan(_table(spark, sf_dir, "documents"), keep=["doc_id"])
 
 
+def op7_cap_filter_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return capfilter.near_duplicates(_table(spark, sf_dir, "embeddings"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_subword_quality": op1_subword_quality,
@@ -53,6 +57,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_host_rules": op4_host_rules,
         "op5_simhash_bktree": op5_simhash_bktree,
         "op6_splitting_tree_mix": op6_splitting_tree_mix,
+        "op7_cap_filter_neardup": op7_cap_filter_neardup,
         "op9_shortest_pack_first": op9_shortest_pack_first,
         "op10_license_index": op10_license_index,
     }
