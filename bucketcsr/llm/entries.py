@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import capfilter, host_rules, langid, licenses, mixing, packing, quality, simhash
+from . import capfilter, host_rules, langid, licenses, mixing, packing, quality, secrets, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -50,6 +50,10 @@ def op7_cap_filter_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return capfilter.near_duplicates(_table(spark, sf_dir, "embeddings"))
 
 
+def op8_forest_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan(_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_subword_quality": op1_subword_quality,
@@ -58,6 +62,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_simhash_bktree": op5_simhash_bktree,
         "op6_splitting_tree_mix": op6_splitting_tree_mix,
         "op7_cap_filter_neardup": op7_cap_filter_neardup,
+        "op8_forest_secrets": op8_forest_secrets,
         "op9_shortest_pack_first": op9_shortest_pack_first,
         "op10_license_index": op10_license_index,
     }
