@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import capfilter, host_rules, langid, licenses, mixing, packing, quality, secrets, simhash
+from . import capfilter, host_rules, langid, licenses, mixing, packing, pii, quality, secrets, simhash
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -54,9 +54,14 @@ def op8_forest_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan(_table(spark, sf_dir, "documents"))
 
 
+def op2_feistel_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.pseudonymise(_table(spark, sf_dir, "documents"), keep=["doc_id"])
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_subword_quality": op1_subword_quality,
+        "op2_feistel_pii": op2_feistel_pii,
         "op3_hyperdim_langid": op3_hyperdim_langid,
         "op4_host_rules": op4_host_rules,
         "op5_simhash_bktree": op5_simhash_bktree,
