@@ -128,8 +128,17 @@ def _ipv4(value: str, f: Feistel, back: bool) -> str | None:
     parts = [int(p) for p in value.split(".")]
     if max(parts) > 255 or any(len(p) > 1 and p[0] == "0" for p in value.split(".")):
         return None
-    x = f.permute(int.from_bytes(bytes(parts), "big"), 1 << 32, "ipv4", back)
-    return ".".join(str(b) for b in x.to_bytes(4, "big"))
+    # octets keep their numbers of digits, so the address keeps its length
+    first, sizes = zip(*[((0, 10), (10, 90), (100, 156))[len(p) - 1] for p in value.split(".")], strict=True)
+    x, size = 0, 1
+    for octet, lo, n in zip(parts, first, sizes, strict=True):
+        x, size = x * n + octet - lo, size * n
+    x = f.permute(x, size, "ipv4" + "".join(str(len(p)) for p in value.split(".")), back)
+    new = []
+    for lo, n in zip(reversed(first), reversed(sizes), strict=True):
+        x, d = divmod(x, n)
+        new.append(str(lo + d))
+    return ".".join(reversed(new))
 
 
 FIRST_DAY, DAYS = datetime.date(1900, 1, 1).toordinal(), datetime.date(2100, 1, 1).toordinal() - datetime.date(1900, 1, 1).toordinal()
