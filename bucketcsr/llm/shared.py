@@ -9,7 +9,7 @@ from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession, types as T
+from pyspark.sql import DataFrame, SparkSession, functions as F, types as T
 
 #: Text bytes that one Python step works on at a time; a longer single text forms a step alone.
 STEP_BYTES = 1 << 20
@@ -103,3 +103,17 @@ def map_text(df: DataFrame, column: str, add: list[T.StructField], make: Callabl
                 yield pa.RecordBatch.from_arrays([part.column(i) for i in range(text_at)] + made, names=names)
 
     return source.mapInArrow(run, schema)
+
+
+def deal_tiles(rows: DataFrame, group: list[str], member: str, tile: int) -> DataFrame:
+    """rows of groups of two or more, dealt to tasks by (group..., one, two) and sorted, with `mine` their chunk.
+
+    A group of over `tile` rows is cut into chunks by a hash of `member`; each row goes to one tile for every chunk it must meet,
+    so every pair of a group's rows meets in exactly one tile and no tile holds more than two chunks.
+    """
+    sizes = store(rows.groupBy(*group).agg(F.count("*").alias("_n")).where("_n > 1").select(*[F.col(c).alias(f"_g_{c}") for c in group], F.ceil(F.col("_n") / tile).cast("int").alias("_chunks")))
+    joined = rows.join(sizes, [rows[c] == sizes[f"_g_{c}"] for c in group])
+    mine = F.pmod(F.xxhash64(member), F.col("_chunks")).cast("int")
+    dealt = joined.withColumn("mine", mine).withColumn("_peer", F.explode(F.sequence(F.lit(0), F.col("_chunks") - 1)))
+    dealt = dealt.withColumns({"one": F.least("mine", "_peer"), "two": F.greatest("mine", "_peer")})
+    return dealt.drop("_peer", "_chunks", *[f"_g_{c}" for c in group])

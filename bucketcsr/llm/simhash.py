@@ -9,6 +9,12 @@ default radius a shard shares 43 or more bits, so it never holds over 2^21 finge
 in the task of their shard instead of being broadcast, since all fingerprints together have no size bound. A shard
 yields a spanning forest of its links, not its pairs; `components.connected` joins the forests.
 
+Two ways to link. By distance: fingerprints within `radius` bits. By similarity (`Similarity`): texts whose sets of word
+shingles have a Jaccard similarity of `least` or more. There fingerprints of similar texts may be ten and more bits apart, so
+shards come from bands of minwise values instead of equal blocks; in a shard the BK-tree proposes texts within the wider radius,
+and each proposal is verified on the shingle sets (on their smallest `sketch` hashes where a set is larger; those are a fair sample of both
+sets). Shards of over `tile` texts are cut into tiles of chunk against chunk. Copies collapse first in either way.
+
 Null text: as empty, fingerprint zero. Null doc_id: takes part in links, and never is a component's id unless
 no member has one (then the id is null). Repeated rows are kept. Empty table: empty result.
 """
@@ -16,6 +22,7 @@ no member has one (then the id is null). Repeated rows are kept. Empty table: em
 from __future__ import annotations
 
 from collections.abc import Iterable, Iterator
+from dataclasses import dataclass
 from itertools import combinations
 
 import numpy as np
@@ -25,7 +32,7 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from . import words as W
 from .components import Forest, connected
-from .shared import fresh, map_text, store
+from .shared import deal_tiles, fresh, map_text, store
 
 BITS = 64
 
@@ -50,10 +57,16 @@ def fingerprints(texts: pa.Array, width: int = 3, seed: int = 42) -> pa.Array:
     lasts = np.minimum(starts + width, np.repeat(words.first[1:], shingles)) - 1
     digest = xxhash.xxh64_intdigest
     hashes = np.fromiter((digest(body[a:b], seed) for a, b in zip(begin[starts].tolist(), end[lasts].tolist(), strict=True)), np.uint64, len(starts))
-    out = np.zeros(len(shingles), np.uint64)
-    full = np.flatnonzero(shingles)
+    return pa.array(majority(hashes, at).view(np.int64))
+
+
+def majority(hashes: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """By segment (at: n + 1 edges) the 64 bits that over half of its hashes have set; an empty segment gives 0."""
+    sizes = np.diff(at)
+    out = np.zeros(len(sizes), np.uint64)
+    full = np.flatnonzero(sizes)
     step = 1 << 15
-    # runs of texts of about `step` shingles each, so that the bit matrix stays small
+    # runs of segments of about `step` hashes each, so that the bit matrix stays small
     k = 0
     while k < len(full):
         stop = max(k + 1, int(np.searchsorted(at[full + 1], at[full[k]] + step, "right")))
@@ -65,10 +78,10 @@ def fingerprints(texts: pa.Array, width: int = 3, seed: int = 42) -> pa.Array:
             cuts = np.clip(at[group], lo, hi) - lo
             inside = (at[group + 1] > lo) & (at[group] < hi)
             counts[inside] += np.add.reduceat(bits, cuts[inside], axis=0, dtype=np.int32)
-        over = (2 * counts > shingles[group][:, None]).astype(np.uint8)
+        over = (2 * counts > sizes[group][:, None]).astype(np.uint8)
         out[group] = np.packbits(over, axis=1, bitorder="little").view(np.uint64)[:, 0]
         k = stop
-    return pa.array(out.view(np.int64))
+    return out
 
 
 class BKTree:
@@ -78,13 +91,9 @@ class BKTree:
         self.values: list[int] = []
         self.children: list[dict[int, int]] = []
 
-    def near_then_add(self, value: int, radius: int) -> list[int]:
-        """Values within the radius, then value itself goes in."""
-        if not self.values:
-            self.values.append(value)
-            self.children.append({})
-            return []
-        found, todo = [], [0]
+    def near(self, value: int, radius: int) -> list[int]:
+        """Values within the radius."""
+        found, todo = [], [0] if self.values else []
         while todo:
             k = todo.pop()
             d = (self.values[k] ^ value).bit_count()
@@ -93,6 +102,15 @@ class BKTree:
             for edge, child in self.children[k].items():
                 if d - radius <= edge <= d + radius:
                     todo.append(child)
+        return found
+
+    def near_then_add(self, value: int, radius: int) -> list[int]:
+        """Values within the radius, then value itself goes in."""
+        found = self.near(value, radius)
+        if not self.values:
+            self.values.append(value)
+            self.children.append({})
+            return found
         k = 0
         while True:
             d = (self.values[k] ^ value).bit_count()
@@ -169,42 +187,184 @@ def links(distinct_fps: DataFrame, radius: int = 2) -> DataFrame:
     return dealt.select("shard", "masked", "fp").mapInArrow(_search(radius), "u long, v long")
 
 
-def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, keep: list[str]) -> tuple[DataFrame, DataFrame, str, str]:
-    """Stored prints (keep + fp + id + row tag), and (_fp, component_id) for each fingerprint."""
+@dataclass(frozen=True)
+class Similarity:
+    """least: Jaccard similarity of sets of `width` words; bands x rows: minwise values, one shard per band.
+
+    At similarity 0.8 two texts share a shard with probability 1 - (1 - 0.8^3)^10 = 0.9992 and lie within the radius with 0.98.
+    """
+
+    least: float = 0.8
+    width: int = 5
+    bands: int = 10
+    rows: int = 3
+    radius: int = 17
+    sketch: int = 512
+    tile: int = 1500
+    seed: int = 13
+
+
+def shingle_sets(texts: pa.Array, spec: Similarity) -> list[pa.Array]:
+    """fp, a second 64-bit name of the set, the set's smallest hashes (32 bits, sorted, binary), and one key per band."""
+    raw, offsets = W.flat(texts)
+    words = W.split(W.LOWER[raw], offsets)
+    ids, distinct = words.encoded()
+    body, edges = W.flat(distinct)
+    place = np.arange(len(body)) - np.repeat(edges[:-1], np.diff(edges))
+    total = np.zeros(len(body) + 1, np.uint64)
+    np.cumsum(W.mixed(body.astype(np.uint64) + (place.astype(np.uint64) << np.uint64(8)) + np.uint64(1)), out=total[1:])
+    value = W.mixed(total[edges[1:]] - total[edges[:-1]])[ids] if len(ids) else np.zeros(0, np.uint64)
+    n_words = np.diff(words.first)
+    shingles = np.where(n_words > 0, np.maximum(n_words - spec.width + 1, 1), 0)
+    doc = np.repeat(np.arange(len(shingles)), shingles)
+    starts = np.repeat(words.first[:-1], shingles) + np.arange(len(doc)) - np.repeat(np.cumsum(shingles) - shingles, shingles)
+    last = np.repeat(words.first[1:], shingles)
+    hashes = np.zeros(len(doc), np.uint64)
+    for k in range(spec.width):
+        at = starts + k
+        here = np.where(at < last, value[np.minimum(at, max(len(value) - 1, 0))] if len(value) else 0, 0).astype(np.uint64)
+        hashes = W.mixed(hashes * np.uint64(3) + here + np.uint64(k))
+    order = np.lexsort((hashes, doc))
+    hashes, doc = hashes[order], doc[order]
+    new = np.ones(len(doc), bool)
+    new[1:] = (doc[1:] != doc[:-1]) | (hashes[1:] != hashes[:-1])
+    hashes, doc = hashes[new], doc[new]
+    at = np.searchsorted(doc, np.arange(len(shingles) + 1))
+    sums = np.zeros(len(hashes) + 1, np.uint64)
+    np.cumsum(W.mixed(hashes + np.uint64(7)), out=sums[1:])
+    name = W.mixed(sums[at[1:]] - sums[at[:-1]] + np.diff(at).astype(np.uint64))
+    short = (hashes >> np.uint64(32)).astype(np.uint32)
+    sketches = [short[a : min(b, a + spec.sketch)].tobytes() for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
+    full = np.flatnonzero(np.diff(at))
+    keys = np.zeros((len(shingles), spec.bands), np.uint64)
+    odd = np.random.default_rng(spec.seed).integers(1, 2**63, spec.bands * spec.rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    for i, factor in enumerate(odd):
+        if len(full):
+            least = np.minimum.reduceat((hashes ^ (hashes >> np.uint64(29))) * factor, at[full])
+            keys[full, i // spec.rows] = W.mixed(keys[full, i // spec.rows] * np.uint64(5) + least)
+    key_lists = pa.FixedSizeListArray.from_arrays(pa.array(keys.view(np.int64).reshape(-1)), spec.bands).cast(pa.list_(pa.int64()))
+    return [pa.array(majority(hashes, at).view(np.int64)), pa.array(name.view(np.int64)), pa.array(sketches, pa.binary()), key_lists]
+
+
+def _similar_fraction(a: np.ndarray, b: np.ndarray, most: int) -> float:
+    """Jaccard similarity of two sorted sketches: exact if neither is cut, else over the range that both hold completely."""
+    top = min(int(a[-1]) if len(a) >= most else 1 << 32, int(b[-1]) if len(b) >= most else 1 << 32)
+    a, b = a[: np.searchsorted(a, top, "right")], b[: np.searchsorted(b, top, "right")]
+    both = len(np.intersect1d(a, b, assume_unique=False))
+    return both / (len(a) + len(b) - both) if both else 0.0
+
+
+def _meet(spec: Similarity):
+    """Reads (band, key, one, two, mine, uid, fp, sketch) sorted by the first four; yields forest edges of similar texts."""
+
+    def tile(rows: list[tuple], forest: Forest, found: list[tuple[int, int]]) -> None:
+        one, two = rows[0][2], rows[0][3]
+        tree = BKTree()
+        members: dict[int, list[int]] = {}
+        sets = [np.frombuffer(r[7], np.uint32) for r in rows]
+        rows_of_one = [i for i, r in enumerate(rows) if r[4] == one]
+        others = [] if one == two else [i for i, r in enumerate(rows) if r[4] == two]
+
+        def check(i: int, near: list[int]) -> None:
+            for value in near:
+                for j in members[value]:
+                    a, b = rows[i][5], rows[j][5]
+                    small, large = sorted((len(sets[i]), len(sets[j])))
+                    # sets of too different sizes can't be similar enough
+                    if small < spec.least * large or forest.root(a) == forest.root(b):
+                        continue
+                    if _similar_fraction(sets[i], sets[j], spec.sketch) >= spec.least:
+                        forest.union(a, b)
+                        found.append((a, b))
+
+        for i in rows_of_one:
+            value = rows[i][6] & (2**64 - 1)
+            near = tree.near_then_add(value, spec.radius)
+            if one == two:
+                check(i, near)
+            members.setdefault(value, []).append(i)
+        for i in others:
+            check(i, tree.near(rows[i][6] & (2**64 - 1), spec.radius))
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forest, found, rows = Forest(), [], []
+        for batch in batches:
+            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if rows and rows[0][:4] != row[:4]:
+                    if len(rows) > 1:
+                        tile(rows, forest, found)
+                    rows = []
+                rows.append(row)
+        if len(rows) > 1:
+            tile(rows, forest, found)
+        yield pa.RecordBatch.from_arrays([pa.array([f[k] for f in found], pa.int64()) for k in (0, 1)], names=["u", "v"])
+
+    return run
+
+
+def similar_links(sets: DataFrame, spec: Similarity) -> DataFrame:
+    """sets(uid, fp, sketch, bands) of distinct texts -> forest edges (u, v) over uid."""
+    banded = sets.select("uid", F.posexplode("bands").alias("band", "key"))
+    dealt = deal_tiles(banded, ["band", "key"], "uid", spec.tile)
+    bodies = sets.select(F.col("uid").alias("_u"), "fp", "sketch")
+    keys = ["band", "key", "one", "two"]
+    full = dealt.join(bodies, dealt["uid"] == bodies["_u"]).select(*keys, "mine", "uid", "fp", "sketch")
+    return full.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_meet(spec), "u long, v long")
+
+
+def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, keep: list[str], similarity: Similarity | None = None) -> tuple[DataFrame, DataFrame, str, str]:
+    """Stored prints (keep + fp + _set + id + row tag), and (_fp, _name, component_id) for each distinct text."""
     ident = fresh([*docs.columns, "fp", "component_id"], "_id")
     tag = fresh([*docs.columns, ident], "_tag")
     marked = docs.withColumn(ident, F.col(f"`{doc_id}`").cast("long"))
-    prints = map_text(marked, text, [T.StructField("fp", T.LongType())], lambda t: [fingerprints(t, width)], [*keep, ident])
+    if similarity:
+        added = [T.StructField("fp", T.LongType()), T.StructField("_set", T.LongType()), T.StructField("_sketch", T.BinaryType()), T.StructField("_bands", T.ArrayType(T.LongType()))]
+        prints = map_text(marked, text, added, lambda t: shingle_sets(t, similarity), [*keep, ident])
+    else:
+        prints = map_text(marked, text, [T.StructField("fp", T.LongType()), T.StructField("_set", T.LongType())], lambda t: [fingerprints(t, width), pa.array(np.zeros(len(t), np.int64))], [*keep, ident])
     prints = store(prints.withColumn(tag, F.monotonically_increasing_id()))
-    distinct = store(prints.groupBy("fp").agg(F.min(ident).alias("least")))
-    reached = store(connected(links(distinct.select("fp"), radius), contracted=True))
-    # smallest doc_id of each component, over its distinct fingerprints only
-    rooted = distinct.join(reached, distinct["fp"] == reached["node"], "left").select(distinct["fp"], "least", F.coalesce("root", distinct["fp"]).alias("root"))
+    distinct = prints.groupBy("fp", "_set").agg(F.min(ident).alias("least"), F.min(tag).alias("uid"))
+    if similarity:
+        distinct = store(distinct)
+        bodies = prints.select(F.col(tag).alias("_t"), F.col("_sketch").alias("sketch"), F.col("_bands").alias("bands"))
+        # texts without words are copies of each other and similar to nothing else
+        sets = store(distinct.join(bodies, distinct["uid"] == bodies["_t"]).where(F.octet_length("sketch") > 0).select("uid", "fp", "sketch", "bands"))
+        edges = similar_links(sets, similarity)
+    else:
+        distinct = store(distinct.withColumn("uid", F.col("fp")))
+        edges = links(distinct.select("fp"), radius)
+    reached = store(connected(edges, contracted=True))
+    # smallest doc_id of each component, over its distinct texts only
+    rooted = distinct.join(reached, distinct["uid"] == reached["node"], "left").select("fp", "_set", "least", F.coalesce("root", "uid").alias("root"))
     rooted = store(rooted)
     least = store(rooted.groupBy("root").agg(F.min("least").alias("component_id")))
-    return prints, store(rooted.join(least, "root").select(F.col("fp").alias("_fp"), "component_id")), ident, tag
+    return prints, store(rooted.join(least, "root").select(F.col("fp").alias("_fp"), F.col("_set").alias("_name"), "component_id")), ident, tag
 
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, keep: list[str] | None = None) -> DataFrame:
-    """keep columns (default: all of docs) + fp (long), component_id (long); columns of docs so named are replaced."""
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, keep: list[str] | None = None, similarity: Similarity | None = None) -> DataFrame:
+    """keep columns (default: all of docs) + fp (long), component_id (long); columns of docs so named are replaced.
+
+    Links by distance (width, radius), or by similarity where that is given.
+    """
     keep = [c for c in (docs.columns if keep is None else keep) if c.lower() not in ("fp", "component_id")]
-    prints, named, _, _ = _named(docs, doc_id, text, width, radius, keep)
-    return prints.join(named, prints["fp"] == named["_fp"]).select(*[prints[c] for c in keep], "fp", "component_id")
+    prints, named, _, _ = _named(docs, doc_id, text, width, radius, keep, similarity)
+    return prints.join(named, (prints["fp"] == named["_fp"]) & (prints["_set"] == named["_name"])).select(*[prints[c] for c in keep], "fp", "component_id")
 
 
-def one_per_group(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2) -> DataFrame:
+def one_per_group(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, similarity: Similarity | None = None) -> DataFrame:
     """docs with one row of each component: that of its smallest doc_id, one of them if the row is repeated.
 
-    A component whose rows all have a null doc_id keeps one row for each fingerprint.
+    A component whose rows all have a null doc_id keeps one row for each distinct text.
     """
     columns = docs.columns
     clean = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(columns)])
     at = {c: f"c{i}" for i, c in enumerate(columns)}
-    prints, named, ident, tag = _named(clean, at[doc_id], at[text], width, radius, clean.columns)
-    chosen = prints.join(named, (prints["fp"] == named["_fp"]) & prints[ident].eqNullSafe(named["component_id"]))
-    slim = prints.select(F.col("fp").alias("_f"), F.col(ident).alias("_i"), F.col(tag).alias("_t"))
-    repeated = slim.groupBy("_f", "_i").agg(F.min("_t").alias("_first"), F.count("*").alias("_n")).where("_n > 1")
-    chosen = chosen.join(repeated, (chosen["fp"] == repeated["_f"]) & chosen[ident].eqNullSafe(repeated["_i"]), "left")
+    prints, named, ident, tag = _named(clean, at[doc_id], at[text], width, radius, clean.columns, similarity)
+    rows = prints.drop("_sketch", "_bands")
+    chosen = rows.join(named, (rows["fp"] == named["_fp"]) & (rows["_set"] == named["_name"]) & rows[ident].eqNullSafe(named["component_id"]))
+    slim = prints.select(F.col("fp").alias("_f"), F.col("_set").alias("_s"), F.col(ident).alias("_i"), F.col(tag).alias("_t"))
+    repeated = slim.groupBy("_f", "_s", "_i").agg(F.min("_t").alias("_first"), F.count("*").alias("_n")).where("_n > 1")
+    chosen = chosen.join(repeated, (chosen["fp"] == repeated["_f"]) & (chosen["_set"] == repeated["_s"]) & chosen[ident].eqNullSafe(repeated["_i"]), "left")
     return chosen.where(F.col("_first").isNull() | (F.col("_first") == F.col(tag))).select(*[F.col(at[c]).alias(c) for c in columns])
 
 
