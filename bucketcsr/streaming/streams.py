@@ -21,8 +21,9 @@ def _folder(spark: SparkSession) -> str:
 
 
 def source(spark: SparkSession, path: str, at: str | None = "ts", files_per_batch: int = 1000) -> DataFrame:
-    """A stream of Parquet files; the event time becomes a TIMESTAMP, which watermarks need."""
-    stream = spark.readStream.schema(spark.read.parquet(path).schema).option("maxFilesPerTrigger", files_per_batch).parquet(path)
+    """A stream of Parquet files; the event time becomes a TIMESTAMP, which watermarks need. The path may be a folder or one file."""
+    pattern = f"{path[:-1]}[{path[-1]}]"  # a plain path would have to be a folder
+    stream = spark.readStream.schema(spark.read.parquet(path).schema).option("maxFilesPerTrigger", files_per_batch).parquet(pattern)
     return stream.withColumn(at, F.col(at).cast("timestamp")) if at else stream
 
 
