@@ -250,3 +250,39 @@ def test_sql_of_host_rules_agrees(spark, docs):
     heads = [c[0] for c in out.description]
     want = sorted(tuple(r) for r in out.fetchall())
     assert sorted(tuple(r) for r in entries.op4_host_rules(spark, SF).select(*heads).collect()) == want
+
+
+def test_similar_texts_are_linked_and_others_are_not(spark, dirty):
+    rng = np.random.default_rng(8)
+    word = lambda: "".join(rng.choice(list("abcdefghij"), 6))
+    texts_, i = [], 0
+    for n in (40, 90, 300, 1500):
+        base = [word() for _ in range(n)]
+        for share in (0.0, 0.005, 0.01, 0.02, 0.03):
+            copy = list(base)
+            for k in rng.choice(n, int(share * n), replace=False):
+                copy[k] = word()
+            texts_.append((i, " ".join(copy)))
+            i += 1
+    texts_ += [(i, texts_[3][1].upper()), (i + 1, " ".join(word() for _ in range(200)))]
+    sets = [{tuple(w[k : k + 5]) for k in range(len(w) - 4)} for w in (t.lower().split() for _, t in texts_)]
+    parent = list(range(len(sets)))
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a in range(len(sets)):
+        for b in range(a):
+            if len(sets[a] & sets[b]) / len(sets[a] | sets[b]) >= 0.8:
+                x, y = root(a), root(b)
+                parent[max(x, y)] = min(x, y)
+    df = spark.createDataFrame(texts_, "doc_id bigint, text string")
+    for spec in (simhash.Similarity(), simhash.Similarity(tile=2)):
+        got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(df, similarity=spec).collect()}
+        assert got == {k: root(k) for k in range(len(sets))}
+    kept = simhash.one_per_group(dirty, similarity=simhash.Similarity())
+    assert kept.columns == dirty.columns
+    assert sorted(r["doc_id"] for r in kept.where("doc_id is not null").collect()) == [1, 4, 5, 6, 7, 8]
+    assert simhash.one_per_group(dirty.limit(0), similarity=simhash.Similarity()).count() == 0
