@@ -11,7 +11,9 @@ from .baselines import cuckoo, joins as base_joins, linear, lists, minhash
 from .functions.hashing import HashSpec, bucket_sql, mix32, murmur_sql, with_bucket
 from .functions.rowid import dense_rid
 from .operators import applications as apps, build, dynamic, joins, probe
+from .functions import udfs
 from .plans.params import BuildSpec
+from .sources import storage
 from .streaming import streams
 
 _queries: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -732,3 +734,81 @@ def stream_delta_probe(spark, d):
 @query(f"SELECT ({_UB}) // 8 AS bin, count(*) AS n FROM events GROUP BY 1")
 def stream_running_bins(spark, d):
     return streams.running_bins(spark, f"{d}/events.parquet", "user_id", 64, 8)
+
+
+# --- stored index, functions and plain SQL -----------------------------------------------------------------------
+
+
+@query(f"SELECT bucket, pos, key, rid FROM ({EDGES_ORDERS}) WHERE key IN (5, 77, 1234, 14999)")
+def stored_point_lookup(spark, d):
+    """An index written to the shared folder, opened again and asked for a few keys."""
+    path = f"{streams._folder(spark)}-index"
+    storage.save(_orders_index(spark, d, build.build_binned), path)
+    return storage.load(spark, path).get_many([5, 77, 1234, 14999]).select("bucket", "pos", "key", "rid")
+
+
+@query(_sql["hash_mix32_orders"])
+def udf_mix32(spark, d):
+    return table(spark, d, "orders").select("o_orderkey", udfs.mix32_arrow("o_orderkey").alias("h"))
+
+
+@query(f"SELECT o_orderkey, {bucket_sql('o_orderkey', '1000')} AS bucket, ({bucket_sql('o_orderkey', '1000')}) // 100 AS bin FROM orders")
+def sql_functions(spark, d):
+    udfs.register(spark)
+    table(spark, d, "orders").createOrReplaceTempView("csr_orders")
+    return spark.sql("SELECT o_orderkey, csr_bucket(o_orderkey, 1000) AS bucket, csr_bin(o_orderkey, 1000, 100) AS bin FROM csr_orders")
+
+
+@query(f"SELECT bucket // 938 AS bin, sum(len * len)::BIGINT AS sum_sq FROM {lengths_sql('orders', 'o_orderkey')} GROUP BY 1")
+def udaf_csr_stats(spark, d):
+    offsets = _orders_index(spark, d, build.build_binned, BuildSpec(bins=16, parts=4)).offsets.withColumn("bin", F.floor(F.col("bucket") / 938).cast("bigint"))
+    return offsets.groupBy("bin").agg(udfs.csr_sum_sq("len").alias("sum_sq"))
+
+
+@query(f"SELECT bucket, count(*) AS n FROM (SELECT {bucket_sql('o_custkey', '500')} AS bucket FROM orders) GROUP BY bucket")
+def udtf_bucket_scan(spark, d):
+    udfs.register(spark)
+    rows = with_bucket(table(spark, d, "orders").select("o_custkey"), "o_custkey", 500)
+    rows.withColumn("bin", F.floor(F.col("bucket") / 32).cast("bigint")).createOrReplaceTempView("csr_binned")
+    return spark.sql("SELECT bucket, n FROM bucket_scan(TABLE(SELECT * FROM csr_binned) PARTITION BY bin ORDER BY bucket)")
+
+
+@query(f"SELECT bucket, len FROM {lengths_sql('lineitem', 'l_partkey')} ORDER BY len DESC, bucket LIMIT 20")
+def topk_buckets(spark, d):
+    """The twenty longest buckets: a report."""
+    return build.build_binned(table(spark, d, "lineitem"), "l_partkey", None, PARTS4).offsets.select("bucket", "len").orderBy(F.desc("len"), "bucket").limit(20)
+
+
+@query(f"SELECT bucket, key, rid::BIGINT AS rid, (row_number() OVER (PARTITION BY bucket ORDER BY key, rid) - 1)::BIGINT AS rank FROM {rows_sql('orders', 'o_custkey', 'o_orderkey')}")
+def rank_in_bucket(spark, d):
+    ix = build.build_binned(table(spark, d, "orders"), "o_custkey", "o_orderkey", PARTS4)
+    starts = ix.offsets.select("part", "bin", "bucket", "start")
+    return ix.edges.join(starts, ["part", "bin", "bucket"]).select("bucket", "key", "rid", (F.col("pos") - F.col("start")).alias("rank"))
+
+
+_PLAIN = {
+    "project_filter": ("SELECT l_orderkey, l_quantity * 2 AS double_quantity FROM lineitem WHERE l_quantity BETWEEN 10 AND 12 AND l_returnflag IN ('A', 'N')", None),
+    "moving_avg_events": ("SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS mean FROM events", None),
+    "json_props": ("SELECT event_id, CAST(get_json_object(props, '$.k') AS BIGINT) AS k FROM events", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k FROM events"),
+    "string_functions": ("SELECT p_partkey, upper(p_brand) AS brand, length(p_name) AS n, substring(p_type, 1, 4) AS head, md5(p_name) AS h FROM part", "SELECT p_partkey, upper(p_brand) AS brand, length(p_name)::INT AS n, substring(p_type, 1, 4) AS head, md5(p_name) AS h FROM part"),
+    "date_functions": ("SELECT o_orderkey, year(o_orderdate) AS y, CAST(date_trunc('MONTH', o_orderdate) AS DATE) AS month, datediff(o_orderdate, DATE'1992-01-01') AS days FROM orders", "SELECT o_orderkey, year(o_orderdate)::INT AS y, date_trunc('month', o_orderdate)::DATE AS month, date_diff('day', DATE '1992-01-01', o_orderdate::DATE)::INT AS days FROM orders"),
+    "array_functions": ("SELECT vec_id, size(embedding) AS n, round(CAST(element_at(embedding, 1) AS DOUBLE), 4) AS first FROM embeddings", "SELECT vec_id, len(embedding)::INT AS n, round(embedding[1]::DOUBLE, 4) AS first FROM embeddings"),
+    "distinct_counts": ("SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY l_returnflag", None),
+    "window_ranks": ("SELECT o_orderkey, rank() OVER w AS r, dense_rank() OVER w AS dr, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS q, lag(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS prev FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate)", "SELECT o_orderkey, (rank() OVER w)::INT AS r, (dense_rank() OVER w)::INT AS dr, (ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey))::INT AS q, lag(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS prev FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate)"),
+    "pivot_priorities": ("SELECT * FROM (SELECT o_orderstatus, o_orderpriority FROM orders) PIVOT (count(*) FOR o_orderpriority IN ('1-URGENT' AS urgent, '2-HIGH' AS high))", "SELECT o_orderstatus, nullif(count(*) FILTER (WHERE o_orderpriority = '1-URGENT'), 0) AS urgent, nullif(count(*) FILTER (WHERE o_orderpriority = '2-HIGH'), 0) AS high FROM orders GROUP BY o_orderstatus"),
+    "except_all_keys": ("SELECT o_custkey AS key FROM orders EXCEPT ALL SELECT user_id FROM events", None),
+    "intersect_all_keys": ("SELECT o_custkey AS key FROM orders INTERSECT ALL SELECT user_id FROM events", None),
+}
+
+
+def _plain(name: str):
+    def f(spark, d):
+        for t in ("lineitem", "events", "part", "orders", "embeddings"):
+            table(spark, d, t).createOrReplaceTempView(t)
+        return spark.sql(_PLAIN[name][0])
+
+    return f
+
+
+for _name, (_spark_sql, _duck_sql) in _PLAIN.items():
+    register(_name, _plain(_name), _duck_sql or _spark_sql)

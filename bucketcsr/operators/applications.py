@@ -4,8 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, functions as F
 
+from ..functions.hashing import bucket_of
 from ..plans.params import BuildSpec
-from .probe import PLACE, build_pair, cobucket_probe
+from .build import build_binned
+from .probe import BROADCAST_BYTES, PLACE, build_pair, cobucket_probe
 
 
 def spmv(matrix: DataFrame, vector: DataFrame, spec: BuildSpec = BuildSpec()) -> DataFrame:
@@ -41,20 +43,31 @@ def count_triangles(edges: DataFrame, spec: BuildSpec = BuildSpec()) -> DataFram
     return cobucket_probe(ia, ib, "count").select(F.col("n_pairs").alias("n_triangles"))
 
 
-def kmers(docs: DataFrame, doc_id: str, text: str, k: int = 12) -> DataFrame:
-    """(doc_id, pos, kmer): every run of k characters; shorter texts have none."""
-    long = docs.where(F.length(text) >= k)
-    every = F.transform(F.sequence(F.lit(0), F.length(text) - k), lambda i: F.struct(i.alias("pos"), F.substring(F.col(text), i + 1, F.lit(k)).alias("kmer")))
-    return long.select(F.col(doc_id).alias("doc_id"), F.explode(every).alias("w")).select("doc_id", "w.pos", "w.kmer")
+def kmers(docs: DataFrame, doc_id: str, text: str, k: int = 12, block: int = 512) -> DataFrame:
+    """(doc_id, pos, kmer): every run of k characters; shorter texts have none.
+
+    Texts are cut into overlapping blocks first, since reaching a character costs as much as skipping those before it.
+    """
+    last = F.floor((F.length(text) - k) / block).cast("int")
+    blocks = F.transform(F.sequence(F.lit(0), last), lambda b: F.struct((b * block).alias("at"), F.substring(F.col(text), b * block + 1, F.lit(block + k - 1)).alias("body")))
+    cut = docs.where(F.length(text) >= k).select(F.col(doc_id).alias("doc_id"), F.explode(blocks).alias("b")).select("doc_id", "b.at", "b.body")
+    every = F.transform(F.sequence(F.lit(0), F.length("body") - k), lambda i: F.struct((F.col("at") + i).alias("pos"), F.substring(F.col("body"), i + 1, F.lit(k)).alias("kmer")))
+    return cut.select("doc_id", F.explode(every).alias("w")).select("doc_id", "w.pos", "w.kmer")
 
 
-def kmer_lookup(docs: DataFrame, items: DataFrame, doc_id: str, item_id: str, text: str = "text", k: int = 12, spec: BuildSpec = BuildSpec()) -> DataFrame:
-    """(doc_id, item_id, shared): distinct k-mers of an item that a document holds; the item side's k-mers are indexed."""
-    left = kmers(docs, doc_id, text, k).select("doc_id", "kmer").distinct()
+def kmer_lookup(docs: DataFrame, items: DataFrame, doc_id: str, item_id: str, text: str = "text", k: int = 12, spec: BuildSpec = BuildSpec(), broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
+    """(doc_id, item_id, shared): distinct k-mers of an item that a document holds.
+
+    The items' k-mers are indexed; documents' k-mers are looked up as they are cut, before anything is grouped.
+    """
     right = kmers(items.withColumnRenamed(item_id, "_item"), "_item", text, k).select(F.col("doc_id").alias("item_id"), "kmer").distinct()
-    ia, ib = build_pair(left, right, "kmer", "kmer", spec=spec, payload_a=["doc_id"], payload_b=["item_id"])
-    met = ia.edges.select(*PLACE, "key", "doc_id").join(ib.edges.select(*PLACE, "key", "item_id"), [*PLACE, "key"])
-    return met.groupBy("doc_id", "item_id").agg(F.count("*").alias("shared"))
+    index = build_binned(right, "kmer", None, spec, ["item_id"])
+    built = index.edges.select(F.col("bucket").alias("_b"), F.col("key").alias("_k"), "item_id")
+    if index.layout.n * (spec.row_bytes + k) <= broadcast_bytes:
+        built = F.broadcast(built)
+    left = kmers(docs, doc_id, text, k).select("doc_id", "kmer").withColumn("bucket", bucket_of([F.col("kmer")], index.layout.v, spec.hash))
+    met = left.join(built, (F.col("bucket") == F.col("_b")) & (F.col("kmer") == F.col("_k")))
+    return met.select("doc_id", "item_id", "kmer").distinct().groupBy("doc_id", "item_id").agg(F.count("*").alias("shared"))
 
 
 def cells(vectors: DataFrame, width: float, dims: int = 3, embedding: str = "embedding") -> DataFrame:
