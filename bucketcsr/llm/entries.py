@@ -74,7 +74,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_host_rules": OP4_SQL}
+    return {"op4_host_rules": OP4_SQL, "op7_cap_filter_neardup": OP7_SQL}
 
 
 #: Text counts in list arithmetic; the verdict of hosts by the same moments as the operator's.
@@ -109,3 +109,19 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base
        NOT base_failed AND NOT EXISTS (SELECT 1 FROM rejected r WHERE r.source IS NOT DISTINCT FROM judged.source) AS kept
 FROM judged
 """
+
+#: All pairs of equal labels, and everything that links reach; for small tables.
+OP7_SQL = """
+WITH RECURSIVE v AS (
+  SELECT row_number() OVER () AS rn, vec_id, label, list_transform(embedding, lambda x: x::DOUBLE) AS e FROM embeddings),
+fine AS (
+  SELECT * FROM v WHERE label IS NOT NULL AND e IS NOT NULL AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+  AND len(list_filter(e, lambda x: x <> 0)) > 0),
+links AS (
+  SELECT a.rn AS x, b.rn AS y FROM fine a JOIN fine b ON a.label = b.label AND a.rn <> b.rn AND len(a.e) = len(b.e)
+  WHERE list_cosine_similarity(a.e, b.e) >= 0.98),
+reach AS (SELECT rn AS s, rn AS t FROM v UNION SELECT r.s, l.y FROM reach r JOIN links l ON r.t = l.x),
+named AS (SELECT r.s, min(v.vec_id) AS component_id FROM reach r JOIN v ON v.rn = r.t GROUP BY r.s)
+SELECT v.vec_id, (SELECT count(*) FROM links l WHERE l.x = v.rn) AS n_links, n.component_id, v.vec_id = n.component_id AS kept
+FROM v JOIN named n ON n.s = v.rn
+"""
