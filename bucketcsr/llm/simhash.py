@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from . import words as W
 from .components import Forest, connected
-from .shared import deal_tiles, fresh, map_text, store
+from .shared import deal_tiles, forget, fresh, map_text, store, store_at
 
 BITS = 64
 
@@ -328,12 +328,14 @@ def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, kee
         distinct = store(distinct)
         bodies = prints.select(F.col(tag).alias("_t"), F.col("_sketch").alias("sketch"), F.col("_bands").alias("bands"))
         # texts without words are copies of each other and similar to nothing else
-        sets = store(distinct.join(bodies, distinct["uid"] == bodies["_t"]).where(F.octet_length("sketch") > 0).select("uid", "fp", "sketch", "bands"))
+        sets, sets_at = store_at(distinct.join(bodies, distinct["uid"] == bodies["_t"]).where(F.octet_length("sketch") > 0).select("uid", "fp", "sketch", "bands"))
         edges = similar_links(sets, similarity)
     else:
         distinct = store(distinct.withColumn("uid", F.col("fp")))
         edges = links(distinct.select("fp"), radius)
     reached = store(connected(edges, contracted=True))
+    if similarity:
+        forget(docs.sparkSession, sets_at)  # the shingle sketches are by far the largest table, and done with
     # smallest doc_id of each component, over its distinct texts only
     rooted = distinct.join(reached, distinct["uid"] == reached["node"], "left").select("fp", "_set", "least", F.coalesce("root", "uid").alias("root"))
     rooted = store(rooted)
