@@ -349,8 +349,11 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     Links by distance (width, radius), or by similarity where that is given.
     """
     keep = [c for c in (docs.columns if keep is None else keep) if c.lower() not in ("fp", "component_id")]
-    prints, named, _, _ = _named(docs, doc_id, text, width, radius, keep, similarity)
-    return prints.join(named, (prints["fp"] == named["_fp"]) & (prints["_set"] == named["_name"])).select(*[prints[c] for c in keep], "fp", "component_id")
+    clean = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(docs.columns)])
+    at = {c: f"c{i}" for i, c in enumerate(docs.columns)}
+    prints, named, _, _ = _named(clean, at[doc_id], at[text], width, radius, [at[c] for c in keep], similarity)
+    joined = prints.join(named, (prints["fp"] == named["_fp"]) & (prints["_set"] == named["_name"]))
+    return joined.select(*[prints[at[c]].alias(c) for c in keep], "fp", "component_id")
 
 
 def one_per_group(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, similarity: Similarity | None = None) -> DataFrame:
