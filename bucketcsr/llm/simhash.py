@@ -12,8 +12,8 @@ yields a spanning forest of its links, not its pairs; `components.connected` joi
 Two ways to link. By distance: fingerprints within `radius` bits. By similarity (`Similarity`): texts whose sets of word
 shingles have a Jaccard similarity of `least` or more. There fingerprints of similar texts may be ten and more bits apart, so
 shards come from bands of minwise values instead of equal blocks; in a shard the BK-tree proposes texts within the wider radius,
-and each proposal is verified on the shingle sets (on their smallest `sketch` hashes where a set is larger; those are a fair sample of both
-sets). Shards of over `tile` texts are cut into tiles of chunk against chunk. Copies collapse first in either way.
+and each proposal is verified on the whole shingle sets, which are made only for texts that share a shard with another. Shards of over `tile`
+texts or `tile_shingles` shingles are cut into tiles of chunk against chunk. Copies collapse first in either way.
 
 Null text: as empty, fingerprint zero. Null doc_id: takes part in links, and never is a component's id unless
 no member has one (then the id is null). Repeated rows are kept. Empty table: empty result.
@@ -199,13 +199,13 @@ class Similarity:
     bands: int = 10
     rows: int = 3
     radius: int = 17
-    sketch: int = 512
     tile: int = 1500
+    tile_shingles: int = 1 << 22
     seed: int = 13
 
 
-def shingle_sets(texts: pa.Array, spec: Similarity) -> list[pa.Array]:
-    """fp, a second 64-bit name of the set, the set's smallest hashes (32 bits, sorted, binary), and one key per band."""
+def _shingles(texts: pa.Array, spec: Similarity) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct 64-bit shingle hashes, sorted inside each text, and the n + 1 offsets of the texts."""
     raw, offsets = W.flat(texts)
     words = W.split(W.LOWER[raw], offsets)
     ids, distinct = words.encoded()
@@ -229,39 +229,46 @@ def shingle_sets(texts: pa.Array, spec: Similarity) -> list[pa.Array]:
     new = np.ones(len(doc), bool)
     new[1:] = (doc[1:] != doc[:-1]) | (hashes[1:] != hashes[:-1])
     hashes, doc = hashes[new], doc[new]
-    at = np.searchsorted(doc, np.arange(len(shingles) + 1))
+    return hashes, np.searchsorted(doc, np.arange(len(shingles) + 1))
+
+
+def whole_sets(texts: pa.Array, spec: Similarity) -> list[pa.Array]:
+    """Each text's set as sorted 64-bit hashes (binary)."""
+    hashes, at = _shingles(texts, spec)
+    return [pa.array([hashes[a:b].tobytes() for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)], pa.binary())]
+
+
+def shingle_sets(texts: pa.Array, spec: Similarity) -> list[pa.Array]:
+    """fp, a second 64-bit name of the set, the set's size, and one key per band."""
+    hashes, at = _shingles(texts, spec)
     sums = np.zeros(len(hashes) + 1, np.uint64)
     np.cumsum(W.mixed(hashes + np.uint64(7)), out=sums[1:])
     name = W.mixed(sums[at[1:]] - sums[at[:-1]] + np.diff(at).astype(np.uint64))
-    short = (hashes >> np.uint64(32)).astype(np.uint32)
-    sketches = [short[a : min(b, a + spec.sketch)].tobytes() for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
     full = np.flatnonzero(np.diff(at))
-    keys = np.zeros((len(shingles), spec.bands), np.uint64)
+    keys = np.zeros((len(texts), spec.bands), np.uint64)
     odd = np.random.default_rng(spec.seed).integers(1, 2**63, spec.bands * spec.rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
     for i, factor in enumerate(odd):
         if len(full):
             least = np.minimum.reduceat((hashes ^ (hashes >> np.uint64(29))) * factor, at[full])
             keys[full, i // spec.rows] = W.mixed(keys[full, i // spec.rows] * np.uint64(5) + least)
     key_lists = pa.FixedSizeListArray.from_arrays(pa.array(keys.view(np.int64).reshape(-1)), spec.bands).cast(pa.list_(pa.int64()))
-    return [pa.array(majority(hashes, at).view(np.int64)), pa.array(name.view(np.int64)), pa.array(sketches, pa.binary()), key_lists]
+    return [pa.array(majority(hashes, at).view(np.int64)), pa.array(name.view(np.int64)), pa.array(np.diff(at).astype(np.int64)), key_lists]
 
 
-def _similar_fraction(a: np.ndarray, b: np.ndarray, most: int) -> float:
-    """Jaccard similarity of two sorted sketches: exact if neither is cut, else over the range that both hold completely."""
-    top = min(int(a[-1]) if len(a) >= most else 1 << 32, int(b[-1]) if len(b) >= most else 1 << 32)
-    a, b = a[: np.searchsorted(a, top, "right")], b[: np.searchsorted(b, top, "right")]
-    both = len(np.intersect1d(a, b, assume_unique=False))
+def _similarity(a: np.ndarray, b: np.ndarray) -> float:
+    """Jaccard similarity of two whole sets."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
     return both / (len(a) + len(b) - both) if both else 0.0
 
 
 def _meet(spec: Similarity):
-    """Reads (band, key, one, two, mine, uid, fp, sketch) sorted by the first four; yields forest edges of similar texts."""
+    """Reads (band, key, one, two, mine, uid, fp, shingles) sorted by the first four; yields forest edges of similar texts."""
 
     def tile(rows: list[tuple], forest: Forest, found: list[tuple[int, int]]) -> None:
         one, two = rows[0][2], rows[0][3]
         tree = BKTree()
         members: dict[int, list[int]] = {}
-        sets = [np.frombuffer(r[7], np.uint32) for r in rows]
+        sets = [np.frombuffer(r[7], np.uint64) for r in rows]
         rows_of_one = [i for i, r in enumerate(rows) if r[4] == one]
         others = [] if one == two else [i for i, r in enumerate(rows) if r[4] == two]
 
@@ -273,7 +280,7 @@ def _meet(spec: Similarity):
                     # sets of too different sizes can't be similar enough
                     if small < spec.least * large or forest.root(a) == forest.root(b):
                         continue
-                    if _similar_fraction(sets[i], sets[j], spec.sketch) >= spec.least:
+                    if _similarity(sets[i], sets[j]) >= spec.least:
                         forest.union(a, b)
                         found.append((a, b))
 
@@ -302,14 +309,21 @@ def _meet(spec: Similarity):
     return run
 
 
-def similar_links(sets: DataFrame, spec: Similarity) -> DataFrame:
-    """sets(uid, fp, sketch, bands) of distinct texts -> forest edges (u, v) over uid."""
-    banded = sets.select("uid", F.posexplode("bands").alias("band", "key"))
-    dealt = deal_tiles(banded, ["band", "key"], "uid", spec.tile)
-    bodies = sets.select(F.col("uid").alias("_u"), "fp", "sketch")
+def similar_links(sets: DataFrame, texts: DataFrame, spec: Similarity) -> DataFrame:
+    """sets(uid, fp, n, bands) of distinct texts, texts(t, body) with t a uid -> forest edges (u, v) over uid."""
+    spark = sets.sparkSession
+    banded = sets.select("uid", "fp", "n", F.posexplode("bands").alias("band", "key"))
+    dealt, dealt_at = store_at(deal_tiles(banded, ["band", "key"], "uid", spec.tile, "n", spec.tile_shingles).drop("n"))
+    # sets are large: only of texts that meet another one
+    met = dealt.select(F.col("uid").alias("_u")).distinct()
+    whole = map_text(texts.join(met, texts["t"] == met["_u"], "left_semi"), "body", [T.StructField("shingles", T.BinaryType())], lambda t: whole_sets(t, spec), ["t"])
+    whole, whole_at = store_at(whole)
     keys = ["band", "key", "one", "two"]
-    full = dealt.join(bodies, dealt["uid"] == bodies["_u"]).select(*keys, "mine", "uid", "fp", "sketch")
-    return full.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_meet(spec), "u long, v long")
+    full = dealt.join(whole, dealt["uid"] == whole["t"]).select(*keys, "mine", "uid", "fp", "shingles")
+    edges = store(full.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_meet(spec), "u long, v long"))
+    forget(spark, dealt_at)
+    forget(spark, whole_at)
+    return edges
 
 
 def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, keep: list[str], similarity: Similarity | None = None) -> tuple[DataFrame, DataFrame, str, str]:
@@ -318,24 +332,24 @@ def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, kee
     tag = fresh([*docs.columns, ident], "_tag")
     marked = docs.withColumn(ident, F.col(f"`{doc_id}`").cast("long"))
     if similarity:
-        added = [T.StructField("fp", T.LongType()), T.StructField("_set", T.LongType()), T.StructField("_sketch", T.BinaryType()), T.StructField("_bands", T.ArrayType(T.LongType()))]
-        prints = map_text(marked, text, added, lambda t: shingle_sets(t, similarity), [*keep, ident])
+        added = [T.StructField("fp", T.LongType()), T.StructField("_set", T.LongType()), T.StructField("_n", T.LongType()), T.StructField("_bands", T.ArrayType(T.LongType()))]
+        prints = map_text(marked, text, added, lambda t: shingle_sets(t, similarity), [*keep, *([] if text in keep else [text]), ident])
     else:
         prints = map_text(marked, text, [T.StructField("fp", T.LongType()), T.StructField("_set", T.LongType())], lambda t: [fingerprints(t, width), pa.array(np.zeros(len(t), np.int64))], [*keep, ident])
     prints = store(prints.withColumn(tag, F.monotonically_increasing_id()))
     distinct = prints.groupBy("fp", "_set").agg(F.min(ident).alias("least"), F.min(tag).alias("uid"))
     if similarity:
         distinct = store(distinct)
-        bodies = prints.select(F.col(tag).alias("_t"), F.col("_sketch").alias("sketch"), F.col("_bands").alias("bands"))
+        bodies = prints.select(F.col(tag).alias("_t"), F.col("_n").alias("n"), F.col("_bands").alias("bands"))
         # texts without words are copies of each other and similar to nothing else
-        sets, sets_at = store_at(distinct.join(bodies, distinct["uid"] == bodies["_t"]).where(F.octet_length("sketch") > 0).select("uid", "fp", "sketch", "bands"))
-        edges = similar_links(sets, similarity)
+        sets, sets_at = store_at(distinct.join(bodies, distinct["uid"] == bodies["_t"]).where("n > 0").select("uid", "fp", "n", "bands"))
+        edges = similar_links(sets, prints.select(F.col(tag).alias("t"), F.col(text).alias("body")), similarity)
     else:
         distinct = store(distinct.withColumn("uid", F.col("fp")))
         edges = links(distinct.select("fp"), radius)
     reached = store(connected(edges, contracted=True))
     if similarity:
-        forget(docs.sparkSession, sets_at)  # the shingle sketches are by far the largest table, and done with
+        forget(docs.sparkSession, sets_at)
     # smallest doc_id of each component, over its distinct texts only
     rooted = distinct.join(reached, distinct["uid"] == reached["node"], "left").select("fp", "_set", "least", F.coalesce("root", "uid").alias("root"))
     rooted = store(rooted)
@@ -365,7 +379,7 @@ def one_per_group(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", w
     clean = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(columns)])
     at = {c: f"c{i}" for i, c in enumerate(columns)}
     prints, named, ident, tag = _named(clean, at[doc_id], at[text], width, radius, clean.columns, similarity)
-    rows = prints.drop("_sketch", "_bands")
+    rows = prints.drop("_n", "_bands")
     chosen = rows.join(named, (rows["fp"] == named["_fp"]) & (rows["_set"] == named["_name"]) & rows[ident].eqNullSafe(named["component_id"]))
     slim = prints.select(F.col("fp").alias("_f"), F.col("_set").alias("_s"), F.col(ident).alias("_i"), F.col(tag).alias("_t"))
     repeated = slim.groupBy("_f", "_s", "_i").agg(F.min("_t").alias("_first"), F.count("*").alias("_n")).where("_n > 1")

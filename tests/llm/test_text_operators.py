@@ -286,3 +286,22 @@ def test_similar_texts_are_linked_and_others_are_not(spark, dirty):
     assert kept.columns == dirty.columns
     assert sorted(r["doc_id"] for r in kept.where("doc_id is not null").collect()) == [1, 4, 5, 6, 7, 8]
     assert simhash.one_per_group(dirty.limit(0), similarity=simhash.Similarity()).count() == 0
+
+
+def parted(name, n, shared):
+    """Two texts of n five-word shingles each that share the first ones."""
+    head = [f"{name}x{k}" for k in range(shared + 4)]
+    return [" ".join(head + [f"{name}{side}{k}" for k in range(n - shared)]) for side in "ab"]
+
+
+def test_long_texts_are_compared_whole(spark):
+    # 1,500 shared shingles of 1,680 each: 0.806; 1,485: 0.792
+    rows, i = [], 0
+    for shared in (1500, 1485):
+        for k in range(12):
+            rows += [(i + j, t) for j, t in enumerate(parted(f"p{shared}n{k}", 1680, shared))]
+            i += 2
+    df = spark.createDataFrame(rows, "doc_id bigint, text string").repartition(4)
+    for spec in (simhash.Similarity(), simhash.Similarity(tile_shingles=1000)):
+        got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(df, keep=["doc_id"], similarity=spec).collect()}
+        assert got == {k: k - k % 2 if k < 24 else k for k in range(48)}
