@@ -11,8 +11,8 @@ yields a spanning forest of its links, not its pairs; `components.connected` joi
 
 Two ways to link. By distance: fingerprints within `radius` bits. By similarity (`Similarity`): texts whose sets of word
 shingles have a Jaccard similarity of `least` or more. There fingerprints of similar texts may be ten and more bits apart, so
-shards come from bands of minwise values instead of equal blocks; in a shard the BK-tree proposes texts within the wider radius,
-and each proposal is verified on the whole shingle sets, which are made only for texts that share a shard with another. Shards of over `tile`
+shards come from bands of minwise values instead of equal blocks. Every two texts of a shard that nothing links yet are compared by
+their whole shingle sets, however far apart their fingerprints are; the sets are made only for texts that share a shard with another. Shards of over `tile`
 texts or `tile_shingles` shingles are cut into tiles of chunk against chunk. Copies collapse first in either way.
 
 Null text: as empty, fingerprint zero. Null doc_id: takes part in links, and never is a component's id unless
@@ -191,14 +191,13 @@ def links(distinct_fps: DataFrame, radius: int = 2) -> DataFrame:
 class Similarity:
     """least: Jaccard similarity of sets of `width` words; bands x rows: minwise values, one shard per band.
 
-    At similarity 0.8 two texts share a shard with probability 1 - (1 - 0.8^3)^10 = 0.9992 and lie within the radius with 0.98.
+    At similarity 0.8 two texts share a shard with probability 1 - (1 - 0.8^3)^10 = 0.9992; those that do are compared exactly.
     """
 
     least: float = 0.8
     width: int = 5
     bands: int = 10
     rows: int = 3
-    radius: int = 17
     tile: int = 1500
     tile_shingles: int = 1 << 22
     seed: int = 13
@@ -262,36 +261,46 @@ def _similarity(a: np.ndarray, b: np.ndarray) -> float:
 
 
 def _meet(spec: Similarity):
-    """Reads (band, key, one, two, mine, uid, fp, shingles) sorted by the first four; yields forest edges of similar texts."""
+    """Reads (band, key, one, two, mine, uid, shingles) sorted by the first four; yields forest edges of similar texts."""
 
     def tile(rows: list[tuple], forest: Forest, found: list[tuple[int, int]]) -> None:
         one, two = rows[0][2], rows[0][3]
-        tree = BKTree()
-        members: dict[int, list[int]] = {}
-        sets = [np.frombuffer(r[7], np.uint64) for r in rows]
-        rows_of_one = [i for i, r in enumerate(rows) if r[4] == one]
-        others = [] if one == two else [i for i, r in enumerate(rows) if r[4] == two]
-
-        def check(i: int, near: list[int]) -> None:
-            for value in near:
-                for j in members[value]:
-                    a, b = rows[i][5], rows[j][5]
-                    small, large = sorted((len(sets[i]), len(sets[j])))
-                    # sets of too different sizes can't be similar enough
-                    if small < spec.least * large or forest.root(a) == forest.root(b):
+        uids = [r[5] for r in rows]
+        sets = [np.frombuffer(r[6], np.uint64) for r in rows]
+
+        def similar(i: int, j: int) -> bool:
+            small, large = sorted((len(sets[i]), len(sets[j])))
+            # sets of too different sizes can't be similar enough
+            return small >= spec.least * large and _similarity(sets[i], sets[j]) >= spec.least
+
+        # members by what is linked so far: one link to a group spares the rest of it
+        groups: dict[int, list[int]] = {}
+
+        def meet(i: int) -> list[int]:
+            """Takes out the groups that i is linked to and returns their members."""
+            mine: list[int] = []
+            for head, members in list(groups.items()):
+                if forest.root(uids[i]) != forest.root(uids[members[0]]):
+                    j = next((j for j in reversed(members) if similar(i, j)), None)
+                    if j is None:
                         continue
-                    if _similarity(sets[i], sets[j]) >= spec.least:
-                        forest.union(a, b)
-                        found.append((a, b))
-
-        for i in rows_of_one:
-            value = rows[i][6] & (2**64 - 1)
-            near = tree.near_then_add(value, spec.radius)
-            if one == two:
-                check(i, near)
-            members.setdefault(value, []).append(i)
-        for i in others:
-            check(i, tree.near(rows[i][6] & (2**64 - 1), spec.radius))
+                    forest.union(uids[i], uids[j])
+                    found.append((uids[i], uids[j]))
+                mine += groups.pop(head)
+            return mine
+
+        first = [i for i, r in enumerate(rows) if r[4] == one]
+        if one == two:
+            for i in first:
+                groups[i] = [*meet(i), i]
+            return
+        by_root: dict[int, list[int]] = {}
+        for i in first:
+            by_root.setdefault(forest.root(uids[i]), []).append(i)
+        groups.update({members[0]: members for members in by_root.values()})
+        for i in (i for i, r in enumerate(rows) if r[4] == two):
+            if mine := meet(i):
+                groups[mine[0]] = mine
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         forest, found, rows = Forest(), [], []
@@ -310,16 +319,16 @@ def _meet(spec: Similarity):
 
 
 def similar_links(sets: DataFrame, texts: DataFrame, spec: Similarity) -> DataFrame:
-    """sets(uid, fp, n, bands) of distinct texts, texts(t, body) with t a uid -> forest edges (u, v) over uid."""
+    """sets(uid, n, bands) of distinct texts, texts(t, body) with t a uid -> forest edges (u, v) over uid."""
     spark = sets.sparkSession
-    banded = sets.select("uid", "fp", "n", F.posexplode("bands").alias("band", "key"))
+    banded = sets.select("uid", "n", F.posexplode("bands").alias("band", "key"))
     dealt, dealt_at = store_at(deal_tiles(banded, ["band", "key"], "uid", spec.tile, "n", spec.tile_shingles).drop("n"))
     # sets are large: only of texts that meet another one
     met = dealt.select(F.col("uid").alias("_u")).distinct()
     whole = map_text(texts.join(met, texts["t"] == met["_u"], "left_semi"), "body", [T.StructField("shingles", T.BinaryType())], lambda t: whole_sets(t, spec), ["t"])
     whole, whole_at = store_at(whole)
     keys = ["band", "key", "one", "two"]
-    full = dealt.join(whole, dealt["uid"] == whole["t"]).select(*keys, "mine", "uid", "fp", "shingles")
+    full = dealt.join(whole, dealt["uid"] == whole["t"]).select(*keys, "mine", "uid", "shingles")
     edges = store(full.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_meet(spec), "u long, v long"))
     forget(spark, dealt_at)
     forget(spark, whole_at)
@@ -342,7 +351,7 @@ def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, kee
         distinct = store(distinct)
         bodies = prints.select(F.col(tag).alias("_t"), F.col("_n").alias("n"), F.col("_bands").alias("bands"))
         # texts without words are copies of each other and similar to nothing else
-        sets, sets_at = store_at(distinct.join(bodies, distinct["uid"] == bodies["_t"]).where("n > 0").select("uid", "fp", "n", "bands"))
+        sets, sets_at = store_at(distinct.join(bodies, distinct["uid"] == bodies["_t"]).where("n > 0").select("uid", "n", "bands"))
         edges = similar_links(sets, prints.select(F.col(tag).alias("t"), F.col(text).alias("body")), similarity)
     else:
         distinct = store(distinct.withColumn("uid", F.col("fp")))

@@ -305,3 +305,14 @@ def test_long_texts_are_compared_whole(spark):
     for spec in (simhash.Similarity(), simhash.Similarity(tile_shingles=1000)):
         got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(df, keep=["doc_id"], similarity=spec).collect()}
         assert got == {k: k - k % 2 if k < 24 else k for k in range(48)}
+
+
+def test_short_similar_texts_are_linked_however_far_their_fingerprints_are(spark):
+    # sets of 4 and 5 shingles, similarity 0.8
+    rows = []
+    for k in range(150):
+        words = [f"s{k}w{j}" for j in range(9)]
+        rows += [(2 * k, " ".join(words)), (2 * k + 1, " ".join(words[:8]))]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string"), keep=["doc_id"], similarity=simhash.Similarity()).collect()}
+    apart = [k for k in range(150) if got[2 * k + 1] != 2 * k]
+    assert apart == []
