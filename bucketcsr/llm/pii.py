@@ -15,6 +15,7 @@ from __future__ import annotations
 import datetime
 import hashlib
 import re
+from bisect import bisect_left
 from collections.abc import Callable
 from functools import lru_cache
 
@@ -230,24 +231,22 @@ class Pseudonyms:
         """New text and (kind, start, end) of what was replaced, in the new text; every replacement keeps its length."""
         if not _MAYBE.search(text):
             return text, []
-        taken: list[tuple[int, int, str, str]] = []
+        taken: list[tuple[int, int, str, str]] = []  # sorted and disjoint
         for kind, finder, rule in _FINDERS:
             if (self.kinds and kind not in self.kinds) or (kind == "email" and "@" not in text):
                 continue
             for m in finder.finditer(text):
                 a, b = m.span()
-                if any(x < b and a < y for x, y, _, _ in taken[-64:]) and any(x < b and a < y for x, y, _, _ in taken):
+                k = bisect_left(taken, (a,))
+                if (k and taken[k - 1][1] > a) or (k < len(taken) and taken[k][0] < b):
                     continue
                 new = rule(m.group(), self.feistel, back)
                 if new is not None:
-                    taken.append((a, b, kind, new))
+                    taken.insert(k, (a, b, kind, new))
         if not taken:
             return text, []
-        taken.sort()
         out, at = [], 0
         for a, b, _, new in taken:
-            if a < at:
-                continue
             out += [text[at:a], new]
             at = b
         return "".join([*out, text[at:]]), [(kind, a, b) for a, b, kind, _ in taken]
