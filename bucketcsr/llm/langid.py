@@ -6,8 +6,8 @@ language over its training texts. A text gets the language whose prototype has t
 
 N-grams run inside words framed by one blank. In a batch each distinct n-gram's vector is made once, and all
 texts' bundles come from one product of the text x n-gram counts with those vectors; sums are of whole numbers, so
-results don't depend on how rows are batched. Prototypes come from at most about `sample` texts of each of the
-`languages` most frequent values (both documented parameters); they go along with the scoring function.
+results don't depend on how rows are batched. Prototypes come from about `sample` rows of every language, and one at
+least, however often a text is repeated; they go along with the scoring function (8 KB for each language).
 
 Null text or no letter: `und`, score 0. No training rows: `und` for all. Null language: never learned from.
 """
@@ -33,7 +33,6 @@ class Hyper:
     width: int = 1024
     n: int = 3
     sample: int = 1500  # training texts per language, about
-    languages: int = 2000
     seed: int = 3
     kept: int = 6000  # n-gram vectors that a worker remembers
 
@@ -108,15 +107,22 @@ class Profiles:
         return counts.astype(kind_of) @ vectors.astype(kind_of), has
 
 
-def learn(docs: DataFrame, text: str = "text", lang: str = "lang", spec: Hyper = Hyper()) -> tuple[list[str], np.ndarray]:
+def draw(docs: DataFrame, text: str = "text", lang: str = "lang", doc_id: str | None = None, spec: Hyper = Hyper()) -> DataFrame:
+    """Training rows (l, t): about spec.sample of each language, by a hash of id and text, and its smallest hash in any case.
+
+    Rows with equal id, text and language count once.
+    """
+    ident = F.col(f"`{doc_id}`").cast("string") if doc_id else F.lit(None).cast("string")
+    rows = docs.select(F.col(f"`{text}`").alias("t"), F.col(f"`{lang}`").cast("string").alias("l"), ident.alias("i")).where("l is not null and t is not null")
+    rows = rows.select("l", "t", F.xxhash64(F.lit(spec.seed), F.coalesce("i", F.lit("")), "t").alias("h"))
+    shares = store(rows.groupBy("l").agg((F.lit(float(spec.sample)) / F.count("*")).alias("share"), F.min("h").alias("first")))
+    drawn = rows.join(F.broadcast(shares), "l").where((F.pmod("h", F.lit(1 << 30)) < F.col("share") * (1 << 30)) | (F.col("h") == F.col("first")))
+    return drawn.dropDuplicates(["l", "h"]).select("l", "t")
+
+
+def learn(docs: DataFrame, text: str = "text", lang: str = "lang", spec: Hyper = Hyper(), doc_id: str | None = None) -> tuple[list[str], np.ndarray]:
     """Languages and their prototypes (languages x width) from the rows given."""
-    rows = docs.select(F.col(f"`{text}`").alias("t"), F.col(f"`{lang}`").cast("string").alias("l")).where("l is not null and t is not null")
-    found = rows.groupBy("l").count().orderBy(F.desc("count"), "l").limit(spec.languages).collect()
-    if not found:
-        return [], np.zeros((0, spec.width))
-    chance = {r["l"]: min(1.0, spec.sample / r["count"]) for r in found}
-    shares = docs.sparkSession.createDataFrame(list(chance.items()), "l string, share double")
-    drawn = rows.join(F.broadcast(shares), "l").where(F.pmod(F.xxhash64(F.lit(spec.seed), "t"), F.lit(1 << 30)) < F.col("share") * (1 << 30))
+    drawn = draw(docs, text, lang, doc_id, spec)
 
     def bundle(batches):
         profiles, sums = Profiles(spec), {}
@@ -130,7 +136,7 @@ def learn(docs: DataFrame, text: str = "text", lang: str = "lang", spec: Hyper =
         yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.string()), pa.array([v.tolist() for v in sums.values()], pa.list_(pa.int64()))], names=["l", "v"])
 
     # the sample is small: a few tasks, each with one row per language
-    parts = store(drawn.select("l", "t").repartition(8).mapInArrow(bundle, "l string, v array<bigint>")).collect()
+    parts = store(drawn.repartition(8).mapInArrow(bundle, "l string, v array<bigint>")).collect()
     total: dict[str, np.ndarray] = {}
     for name, v in parts:
         total[name] = total.get(name, 0) + np.array(v, np.int64)
@@ -160,6 +166,6 @@ def identify(docs: DataFrame, names: list[str], prototypes: np.ndarray, text: st
 def predict_documents(docs: DataFrame, doc_id: str = "doc_id", spec: Hyper = Hyper()) -> DataFrame:
     """doc_id, held_out, lang_pred, score: learns from rows whose id's crc32 mod 4 is not 2."""
     fold: Column = remainder(F.col(f"`{doc_id}`"), 4)
-    names, prototypes = learn(docs.where(fold != 2), spec=spec)
+    names, prototypes = learn(docs.where(fold != 2), spec=spec, doc_id=doc_id)
     made = identify(docs, names, prototypes, keep=[doc_id], spec=spec)
     return made.select(F.col(f"`{doc_id}`"), F.coalesce(fold == 2, F.lit(False)).alias("held_out"), "lang_pred", "score")
