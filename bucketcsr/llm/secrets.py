@@ -50,13 +50,12 @@ def _features(value: Column, named: Column, before: Column, path: Column) -> lis
     share = lambda pattern: F.regexp_count(value, F.lit(pattern)) / size
     # transitions: places where the class of the character changes
     changes = r"[A-Z](?=[^A-Z])|[a-z](?=[^a-z])|[0-9](?=[^0-9])"
-    cut = F.substring(value, 1, 64)
     return [
         size.cast("double"),
         share("[0-9]"),
         share("[A-Z]"),
         share(changes),
-        F.size(F.array_distinct(F.split(cut, ""))) / F.least(size, F.lit(64)),
+        F.size(F.array_distinct(F.split(value, ""))) / F.least(size, F.lit(64)),
         1 - F.length(F.regexp_replace(value, DICTIONARY, "")) / size,
         F.when(value.rlike(PREFIXES), 1.0).otherwise(0.0),
         F.when(named, 1.0).otherwise(0.0),
