@@ -51,7 +51,7 @@ def test_pseudonyms_keep_the_format_and_come_back(text, kinds):
 
 def test_pseudonyms_link_equal_values_across_rows(spark):
     df = spark.createDataFrame([(1, "a 4532015112830366"), (2, "4532015112830366 b"), (3, None), (4, "")], "doc_id bigint, text string")
-    got = {r["doc_id"]: r for r in pii.pseudonymise(df.selectExpr("*", "7 as kinds")).collect()}
+    got = {r["doc_id"]: r for r in pii.pseudonymise(df.selectExpr("*", "7 as kinds"), "a key").collect()}
     assert got[1]["text"][2:] == got[2]["text"][:16] != "4532015112830366"
     assert got[3]["text"] is None and got[4]["text"] == "" and got[1]["n_values"] == 1
 
