@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from secrets import token_hex
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -54,8 +55,13 @@ def op8_forest_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan(_table(spark, sf_dir, "documents"))
 
 
+#: The session's key of pseudonyms; where none is set, a run draws its own, so that nobody can invert its pseudonyms.
+PII_KEY = "spark.bucketcsr.pii.key"
+
+
 def op2_feistel_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pii.pseudonymise(_table(spark, sf_dir, "documents"), keep=["doc_id"])
+    key = spark.conf.get(PII_KEY, None) or token_hex(32)
+    return pii.pseudonymise(_table(spark, sf_dir, "documents"), key, keep=["doc_id"])
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -77,8 +83,18 @@ def oracle_sql() -> dict[str, str]:
     return {"op4_host_rules": OP4_SQL, "op7_cap_filter_neardup": OP7_SQL}
 
 
-#: Text counts in list arithmetic; the verdict of hosts by the same moments as the operator's.
-OP4_SQL = r"""
+#: Failures of each rule in SQL, in the order of host_rules.failures.
+_FAILED = {
+    "short": "n_words < 20",
+    "repeats": "100 * n_repeat_words > 30 * n_words",
+    "symbols": "10 * n_symbols > n_words",
+    "dup_lines": "10 * n_dup_lines > 3 * n_lines",
+    "word_size": "word_chars < 2 * n_words OR word_chars > 15 * n_words",
+}
+_LONG = " UNION ALL ".join(f"SELECT '{r}' AS rule, source, ({c})::INT AS bad FROM base" for r, c in _FAILED.items())
+
+#: Text counts in list arithmetic; the verdict of hosts by the same moments as the operator's, one row per host and rule.
+OP4_SQL = rf"""
 WITH d AS (
   SELECT doc_id, source, coalesce(text, '') AS t,
          regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
@@ -93,18 +109,21 @@ base AS (
   SELECT n.doc_id, n.source, len(w)::BIGINT AS n_words,
          coalesce(list_sum(list_transform(w, lambda x: length(x))), 0)::BIGINT AS word_chars,
          length(regexp_replace(t, '[^#*$%&|<>]', '', 'g'))::BIGINT AS n_symbols,
-         (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines,
+         (len(ls) - len(list_distinct(ls)))::BIGINT AS n_dup_lines, len(ls)::BIGINT AS n_lines,
          coalesce(c.n_rep, 0)::BIGINT AS n_repeat_words
   FROM numbered n LEFT JOIN cover c USING (rn)),
-judged AS (SELECT *, (n_words < 20 OR 100 * n_repeat_words > 30 * n_words) AS base_failed FROM base),
-hosts AS (SELECT source, count(*)::DOUBLE AS n, sum(base_failed::INT)::DOUBLE AS bad FROM judged GROUP BY source),
-total AS (SELECT sum(n) AS n, count(*)::DOUBLE AS k, sum(n * n) AS sq, least(greatest(sum(bad) / sum(n), 1e-6), 1 - 1e-6) AS m FROM hosts),
-spread AS (SELECT sum(h.n * pow(h.bad / h.n - t.m, 2)) AS s FROM hosts h, total t),
+judged AS (SELECT *, ({_FAILED['short']} OR {_FAILED['repeats']}) AS base_failed FROM base),
+hosts AS (SELECT rule, source, count(*)::DOUBLE AS n, sum(bad)::DOUBLE AS bad FROM ({_LONG}) GROUP BY rule, source),
+total AS (SELECT rule, sum(n) AS n, count(*)::DOUBLE AS k, sum(n * n) AS sq, least(greatest(sum(bad) / sum(n), 1e-6), 1 - 1e-6) AS m FROM hosts GROUP BY rule),
+spread AS (SELECT h.rule, sum(h.n * pow(h.bad / h.n - t.m, 2)) AS s FROM hosts h JOIN total t USING (rule) GROUP BY h.rule),
 between_hosts AS (
-  SELECT t.m, CASE WHEN t.n - t.sq / t.n > 0 THEN greatest(0.0, (s.s - (t.k - 1) * t.m * (1 - t.m)) / (t.n - t.sq / t.n)) ELSE 0.0 END AS v
-  FROM total t, spread s),
-prior AS (SELECT m, least(greatest(CASE WHEN v > 0 THEN m * (1 - m) / v - 1 ELSE 1e4 END, 2.0), 1e4) AS strength FROM between_hosts),
-rejected AS (SELECT h.source FROM hosts h, prior p WHERE h.n >= 20 AND (h.bad + p.m * p.strength) / (h.n + p.strength) > 0.8)
+  SELECT t.*, CASE WHEN t.n - t.sq / t.n > 0 THEN greatest(0.0, (s.s - (t.k - 1) * t.m * (1 - t.m)) / (t.n - t.sq / t.n)) ELSE 0.0 END AS v
+  FROM total t JOIN spread s USING (rule)),
+prior AS (SELECT rule, m, greatest(2.0, least(CASE WHEN v > 0 THEN m * (1 - m) / v - 1 ELSE n / k END, n / k)) AS strength FROM between_hosts),
+shrunk AS (SELECT h.source, h.n, p.*, (h.bad + p.m * p.strength) / (h.n + p.strength) AS rate FROM hosts h JOIN prior p USING (rule)),
+rejected AS (
+  SELECT DISTINCT source FROM shrunk
+  WHERE n >= 20 AND rate - 3 * sqrt(rate * (1 - rate) / (n + strength + 1)) > least(CASE WHEN rule IN ('short', 'repeats') THEN 0.8 ELSE 2 END, greatest(0.5, m + 2 * sqrt(m * (1 - m) / (strength + 1)))))
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
        NOT base_failed AND NOT EXISTS (SELECT 1 FROM rejected r WHERE r.source IS NOT DISTINCT FROM judged.source) AS kept
 FROM judged

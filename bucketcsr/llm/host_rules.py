@@ -1,12 +1,15 @@
 """Host-level quality rules.
 
-Each text is held against plain rules; the failures are counted by host, each host's failure rate is
-shrunk towards the rate of all hosts with a beta prior fitted to the hosts themselves (method of
-moments), and a host whose shrunk rate stays above `worst_rate` is rejected whole. Verdicts are joined
-back to the documents.
+Each text is held against the plain RULES; every rule's failures are counted by host. For each rule a beta prior is fitted to the
+hosts' failure rates (method of moments), and each host's rate is shrunk towards it: the posterior mean lies between the host's own
+share and the mean of all hosts, nearer to the latter the fewer texts the host has. The prior never weighs more than a host of
+mean size, so hosts that are all alike do not freeze it. A host falls as a whole when for some rule it is credibly both an outlier
+and bad: the posterior rate less `certain` posterior deviations lies above the rule's bar, which is the prior mean plus
+`outlying` prior deviations, `worst_rate` at least and, for the two rules that reject texts by themselves, `surely_bad` at most.
+Verdicts are joined back to the documents.
 
 Plan: one Arrow pass per text; a partial aggregate by host, one row per host; one small aggregate for
-the prior; a join of the *rejected* hosts (broadcast only below `broadcast_hosts`, else a shuffled
+the priors; a join of the *rejected* hosts (broadcast only below `broadcast_hosts`, else a shuffled
 join, whose hot hosts AQE splits).
 
 Null or empty text: no words, so the base rule rejects it. Null host: a host of its own. An empty table
@@ -16,6 +19,8 @@ gives an empty result. Repeated rows are judged row by row; extra columns are ig
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
+from operator import or_
 
 import numpy as np
 import pyarrow as pa
@@ -35,12 +40,31 @@ class HostRules:
 
     least_words: int = 20
     most_repeat: int = 30  # percent of words inside repeated windows
-    worst_rate: float = 0.8  # a host goes when its shrunk failure rate is above
+    worst_rate: float = 0.5  # a host's credible failure rate must be above this at least
+    surely_bad: float = 0.8  # rate of texts failing a base rule that no host may have, outlier or not
+    outlying: float = 2.0  # prior deviations above the mean of hosts
+    certain: float = 3.0  # posterior deviations below the host's shrunk rate
     least_docs: int = 20  # hosts with fewer texts are never rejected as hosts
     broadcast_hosts: int = 100_000
 
 
 FEATURES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+N_LINES = "n_lines"  # lines with a word; for the rules alone
+
+
+BASE = ("short", "repeats")
+
+
+def failures(rules: HostRules, col=F.col) -> dict[str, Column]:
+    """Whether a text fails each rule. Those in BASE make up the base rule; the others count for hosts only."""
+    n = col("n_words")
+    return {
+        "short": n < rules.least_words,
+        "repeats": 100 * col("n_repeat_words") > rules.most_repeat * n,
+        "symbols": 10 * col("n_symbols") > n,
+        "dup_lines": 10 * col("n_dup_lines") > 3 * col(N_LINES),
+        "word_size": (col("word_chars") < 2 * n) | (col("word_chars") > 15 * n),
+    }
 
 
 def repeated_words(ids: np.ndarray, first: np.ndarray, window: int = WINDOW) -> np.ndarray:
@@ -79,14 +103,14 @@ def repeated_words(ids: np.ndarray, first: np.ndarray, window: int = WINDOW) ->
     return W.sums((np.cumsum(cover[:-1]) > 0).astype(np.int64), first)
 
 
-def repeated_lines(raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-    """By text: lines with a word that equal an earlier line of the text."""
+def repeated_lines(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """By text: lines with a word that equal an earlier line of the text, and lines with a word."""
     newline = raw == 0x0A
     cuts = np.flatnonzero(newline)
     starts = np.union1d(offsets[:-1], cuts + 1)
     starts = starts[starts < len(raw)]
     if not len(starts):
-        return np.zeros(len(offsets) - 1, np.int64)
+        return np.zeros(len(offsets) - 1, np.int64), np.zeros(len(offsets) - 1, np.int64)
     before = np.zeros(len(raw) + 1, np.int64)
     np.cumsum(~newline, out=before[1:])
     filled = np.zeros(len(raw) + 1, np.int64)
@@ -101,7 +125,7 @@ def repeated_lines(raw: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     _, at = np.unique(keys, return_index=True)
     again = np.ones(len(keys), bool)
     again[at] = False
-    return np.bincount(doc[full][again], minlength=len(offsets) - 1)
+    return np.bincount(doc[full][again], minlength=len(offsets) - 1), np.bincount(doc[full], minlength=len(offsets) - 1)
 
 
 def features(texts: pa.Array) -> list[pa.Array]:
@@ -109,57 +133,69 @@ def features(texts: pa.Array) -> list[pa.Array]:
     words = W.split(raw, offsets)
     ids, _ = words.encoded()
     points = ((raw & 0xC0) != 0x80) & ~W.SPACE[raw]
-    made = (np.diff(words.first), W.sums(points, offsets), W.sums(SYMBOLS[raw], offsets), repeated_lines(raw, offsets), repeated_words(ids, words.first))
+    again, lines = repeated_lines(raw, offsets)
+    made = (np.diff(words.first), W.sums(points, offsets), W.sums(SYMBOLS[raw], offsets), again, repeated_words(ids, words.first), lines)
     return [pa.array(x.astype(np.int64)) for x in made]
 
 
 def measure(docs: DataFrame, text: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """The kept columns and the five counts of each text, under the names in FEATURES."""
-    return map_text(docs, text, [T.StructField(c, T.LongType()) for c in FEATURES], features, keep)
+    """The kept columns and the counts of each text, under the names in FEATURES and N_LINES."""
+    return map_text(docs, text, [T.StructField(c, T.LongType()) for c in (*FEATURES, N_LINES)], features, keep)
 
 
 def base_failed(rules: HostRules, col=F.col) -> Column:
-    return (col("n_words") < rules.least_words) | (100 * col("n_repeat_words") > rules.most_repeat * col("n_words"))
+    made = failures(rules, col)
+    return reduce(or_, (made[r] for r in BASE))
 
 
-def beta_prior(hosts: DataFrame) -> tuple[float, float]:
-    """Prior (a, b) of the failure rate from hosts(n, bad) by moments; one small aggregate."""
-    rate = F.col("bad") / F.col("n")
-    total = hosts.agg(F.sum("n"), F.sum("bad"), F.count("*"), F.sum(F.col("n") * F.col("n"))).first()
-    n, bad, k, squares = (float(x or 0) for x in total)
-    if not n:
-        return 1.0, 1.0
-    mean = min(max(bad / n, 1e-6), 1 - 1e-6)
-    spread = float(hosts.agg(F.sum(F.col("n") * F.pow(rate - F.lit(mean), 2))).first()[0] or 0)
-    # between-host variance: weighted spread less what binomial sampling alone would give
-    scale = n - squares / n
-    between = max(0.0, (spread - (k - 1) * mean * (1 - mean)) / scale) if scale > 0 else 0.0
-    strength = mean * (1 - mean) / between - 1 if between > 0 else 1e4
-    strength = min(max(strength, 2.0), 1e4)
-    return mean * strength, (1 - mean) * strength
-
+def beta_priors(hosts: DataFrame, names: list[str]) -> dict[str, tuple[float, float]]:
+    """By rule (mean, strength) of the beta prior of failure rates, from hosts(n, bad_<rule>...) by moments; two small aggregates.
 
-def host_verdicts(judged: DataFrame, host: str, failed: str, rules: HostRules) -> DataFrame:
-    """One row per host: host, n, bad, shrunk rate, rejected."""
-    hosts = store(judged.groupBy(F.col(host).alias("host")).agg(F.count("*").alias("n"), F.sum(F.col(failed).cast("long")).alias("bad")))
-    a, b = beta_prior(hosts)
-    rate = (F.col("bad") + F.lit(a)) / (F.col("n") + F.lit(a + b))
-    return hosts.withColumn("rate", rate).withColumn("rejected", (F.col("rate") > rules.worst_rate) & (F.col("n") >= rules.least_docs))
+    strength counts like so many texts: between 2 and the mean number of a host.
+    """
+    n, k, squares, *bad = (float(x or 0) for x in hosts.agg(F.sum("n"), F.count("*"), F.sum(F.col("n") * F.col("n")), *[F.sum(f"bad_{r}") for r in names]).first())
+    if not n:
+        return dict.fromkeys(names, (0.5, 2.0))
+    means = {r: min(max(x / n, 1e-6), 1 - 1e-6) for r, x in zip(names, bad, strict=True)}
+    spreads = hosts.agg(*[F.sum(F.col("n") * F.pow(F.col(f"bad_{r}") / F.col("n") - F.lit(m), 2)) for r, m in means.items()]).first()
+    scale, made = n - squares / n, {}
+    for (r, m), spread in zip(means.items(), spreads, strict=True):
+        # between-host variance: weighted spread less what binomial sampling alone would give
+        between = max(0.0, (float(spread) - (k - 1) * m * (1 - m)) / scale) if scale > 0 else 0.0
+        strength = m * (1 - m) / between - 1 if between > 0 else n / k
+        made[r] = (m, max(2.0, min(strength, n / k)))
+    return made
+
+
+def host_verdicts(judged: DataFrame, host: str, rules: HostRules) -> DataFrame:
+    """One row per host: host, n, failures and shrunk rate by rule, and the rules for which it falls (comma-joined; empty: it stays)."""
+    made = failures(rules)
+    counted = judged.groupBy(F.col(host).alias("host")).agg(F.count("*").alias("n"), *[F.sum(c.cast("long")).alias(f"bad_{r}") for r, c in made.items()])
+    hosts = store(counted)
+    fell = []
+    for r, (mean, strength) in beta_priors(hosts, list(made)).items():
+        rate = (F.col(f"bad_{r}") + F.lit(mean * strength)) / (F.col("n") + F.lit(strength))
+        sure = rate - rules.certain * F.sqrt(rate * (1 - rate) / (F.col("n") + F.lit(strength + 1)))
+        bar = max(rules.worst_rate, mean + rules.outlying * (mean * (1 - mean) / (strength + 1)) ** 0.5)
+        if r in BASE:
+            bar = min(bar, rules.surely_bad)
+        hosts = hosts.withColumn(f"rate_{r}", rate)
+        fell.append(F.when((sure > F.lit(bar)) & (F.col("n") >= rules.least_docs), F.lit(r)))
+    return hosts.withColumn("fell", F.concat_ws(",", *fell))
 
 
 def judge(docs: DataFrame, text: str = "text", host: str = "source", rules: HostRules = HostRules(), keep: list[str] | None = None) -> DataFrame:
-    """keep columns (default: all of docs) + FEATURES + base_failed, host_rate, kept; one row per input row.
+    """keep columns (default: all of docs) + FEATURES + base_failed, host_fell (rules, comma-joined), kept; one row per input row.
 
     Columns of docs that bear one of the added names are replaced.
     """
-    added = {*FEATURES, "base_failed", "host_rate", "kept"}
+    added = {*FEATURES, N_LINES, "base_failed", "host_fell", "kept"}
     keep = [c for c in (docs.columns if keep is None else keep) if c.lower() not in added]
     tag = fresh([*docs.columns, *added], "_host")
     tagged = docs.withColumn(tag, F.col(f"`{host}`").cast("string"))
     judged = store(measure(tagged, text, [*keep, tag]).withColumn("base_failed", base_failed(rules)))
-    verdicts = host_verdicts(judged, tag, "base_failed", rules).select(F.col("host").alias("_v_host"), F.col("rate").alias("_v_rate"), F.col("rejected").alias("_v_rejected"))
-    n_hosts = verdicts.count()
-    if n_hosts <= rules.broadcast_hosts:
-        verdicts = F.broadcast(verdicts)
-    joined = judged.join(verdicts, judged[tag].eqNullSafe(verdicts["_v_host"]), "left")
-    return joined.select(*[judged[c] for c in keep], *FEATURES, "base_failed", F.col("_v_rate").alias("host_rate"), (~F.col("base_failed") & ~F.coalesce(F.col("_v_rejected"), F.lit(False))).alias("kept"))
+    fallen = store(host_verdicts(judged, tag, rules).where("fell <> ''").select(F.col("host").alias("_v_host"), F.col("fell").alias("_v_fell")))
+    if fallen.count() <= rules.broadcast_hosts:
+        fallen = F.broadcast(fallen)
+    joined = judged.join(fallen, judged[tag].eqNullSafe(fallen["_v_host"]), "left")
+    return joined.select(*[judged[c] for c in keep], *FEATURES, "base_failed", F.coalesce("_v_fell", F.lit("")).alias("host_fell"), (~F.col("base_failed") & F.col("_v_fell").isNull()).alias("kept"))
