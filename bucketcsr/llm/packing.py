@@ -29,7 +29,10 @@ from pyspark.sql import DataFrame, Window, functions as F, types as T
 from .shared import fresh, slices, store
 
 END_ID = 1
-CACHE_ENTRIES = 300_000
+#: What a worker's memory of runs may hold, about; longer runs are never remembered.
+CACHE_BYTES = 64 << 20
+CACHE_RUN = 48
+ENTRY_BYTES = 200
 
 
 def default_vocabulary() -> str:
@@ -82,6 +85,7 @@ class Encoder:
         self.tokenizer.encode_special_tokens = True
         self.ranked = _ranked(vocabulary)
         self.known: dict[str, bytes] = {}
+        self.held = 0
 
     def whole(self, text: str) -> bytes:
         if self.ranked is not None:
@@ -93,17 +97,22 @@ class Encoder:
             return self.whole(text)
         first, *runs = text.split(" ")
         head = self.whole(first) if first else b""
-        known = self.known
         try:
-            return head + b"".join(map(known.__getitem__, runs))
+            return head + b"".join(map(self.known.__getitem__, runs))
         except KeyError:
-            if len(known) > CACHE_ENTRIES:
-                known.clear()
-            whole = self.whole
-            for w in runs:
-                if w not in known:
-                    known[w] = whole(" " + w)
-            return head + b"".join(map(known.__getitem__, runs))
+            return head + b"".join([self.known.get(w) or self._run(w) for w in runs])
+
+    def _run(self, run: str) -> bytes:
+        """Ids of a run behind its blank; short runs are remembered within CACHE_BYTES."""
+        ids = self.whole(" " + run)
+        if len(run) <= CACHE_RUN:
+            size = ENTRY_BYTES + 4 * len(run) + len(ids)
+            if self.held + size > CACHE_BYTES:
+                self.known.clear()
+                self.held = 0
+            self.known[run] = ids
+            self.held += size
+        return ids
 
 
 def cuts(tokens: int, window: int) -> list[tuple[int, int]]:
