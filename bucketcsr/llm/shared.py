@@ -106,14 +106,19 @@ def map_text(df: DataFrame, column: str, add: list[T.StructField], make: Callabl
 
 
 def deal_tiles(rows: DataFrame, group: list[str], member: str, tile: int, weight: str | None = None, most: int = 1) -> DataFrame:
-    """rows of groups of two or more, dealt to tasks by (group..., one, two) and sorted, with `mine` their chunk.
+    """rows of groups of two or more, dealt to tiles (group..., one, two), with `mine` their chunk.
 
     A group of over `tile` rows is cut into chunks by a hash of `member`; each row goes to one tile for every chunk it must meet,
     so every pair of a group's rows meets in exactly one tile and no tile holds more than two chunks. With a weight, groups
-    whose weights add up to over `most` are cut likewise.
+    whose weights add up to over `most` are cut likewise. Of groups with the very same members (told by number, ends and 128 bits of
+    hash) only one is dealt, since the others hold no pair that it lacks.
     """
     heavy = F.sum(weight) / most if weight else F.lit(0.0)
-    sizes = store(rows.groupBy(*group).agg(F.count("*").alias("_n"), heavy.alias("_w")).where("_n > 1").select(*[F.col(c).alias(f"_g_{c}") for c in group], F.ceil(F.greatest(F.col("_n") / tile, "_w")).cast("int").alias("_chunks")))
+    of = [F.bit_xor(F.xxhash64(member)).alias("_x"), F.bit_xor(F.xxhash64(F.lit(1), member)).alias("_y"), F.min(member).alias("_lo"), F.max(member).alias("_hi")]
+    sizes = rows.groupBy(*group).agg(F.count("*").alias("_n"), heavy.alias("_w"), *of).where("_n > 1")
+    sizes = sizes.withColumn("_chunks", F.ceil(F.greatest(F.col("_n") / tile, "_w")).cast("int"))
+    sizes = sizes.groupBy("_n", "_x", "_y", "_lo", "_hi").agg(F.min(F.struct(*group, "_chunks")).alias("_g"))
+    sizes = store(sizes.select(*[F.col(f"_g.{c}").alias(f"_g_{c}") for c in group], "_g._chunks"))
     joined = rows.join(sizes, [rows[c] == sizes[f"_g_{c}"] for c in group])
     mine = F.pmod(F.xxhash64(member), F.col("_chunks")).cast("int")
     dealt = joined.withColumn("mine", mine).withColumn("_peer", F.explode(F.sequence(F.lit(0), F.col("_chunks") - 1)))

@@ -4,10 +4,11 @@ Fingerprints of whole texts come from one Arrow pass. Copies of a fingerprint co
 any search. Fingerprints at most `radius` bits apart agree in all but `radius` of `radius + 4` bit blocks, so
 each distinct fingerprint is dealt to one shard for every choice of agreeing blocks, and two linked ones meet
 in at least one shard. A shard's fingerprints grow a BK-tree: children are keyed by their integer Hamming
-distance to the parent, and a search follows only edges within `radius` of its own distance. With the
-default radius a shard shares 43 or more bits, so it never holds over 2^21 fingerprints, whatever the data. Trees stay
-in the task of their shard instead of being broadcast, since all fingerprints together have no size bound. A shard
-yields a spanning forest of its links, not its pairs; `components.connected` joins the forests.
+distance to the parent, and a search follows only edges within `radius` of its own distance. No tree holds over about TREE
+fingerprints: a larger shard is cut into chunks, and each chunk's tree meets the other chunks in tiles of their own.
+A tree is replicated to the tasks that hold rows of its own shard, by an exchange, and to no others: a broadcast through the
+driver would carry the fingerprints of all documents, whose number has no bound. Of shards with the same members one is
+searched. A shard yields a spanning forest of its links, not its pairs; `components.connected` joins the forests.
 
 Two ways to link. By distance: fingerprints within `radius` bits. By similarity (`Similarity`): texts whose sets of word
 shingles have a Jaccard similarity of `least` or more. There fingerprints of similar texts may be ten and more bits apart, so
@@ -133,23 +134,29 @@ def block_masks(radius: int, extra: int = 4) -> list[int]:
     return [m - (1 << 64) if m >> 63 else m for m in masks]
 
 
+#: Fingerprints of one BK-tree, about.
+TREE = 1 << 14
+PLACE = ["shard", "masked", "one", "two"]
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 64) if x >> 63 else x
+
+
 def _search(radius: int):
-    """Reads (shard, masked, fp) sorted by the first two; yields forest edges of each shard."""
+    """Reads (shard, masked, one, two, mine, fp) sorted by the first four; yields forest edges of each tile."""
 
-    def links(group: np.ndarray, forest: Forest, out: list[tuple[int, int]]) -> None:
+    def links(group: np.ndarray, home: np.ndarray, forest: Forest, out: list[tuple[int, int]]) -> None:
+        """home: whether a row belongs to the tile's first chunk; a tile of one chunk is all home."""
         values = [int(x) & (2**64 - 1) for x in group]
-        if len(values) == 2:
-            if (values[0] ^ values[1]).bit_count() <= radius and forest.union(int(group[0]), int(group[1])):
-                out.append((int(group[0]), int(group[1])))
-            return
         tree = BKTree()
-        signed = lambda x: x - (1 << 64) if x >> 63 else x
-        for v in values:
-            out.extend((signed(v), signed(w)) for w in tree.near_then_add(v, radius) if forest.union(signed(v), signed(w)))
+        for v, own in sorted(zip(values, home.tolist(), strict=True), key=lambda r: not r[1]):
+            near = tree.near_then_add(v, radius) if own else tree.near(v, radius)
+            out.extend((_signed(v), _signed(w)) for w in near if forest.union(_signed(v), _signed(w)))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        forest = Forest()  # over all shards of this task: an edge that joins nothing new is not sent
-        rest = [np.zeros(0, np.int64)] * 3
+        forest = Forest()  # over all tiles of this task: an edge that joins nothing new is not sent
+        rest = [np.zeros(0, np.int64)] * (len(PLACE) + 2)
         found: list[tuple[int, int]] = []
 
         def flush() -> pa.RecordBatch:
@@ -158,19 +165,24 @@ def _search(radius: int):
             return batch
 
         def work(parts: list[np.ndarray], last: bool) -> list[np.ndarray]:
-            shard, masked, fp = parts
-            if not len(shard):
+            *place, mine, fp = parts
+            if not len(fp):
                 return parts
-            new = np.flatnonzero((shard[1:] != shard[:-1]) | (masked[1:] != masked[:-1])) + 1
-            edges = np.concatenate(([0], new, [len(shard)]))
-            sizes = np.diff(edges)
-            done = len(sizes) if last else len(sizes) - 1
-            for i in np.flatnonzero(sizes[:done] > 1):
-                links(fp[edges[i] : edges[i + 1]], forest, found)
+            new = np.flatnonzero(np.any([c[1:] != c[:-1] for c in place], axis=0)) + 1
+            edges = np.concatenate(([0], new, [len(fp)]))
+            done = len(edges) - (1 if last else 2)
+            for a, b in zip(edges[:done].tolist(), edges[1 : done + 1].tolist(), strict=True):
+                if b - a == 2:
+                    # the two rows of a pair, in whichever chunks
+                    u, v = int(fp[a]), int(fp[a + 1])
+                    if ((u ^ v) & (2**64 - 1)).bit_count() <= radius and forest.union(u, v):
+                        found.append((u, v))
+                elif b - a > 1:
+                    links(fp[a:b], mine[a:b] == place[2][a], forest, found)
             return [x[edges[done] :] for x in parts]
 
         for batch in batches:
-            cols = [batch.column(i).to_numpy(zero_copy_only=False).astype(np.int64) for i in range(3)]
+            cols = [c.to_numpy(zero_copy_only=False).astype(np.int64) for c in batch.columns]
             rest = work([np.concatenate(x) for x in zip(rest, cols, strict=True)], False)
             if len(found) > 10_000:
                 yield flush()
@@ -180,11 +192,11 @@ def _search(radius: int):
     return run
 
 
-def links(distinct_fps: DataFrame, radius: int = 2) -> DataFrame:
+def links(distinct_fps: DataFrame, radius: int = 2, tree: int = TREE) -> DataFrame:
     """distinct_fps(fp: long) -> forest edges (u, v) that join all fingerprints within the radius."""
     shards = distinct_fps.select("fp", F.posexplode(F.array(*[F.col("fp").bitwiseAND(F.lit(m)) for m in block_masks(radius)])).alias("shard", "masked"))
-    dealt = shards.repartition("shard", "masked").sortWithinPartitions("shard", "masked", "fp")
-    return dealt.select("shard", "masked", "fp").mapInArrow(_search(radius), "u long, v long")
+    dealt = deal_tiles(shards, ["shard", "masked"], "fp", tree).select(*PLACE, "mine", "fp")
+    return dealt.repartition(*PLACE).sortWithinPartitions(*PLACE, "fp").mapInArrow(_search(radius), "u long, v long")
 
 
 @dataclass(frozen=True)
@@ -198,8 +210,8 @@ class Similarity:
     width: int = 5
     bands: int = 10
     rows: int = 3
-    tile: int = 1500
-    tile_shingles: int = 1 << 22
+    tile: int = 512
+    tile_shingles: int = 1 << 21
     seed: int = 13
 
 
@@ -336,7 +348,7 @@ def similar_links(sets: DataFrame, texts: DataFrame, spec: Similarity) -> DataFr
 
 
 def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, keep: list[str], similarity: Similarity | None = None) -> tuple[DataFrame, DataFrame, str, str]:
-    """Stored prints (keep + fp + _set + id + row tag), and (_fp, _name, component_id) for each distinct text."""
+    """Stored prints (keep + fp + _set + id + row tag), and (_fp, _name, component_id, _root) for each distinct text."""
     ident = fresh([*docs.columns, "fp", "component_id"], "_id")
     tag = fresh([*docs.columns, ident], "_tag")
     marked = docs.withColumn(ident, F.col(f"`{doc_id}`").cast("long"))
@@ -363,7 +375,7 @@ def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, kee
     rooted = distinct.join(reached, distinct["uid"] == reached["node"], "left").select("fp", "_set", "least", F.coalesce("root", "uid").alias("root"))
     rooted = store(rooted)
     least = store(rooted.groupBy("root").agg(F.min("least").alias("component_id")))
-    return prints, store(rooted.join(least, "root").select(F.col("fp").alias("_fp"), F.col("_set").alias("_name"), "component_id")), ident, tag
+    return prints, store(rooted.join(least, "root").select(F.col("fp").alias("_fp"), F.col("_set").alias("_name"), "component_id", F.col("root").alias("_root"))), ident, tag
 
 
 def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, keep: list[str] | None = None, similarity: Similarity | None = None) -> DataFrame:
@@ -380,20 +392,18 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
 
 
 def one_per_group(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, similarity: Similarity | None = None) -> DataFrame:
-    """docs with one row of each component: that of its smallest doc_id, one of them if the row is repeated.
+    """docs with one row of each component: that of its smallest doc_id, one of them if several rows have that id.
 
-    A component whose rows all have a null doc_id keeps one row for each distinct text.
+    A component whose rows all have a null doc_id keeps one of them.
     """
     columns = docs.columns
     clean = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(columns)])
     at = {c: f"c{i}" for i, c in enumerate(columns)}
     prints, named, ident, tag = _named(clean, at[doc_id], at[text], width, radius, clean.columns, similarity)
-    rows = prints.drop("_n", "_bands")
-    chosen = rows.join(named, (rows["fp"] == named["_fp"]) & (rows["_set"] == named["_name"]) & rows[ident].eqNullSafe(named["component_id"]))
-    slim = prints.select(F.col("fp").alias("_f"), F.col("_set").alias("_s"), F.col(ident).alias("_i"), F.col(tag).alias("_t"))
-    repeated = slim.groupBy("_f", "_s", "_i").agg(F.min("_t").alias("_first"), F.count("*").alias("_n")).where("_n > 1")
-    chosen = chosen.join(repeated, (chosen["fp"] == repeated["_f"]) & (chosen["_set"] == repeated["_s"]) & chosen[ident].eqNullSafe(repeated["_i"]), "left")
-    return chosen.where(F.col("_first").isNull() | (F.col("_first") == F.col(tag))).select(*[F.col(at[c]).alias(c) for c in columns])
+    slim = prints.select("fp", "_set", ident, F.col(tag).alias("_t"))
+    firsts = slim.join(named, (slim["fp"] == named["_fp"]) & (slim["_set"] == named["_name"]) & slim[ident].eqNullSafe(named["component_id"]))
+    chosen = store(firsts.groupBy("_root").agg(F.min("_t").alias("_first")).select("_first"))
+    return prints.join(chosen, prints[tag] == chosen["_first"], "left_semi").select(*[F.col(at[c]).alias(c) for c in columns])
 
 
 def as_hex(fp):
