@@ -18,9 +18,11 @@ _stored: list[tuple[SparkSession, str]] = []
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a private one only where the session names none."""
-    own = f"file:///tmp/bucketcsr-{getpass.getuser()}"
-    return f"{(spark.conf.get('spark.checkpoint.dir', None) or own).rstrip('/')}/tables"
+    """The folder that driver and executors share; a private one only where the session names none and runs on this machine alone."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+    return f"{(named or f'file:///tmp/bucketcsr-{getpass.getuser()}').rstrip('/')}/tables"
 
 
 def forget(spark: SparkSession, path: str) -> None:
@@ -105,18 +107,15 @@ def map_text(df: DataFrame, column: str, add: list[T.StructField], make: Callabl
     return source.mapInArrow(run, schema)
 
 
-def deal_tiles(rows: DataFrame, group: list[str], member: str, tile: int, weight: str | None = None, most: int = 1) -> DataFrame:
+def deal_tiles(rows: DataFrame, group: list[str], member: str, tile: int) -> DataFrame:
     """rows of groups of two or more, dealt to tiles (group..., one, two), with `mine` their chunk.
 
     A group of over `tile` rows is cut into chunks by a hash of `member`; each row goes to one tile for every chunk it must meet,
-    so every pair of a group's rows meets in exactly one tile and no tile holds more than two chunks. With a weight, groups
-    whose weights add up to over `most` are cut likewise. Of groups with the very same members (told by number, ends and 128 bits of
+    so every pair of a group's rows meets in exactly one tile and no tile holds more than two chunks. Of groups with the very same members (told by number, ends and 128 bits of
     hash) only one is dealt, since the others hold no pair that it lacks.
     """
-    heavy = F.sum(weight) / most if weight else F.lit(0.0)
     of = [F.bit_xor(F.xxhash64(member)).alias("_x"), F.bit_xor(F.xxhash64(F.lit(1), member)).alias("_y"), F.min(member).alias("_lo"), F.max(member).alias("_hi")]
-    sizes = rows.groupBy(*group).agg(F.count("*").alias("_n"), heavy.alias("_w"), *of).where("_n > 1")
-    sizes = sizes.withColumn("_chunks", F.ceil(F.greatest(F.col("_n") / tile, "_w")).cast("int"))
+    sizes = rows.groupBy(*group).agg(F.count("*").alias("_n"), *of).where("_n > 1").withColumn("_chunks", F.ceil(F.col("_n") / tile).cast("int"))
     sizes = sizes.groupBy("_n", "_x", "_y", "_lo", "_hi").agg(F.min(F.struct(*group, "_chunks")).alias("_g"))
     sizes = store(sizes.select(*[F.col(f"_g.{c}").alias(f"_g_{c}") for c in group], "_g._chunks"))
     joined = rows.join(sizes, [rows[c] == sizes[f"_g_{c}"] for c in group])

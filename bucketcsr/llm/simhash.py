@@ -12,9 +12,11 @@ searched. A shard yields a spanning forest of its links, not its pairs; `compone
 
 Two ways to link. By distance: fingerprints within `radius` bits. By similarity (`Similarity`): texts whose sets of word
 shingles have a Jaccard similarity of `least` or more. There fingerprints of similar texts may be ten and more bits apart, so
-shards come from bands of minwise values instead of equal blocks. Every two texts of a shard that nothing links yet are compared by
-their whole shingle sets, however far apart their fingerprints are; the sets are made only for texts that share a shard with another. Shards of over `tile`
-texts or `tile_shingles` shingles are cut into tiles of chunk against chunk. Copies collapse first in either way.
+shards come from bands of minwise values instead of equal blocks. First every text of a shard is compared with the shard's anchor, its
+smallest uid: one comparison a text, so a group of any size costs in proportion. Then, in the shards whose texts are not all
+linked by that, every two texts that nothing links yet are compared. Texts linked to the anchor need not meet each other; they and the rest
+are cut into tiles of chunk against chunk. All comparisons take the whole shingle sets, however far apart the fingerprints
+are; the sets are made only for texts that share a shard with another. Copies collapse first in either way.
 
 Null text: as empty, fingerprint zero. Null doc_id: takes part in links, and never is a component's id unless
 no member has one (then the id is null). Repeated rows are kept. Empty table: empty result.
@@ -266,25 +268,49 @@ def shingle_sets(texts: pa.Array, spec: Similarity) -> list[pa.Array]:
     return [pa.array(majority(hashes, at).view(np.int64)), pa.array(name.view(np.int64)), pa.array(np.diff(at).astype(np.int64)), key_lists]
 
 
-def _similarity(a: np.ndarray, b: np.ndarray) -> float:
-    """Jaccard similarity of two whole sets."""
-    both = len(np.intersect1d(a, b, assume_unique=True))
-    return both / (len(a) + len(b) - both) if both else 0.0
+def _similar(a: np.ndarray, b: np.ndarray, least: float) -> bool:
+    """Whether two sorted whole sets have at least this Jaccard similarity."""
+    small, large = sorted((len(a), len(b)))
+    # sets of too different sizes can't be similar enough
+    if not small or small < least * large:
+        return False
+    both = np.concatenate((a, b))
+    both.sort(kind="stable")  # merges the two runs
+    shared = np.count_nonzero(both[1:] == both[:-1])
+    return shared / (small + large - shared) >= least
+
+
+def _edges(found: list[tuple[int, int]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([f[k] for f in found], pa.int64()) for k in (0, 1)], names=["u", "v"])
+
+
+def _meet_anchor(spec: Similarity):
+    """Reads (anchor, chunk, uid, shingles) sorted so that the anchor's own row leads its chunk; yields its similar texts."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        head, own = None, np.zeros(0, np.uint64)
+        for batch in batches:
+            found = []
+            for anchor, _, uid, raw in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if uid == anchor:
+                    head, own = anchor, np.frombuffer(raw, np.uint64)
+                elif head == anchor and _similar(own, np.frombuffer(raw, np.uint64), spec.least):
+                    found.append((anchor, uid))
+            yield _edges(found)
+
+    return run
 
 
 def _meet(spec: Similarity):
-    """Reads (band, key, one, two, mine, uid, shingles) sorted by the first four; yields forest edges of similar texts."""
+    """Reads (band, key, one, two, mine, uid, root, shingles) sorted by the first four; yields forest edges of similar texts.
+
+    Texts of one root are linked already.
+    """
 
     def tile(rows: list[tuple], forest: Forest, found: list[tuple[int, int]]) -> None:
         one, two = rows[0][2], rows[0][3]
-        uids = [r[5] for r in rows]
-        sets = [np.frombuffer(r[6], np.uint64) for r in rows]
-
-        def similar(i: int, j: int) -> bool:
-            small, large = sorted((len(sets[i]), len(sets[j])))
-            # sets of too different sizes can't be similar enough
-            return small >= spec.least * large and _similarity(sets[i], sets[j]) >= spec.least
-
+        uids, roots = [r[5] for r in rows], [r[6] for r in rows]
+        sets = [np.frombuffer(r[7], np.uint64) for r in rows]
         # members by what is linked so far: one link to a group spares the rest of it
         groups: dict[int, list[int]] = {}
 
@@ -292,11 +318,11 @@ def _meet(spec: Similarity):
             """Takes out the groups that i is linked to and returns their members."""
             mine: list[int] = []
             for head, members in list(groups.items()):
-                if forest.root(uids[i]) != forest.root(uids[members[0]]):
-                    j = next((j for j in reversed(members) if similar(i, j)), None)
+                if forest.root(roots[i]) != forest.root(roots[members[0]]):
+                    j = next((j for j in reversed(members) if _similar(sets[i], sets[j], spec.least)), None)
                     if j is None:
                         continue
-                    forest.union(uids[i], uids[j])
+                    forest.union(roots[i], roots[j])
                     found.append((uids[i], uids[j]))
                 mine += groups.pop(head)
             return mine
@@ -308,7 +334,7 @@ def _meet(spec: Similarity):
             return
         by_root: dict[int, list[int]] = {}
         for i in first:
-            by_root.setdefault(forest.root(uids[i]), []).append(i)
+            by_root.setdefault(forest.root(roots[i]), []).append(i)
         groups.update({members[0]: members for members in by_root.values()})
         for i in (i for i, r in enumerate(rows) if r[4] == two):
             if mine := meet(i):
@@ -325,26 +351,69 @@ def _meet(spec: Similarity):
                 rows.append(row)
         if len(rows) > 1:
             tile(rows, forest, found)
-        yield pa.RecordBatch.from_arrays([pa.array([f[k] for f in found], pa.int64()) for k in (0, 1)], names=["u", "v"])
+        yield _edges(found)
 
     return run
 
 
+def _groups(banded: DataFrame) -> DataFrame:
+    """(band, key, anchor) of shards with two texts or more; of shards with the same texts one."""
+    of = [F.count("*").alias("m"), F.bit_xor(F.xxhash64("uid")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "uid")).alias("y"), F.max("uid").alias("last"), F.min("uid").alias("anchor")]
+    shards = banded.groupBy("band", "key").agg(*of).where("m > 1")
+    once = shards.groupBy("m", "x", "y", "last", "anchor").agg(F.min(F.struct("band", "key")).alias("g"))
+    return once.select("g.band", "g.key", "anchor")
+
+
+def _anchored(members: DataFrame, whole: DataFrame, spec: Similarity) -> DataFrame:
+    """members(band, key, anchor, uid) -> edges (anchor, uid) of texts similar to their anchor."""
+    pairs = members.where("uid <> anchor").select("anchor", "uid").distinct()
+    sizes = pairs.groupBy("anchor").agg(F.ceil(F.count("*") / spec.tile).cast("int").alias("chunks"))
+    heads = sizes.select("anchor", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)).alias("chunk"), F.col("anchor").alias("uid"))
+    dealt = pairs.join(sizes, "anchor").select("anchor", F.pmod(F.xxhash64("uid"), F.col("chunks")).cast("int").alias("chunk"), "uid")
+    full = heads.unionAll(dealt).join(whole, F.col("uid") == F.col("t")).select("anchor", "chunk", "uid", "shingles")
+    lead = F.when(F.col("uid") == F.col("anchor"), 0).otherwise(1)
+    return full.repartition("anchor", "chunk").sortWithinPartitions("anchor", "chunk", lead, "uid").mapInArrow(_meet_anchor(spec), "u long, v long")
+
+
+def _tiled(members: DataFrame, spec: Similarity) -> DataFrame:
+    """members(band, key, anchor, uid, root, n) of shards with several roots, dealt to tiles (band, key, one, two) with `mine`.
+
+    Chunks of texts that the anchor's root does not hold meet all chunks; those of the anchor's own only the former.
+    """
+    shard = ["band", "key"]
+    own = F.max(F.when(F.col("uid") == F.col("anchor"), F.col("root")))
+    roots = members.groupBy(*shard).agg(own.alias("_own"), F.min("root").alias("_a"), F.max("root").alias("_b")).where("_a <> _b").select(*[F.col(c).alias(f"_{c}") for c in shard], "_own")
+    mixed = members.join(roots, (F.col("band") == F.col("_band")) & (F.col("key") == F.col("_key"))).withColumn("linked", F.col("root") == F.col("_own"))
+    mixed = store(mixed.select(*shard, "uid", "root", "n", "linked"))
+    chunks = lambda which: F.ceil(F.greatest(F.count(F.when(which, 1)) / spec.tile, F.coalesce(F.sum(F.when(which, F.col("n"))), F.lit(0)) / spec.tile_shingles)).cast("int")
+    sizes = mixed.groupBy(*shard).agg(chunks(F.col("linked")).alias("_left"), chunks(~F.col("linked")).alias("_right"))
+    dealt = mixed.join(sizes, shard)
+    spot = F.pmod(F.xxhash64("uid"), F.when(F.col("linked"), F.col("_left")).otherwise(F.col("_right"))).cast("int")
+    dealt = dealt.withColumn("mine", F.when(F.col("linked"), F.col("_right") + spot).otherwise(spot))
+    last = F.when(F.col("linked"), F.col("_right")).otherwise(F.col("_right") + F.col("_left")) - 1
+    dealt = dealt.withColumn("_peer", F.explode(F.sequence(F.lit(0), last)))
+    return dealt.select(*shard, F.least("mine", "_peer").alias("one"), F.greatest("mine", "_peer").alias("two"), "mine", "uid", "root")
+
+
 def similar_links(sets: DataFrame, texts: DataFrame, spec: Similarity) -> DataFrame:
-    """sets(uid, n, bands) of distinct texts, texts(t, body) with t a uid -> forest edges (u, v) over uid."""
+    """sets(uid, n, bands) of distinct texts, texts(t, body) with t a uid -> edges (u, v) over uid."""
     spark = sets.sparkSession
     banded = sets.select("uid", "n", F.posexplode("bands").alias("band", "key"))
-    dealt, dealt_at = store_at(deal_tiles(banded, ["band", "key"], "uid", spec.tile, "n", spec.tile_shingles).drop("n"))
+    groups = _groups(banded)
+    members, members_at = store_at(banded.join(groups, ["band", "key"]).select("band", "key", "anchor", "uid", "n"))
     # sets are large: only of texts that meet another one
-    met = dealt.select(F.col("uid").alias("_u")).distinct()
+    met = members.select(F.col("uid").alias("_u")).distinct()
     whole = map_text(texts.join(met, texts["t"] == met["_u"], "left_semi"), "body", [T.StructField("shingles", T.BinaryType())], lambda t: whole_sets(t, spec), ["t"])
     whole, whole_at = store_at(whole)
+    near = store(_anchored(members, whole, spec))
+    reached, reached_at = store_at(connected(near, contracted=True))
+    rooted = members.join(reached, members["uid"] == reached["node"], "left").select("band", "key", "anchor", "uid", "n", F.coalesce("root", "uid").alias("root"))
     keys = ["band", "key", "one", "two"]
-    full = dealt.join(whole, dealt["uid"] == whole["t"]).select(*keys, "mine", "uid", "shingles")
-    edges = store(full.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_meet(spec), "u long, v long"))
-    forget(spark, dealt_at)
-    forget(spark, whole_at)
-    return edges
+    full = _tiled(rooted, spec).join(whole, F.col("uid") == F.col("t")).select(*keys, "mine", "uid", "root", "shingles")
+    rest = store(full.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(_meet(spec), "u long, v long"))
+    for path in (members_at, whole_at, reached_at):
+        forget(spark, path)
+    return near.unionAll(rest)
 
 
 def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, keep: list[str], similarity: Similarity | None = None) -> tuple[DataFrame, DataFrame, str, str]:
@@ -368,7 +437,7 @@ def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, kee
     else:
         distinct = store(distinct.withColumn("uid", F.col("fp")))
         edges = links(distinct.select("fp"), radius)
-    reached = store(connected(edges, contracted=True))
+    reached = store(connected(edges, contracted=similarity is None))
     if similarity:
         forget(docs.sparkSession, sets_at)
     # smallest doc_id of each component, over its distinct texts only
