@@ -1,10 +1,11 @@
-"""Licence scans through a positional index of rare template words.
+"""Licence scans through a positional index of rare licence words.
 
-Every template's words get an inverse document frequency over the templates; its rarest words, with their positions,
-form the index (a fixed table of a few hundred entries that goes along with the function). A text looks up only the
-index words it holds; each occurrence votes for (template, place of the template's first word). Places where enough
-rare words agree, give or take `slack` words, are compared with the whole template, and count only if all of
-the template's mandatory key phrases stand inside. One Arrow pass, no shuffle, nothing grows with the corpus.
+Template words get an inverse document frequency over the templates, and an index lists where each word stands in which template (a fixed
+table that goes along with the function). For a text, only templates that could match at all are looked at: the words that it
+shares with a template must carry `share` of the template's weight. For each of these the text's `rare` licence words of highest
+frequency rank are looked up; each occurrence votes for a place of the template's first word. Places where at least half of those
+words agree, give or take `slack` words, are compared with the whole template, and count only if all of the template's
+mandatory key phrases stand inside. One Arrow pass, no shuffle, nothing grows with the corpus.
 
 Base labels come from three phrases wherever their words stand consecutively; the index adds labels of its own.
 Null text: empty, no labels (empty strings), null places. Repeated rows and extra columns: carried along.
@@ -31,9 +32,11 @@ BASE_PHRASES = {
 #: Label, public licence wording, key phrases that must all occur.
 TEMPLATES = [
     ("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files the software to deal in the software without restriction", ["permission is hereby granted free of charge", "without restriction"]),
+    ("mit", "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software the software is provided as is without warranty of any kind express or implied including but not limited to the warranties of merchantability fitness for a particular purpose and noninfringement", ["this permission notice shall be included in all copies or substantial portions of the software"]),
     ("mit", "licensed under the terms of the mit license", ["mit license"]),
     ("mit", "spdx license identifier mit", ["spdx license identifier mit"]),
     ("apache-2", "licensed under the apache license version 2 0 the license you may not use this file except in compliance with the license", ["apache license version 2 0"]),
+    ("apache-2", "unless required by applicable law or agreed to in writing software distributed under the license is distributed on an as is basis without warranties or conditions of any kind either express or implied see the license for the specific language governing permissions and limitations under the license", ["see the license for the specific language governing permissions and limitations under the license"]),
     ("apache-2", "spdx license identifier apache 2 0", ["spdx license identifier apache 2 0"]),
     ("gpl-3", "licensed under the gnu general public license version 3", ["gnu general public license version 3"]),
     ("gpl-3", "under the terms of the gnu general public license as published by the free software foundation either version 3 of the license or at your option any later version", ["gnu general public license", "version 3 of the license"]),
@@ -44,6 +47,7 @@ TEMPLATES = [
     ("lgpl", "under the terms of the gnu lesser general public license as published by the free software foundation", ["gnu lesser general public license"]),
     ("agpl-3", "under the terms of the gnu affero general public license as published by the free software foundation", ["gnu affero general public license"]),
     ("bsd", "redistribution and use in source and binary forms with or without modification are permitted provided that the following conditions are met", ["redistribution and use in source and binary forms"]),
+    ("bsd", "neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission", ["may be used to endorse or promote products derived from this software"]),
     ("bsd", "use of this source code is governed by a bsd style license that can be found in the license file", ["bsd style license"]),
     ("isc", "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted", ["with or without fee is hereby granted"]),
     ("mpl-2", "this source code form is subject to the terms of the mozilla public license v 2 0", ["mozilla public license v 2 0"]),
@@ -64,60 +68,82 @@ FOLD = bytes(b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <
 
 
 class LicenseIndex:
-    """Rare words of all templates with their positions.
+    """Positions of all template words.
 
-    rare: index words per template; share: least idf-weighted part of a template that a match must hold.
+    rare: a file's words looked up per template, rarest first; share: least idf-weighted part of a template that a match must hold.
     """
 
     def __init__(self, templates=TEMPLATES, rare: int = 6, share: float = 0.6, slack: int = 3) -> None:
-        self.share, self.slack = share, slack
+        self.share, self.slack, self.rare = share, slack, rare
         self.labels = [t[0] for t in templates]
         self.words = [t[1].encode().split() for t in templates]
         self.phrases = [[b" " + p.encode() + b" " for p in t[2]] for t in templates]
         df = Counter(w for words in self.words for w in set(words))
         self.idf = {w: math.log((1 + len(templates)) / n) for w, n in df.items()}
-        self.postings: dict[bytes, list[tuple[int, int]]] = defaultdict(list)
-        self.need = []
-        for t, words in enumerate(self.words):
-            rarest = sorted(set(words), key=lambda w: (-self.idf[w], w))[:rare]
-            self.need.append(max(1, (len(rarest) + 1) // 2))
+        self.postings: list[dict[bytes, list[int]]] = []
+        for words in self.words:
+            at: dict[bytes, list[int]] = defaultdict(list)
             for pos, w in enumerate(words):
-                if w in rarest:
-                    self.postings[w].append((t, pos))
-        self.vocabulary = frozenset(self.postings)
+                at[w].append(pos)
+            self.postings.append(dict(at))
+        self.ranked = [sorted(at, key=lambda w: (-self.idf[w], w)) for at in self.postings]
+        self.total = [sum(self.idf[w] for w in words) for words in self.words]
+        self.vocabulary = frozenset(self.idf)
+
+    def candidates(self, present: frozenset[bytes]) -> list[int]:
+        """Templates of whose weight the present words carry the share."""
+        found = []
+        for t, at in enumerate(self.postings):
+            lost = (1 - self.share) * self.total[t]
+            for w in self.ranked[t]:
+                if w not in present:
+                    lost -= self.idf[w] * len(at[w])
+                    if lost < -1e-9:
+                        break
+            else:
+                found.append(t)
+        return found
 
     def matches(self, words: list[bytes]) -> dict[str, float]:
         """Label -> best share of a template found in the words."""
-        hits = self.vocabulary.intersection(words)
-        if not hits:
+        present = self.vocabulary.intersection(words)
+        if not present or not (among := self.candidates(present)):
             return {}
-        votes: dict[tuple[int, int], set[bytes]] = defaultdict(set)
+        chosen = {t: [w for w in self.ranked[t] if w in present][: self.rare] for t in among}
+        wanted = {w for some in chosen.values() for w in some}
+        where: dict[bytes, list[int]] = defaultdict(list)
         for at, w in enumerate(words):
-            if w in hits:
-                for t, pos in self.postings[w]:
-                    votes[t, at - pos].add(w)
+            if w in wanted:
+                where[w].append(at)
         found: dict[str, float] = {}
-        for (t, begin), seen in votes.items():
-            near = seen.union(*(votes.get((t, begin + d), ()) for d in range(-self.slack, self.slack + 1) if d))
-            if len(near) < self.need[t]:
-                continue
-            template = self.words[t]
-            lo = max(0, begin - self.slack)
-            span = words[lo : max(0, begin + len(template) + self.slack)]
-            text = b" " + b" ".join(span) + b" "
-            if not all(p in text for p in self.phrases[t]):
-                continue
-            total = got = 0.0
-            for k, w in enumerate(template):
-                total += self.idf[w]
-                here = begin + k - lo
-                if w in span[max(0, here - self.slack) : max(0, here + self.slack + 1)]:
-                    got += self.idf[w]
-            share = got / total
-            if share >= self.share:
-                found[self.labels[t]] = max(found.get(self.labels[t], 0.0), share)
+        for t in among:
+            votes: dict[int, set[bytes]] = defaultdict(set)
+            for w in chosen[t]:
+                for pos in self.postings[t][w]:
+                    for at in where[w]:
+                        votes[at - pos].add(w)
+            need = max(1, (len(chosen[t]) + 1) // 2)
+            for begin, seen in votes.items():
+                near = seen.union(*(votes.get(begin + d, ()) for d in range(-self.slack, self.slack + 1) if d))
+                if len(near) >= need and (share := self._verify(t, begin, words)) >= self.share:
+                    found[self.labels[t]] = max(found.get(self.labels[t], 0.0), share)
         return found
 
+    def _verify(self, t: int, begin: int, words: list[bytes]) -> float:
+        """The template's weighted share that stands at the place, or 0 if a key phrase is missing."""
+        template = self.words[t]
+        lo = max(0, begin - self.slack)
+        span = words[lo : max(0, begin + len(template) + self.slack)]
+        text = b" " + b" ".join(span) + b" "
+        if not all(p in text for p in self.phrases[t]):
+            return 0.0
+        got = 0.0
+        for k, w in enumerate(template):
+            here = begin + k - lo
+            if w in span[max(0, here - self.slack) : max(0, here + self.slack + 1)]:
+                got += self.idf[w]
+        return got / self.total[t]
+
 
 def places(joined: bytes, phrase: bytes) -> list[int]:
     """Word numbers at which the phrase's words stand in the words joined by single spaces, framed by spaces."""
