@@ -2,8 +2,8 @@
 
 Everything on the executors is built-in SQL functions: one regular expression finds candidates with the text between
 them, features are counted inside array lambdas, and the trained forest is a sum of CASE expressions. No shuffle.
-Features: length, share of digits and upper case, character-class transitions, distinct characters, dictionary
-coverage, a known prefix, the assigned name, neighbouring words, and the path.
+Features: length, share of digits, upper case and marks, transitions between character classes one kind at a time, repeated and
+distinct characters, dictionary coverage, a known prefix, the assigned name, neighbouring words, and the path.
 
 The forest is grown with NumPy on the driver from labelled findings (path, before, value, label), whose features come from
 the same SQL. `labelled_findings` generates a default set; pass your own reviewed findings instead where you have them.
@@ -25,7 +25,19 @@ NAMES = r"pass(?:word|wd|phrase)?|pwd|secret|token|api[_-]?key|access[_-]?key|au
 PREFIXES = r"^(?:AKIA|ASIA|ghp_|gho_|ghs_|github_pat_|glpat-|xox[abp]-|sk_live_|rk_live_|AIza|eyJ|SG\.)"
 HARMLESS_NEAR = r"(?i)\b(?:commit|sha1|sha256|md5|checksum|digest|hash|uuid|guid|etag|revision|integrity|build|version|example|sample|placeholder|image|icon|font)\b\W*(?:\w+\W+)?$"
 HARMLESS_PATH = r"(?i)(?:^|[/_.-])(?:test|tests|spec|example|examples|sample|samples|fixture|fixtures|mock|docs?|vendor|node_modules|lock)(?:[/_.-]|$)"
-DICTIONARY = r"(?i)example|sample|placeholder|change|secret|password|token|your|here|dummy|test|user|name|admin|default|value|string|insert|enter|function|class|return|object|array|index|number|config|service|server|client|request|response|data|file|path|table|column|update|delete|create|image|color|style|build|version|module|package|public|private|static|get|set|the|and|for|with|from|this|that|none|null|true|false|foo|bar|abc|xyz|123"
+#: Words of which names, placeholders and code are made.
+WORDS = (
+    "about abc access account action active address admin after all alpha and another any api app application array asset auth back bar base batch beta block board body book "
+    "build button byte cache call change check child class click client close cloud code color column command common config connect content context copy core count create "
+    "current custom data date debug default delete demo deploy detail device dev directory document domain download dummy edit email enable end enter entry env environ error event "
+    "example export failed field file filter first folder foo format frame from full function get global group guest handle header hello here home host http icon image import "
+    "index info input insert instance item job key label last layout length level line link list load local location log login main manager master member message method mode "
+    "model module name network new none not null number object offset open option order output package page param parent password path photo place port post prefix print private process "
+    "product project public query read record release remote remove replace request reset resource response result return root row sample save schema screen script search secret section "
+    "select send server service session set show simple size source stage start state static status storage store stream string style submit system table target task temp test text the theme "
+    "this time title token tool total type under update upload user util value version view web widget window word work world write your"
+).split()
+DICTIONARY = r"(?i)" + "|".join(sorted((w for w in WORDS), key=lambda w: (-len(w), w)))
 
 BARE = r"(?<![A-Za-z0-9+/_\-])(?=[A-Za-z+/_\-]*[0-9])(?=[0-9+/_\-]*[A-Za-z])[A-Za-z0-9+/_\-]{16,}={0,2}"
 ASSIGNED = r"(?i:\b(?:" + NAMES + r")[\"']?\s{0,3}[=:]\s{0,3}[\"']?)[^\s\"'<>]{6,}"
@@ -33,13 +45,13 @@ PREFIXED = r"(?<![A-Za-z0-9])(?:(?:AKIA|ASIA)[A-Z0-9]{16}|gh[pousr]_[A-Za-z0-9]{
 CANDIDATE = f"{ASSIGNED}|{PREFIXED}|{BARE}"
 NAME_PART = r"^(?i:(?:" + NAMES + r")[\"']?\s{0,3}[=:]\s{0,3}[\"']?)"
 
-FEATURES = ("size", "digits", "uppers", "changes", "variety", "words", "prefix", "named", "harmless_near", "named_near", "harmless_path")
+FEATURES = ("size", "digits", "uppers", "marks", "letter_digit", "digit_letter", "lower_upper", "upper_lower", "repeats", "variety", "words", "prefix", "named", "harmless_near", "named_near", "harmless_path")
 
 
 @dataclass(frozen=True)
 class Forest:
     trees: int = 15
-    depth: int = 5
+    depth: int = 6
     least: int = 8
     seed: int = 5
 
@@ -48,13 +60,17 @@ def _features(value: Column, named: Column, before: Column, path: Column) -> lis
     """The features of one candidate, doubles in the order of FEATURES."""
     size = F.greatest(F.length(value), F.lit(1))
     share = lambda pattern: F.regexp_count(value, F.lit(pattern)) / size
-    # transitions: places where the class of the character changes
-    changes = r"[A-Z](?=[^A-Z])|[a-z](?=[^a-z])|[0-9](?=[^0-9])"
     return [
         size.cast("double"),
         share("[0-9]"),
         share("[A-Z]"),
-        share(changes),
+        share("[^A-Za-z0-9]"),
+        # transitions between classes of neighbouring characters
+        share("[A-Za-z](?=[0-9])"),
+        share("[0-9](?=[A-Za-z])"),
+        share("[a-z](?=[A-Z])"),
+        share("[A-Z](?=[a-z])"),
+        share(r"(.)(?=\1)"),
         F.size(F.array_distinct(F.split(value, ""))) / F.least(size, F.lit(64)),
         1 - F.length(F.regexp_replace(value, DICTIONARY, "")) / size,
         F.when(value.rlike(PREFIXES), 1.0).otherwise(0.0),
@@ -65,39 +81,51 @@ def _features(value: Column, named: Column, before: Column, path: Column) -> lis
     ]
 
 
-def labelled_findings(spark: SparkSession, rows: int = 3000) -> DataFrame:
-    """(path, before, named, value, label): findings of known kinds, generated from row numbers by SQL alone."""
-    hexa = lambda salt, n: f"substring(concat(md5(concat('{salt}', id)), md5(concat('{salt}x', id)), md5(concat('{salt}y', id))), 1, {n})"
-    mixed = lambda salt, n: f"substring(translate(base64(unhex(concat(md5(concat('{salt}', id)), md5(concat('{salt}z', id))))), '+/=', 'aZ9'), 1, {n})"
-    word = lambda salt, options: f"element_at(array({', '.join(repr(o) for o in options)}), 1 + cast(pmod(xxhash64('{salt}', id), {len(options)}) as int))"
-    plain = ("and the", "of this", "une de la", "in der", "value", "set", "on")
-    stems = ("get_user", "update_table", "service_request", "default_value", "example_string", "config_path", "client_response", "index_number")
+def labelled_findings(spark: SparkSession, rows: int = 6000) -> DataFrame:
+    """(path, before, named, value, label): findings of known kinds, generated from row numbers by SQL alone.
+
+    Lengths, alphabets, contexts and paths vary by hash; nothing in them is taken from any table that is scanned.
+    """
+    pick = lambda salt, n: f"cast(pmod(xxhash64('{salt}', id), {n}) as int)"
+    size = lambda salt, lo, hi: f"({lo} + {pick('n' + salt, hi - lo + 1)})"
+    bits = lambda salt: f"concat(md5(concat('{salt}', id)), md5(concat('{salt}x', id)), md5(concat('{salt}y', id)))"
+    hexa = lambda salt, lo, hi: f"substring({bits(salt)}, 1, {size(salt, lo, hi)})"
+    mixed = lambda salt, lo, hi: f"substring(translate(base64(unhex({bits(salt)})), '+/=', 'aZ9'), 1, {size(salt, lo, hi)})"
+    marked = lambda salt, lo, hi: f"translate({mixed(salt, lo, hi)}, 'AEIOUaeiou', '!@#$%^*-_?')"
+    word = lambda salt, options: f"element_at(array({', '.join(repr(o) for o in options)}), 1 + {pick(salt, len(options))})"
+    plain = ("and the", "of this", "une de la", "in der", "value", "set", "on", "we use", "then", "")
+    near = ("api key", "secret", "bearer", "token", "login", "access key", "authorization", "my password is", "secret key")
+    some = WORDS[:: max(1, len(WORDS) // 60)]
+    joined = lambda salt: f"concat({word(salt + 'a', some)}, {word(salt + 's', ('_', '-', '', '.'))}, {word(salt + 'b', some)}, {word(salt + 't', ('_', '-', ''))}, {word(salt + 'c', some)}, {word(salt + 'e', ('', '1', '2', '42', '_01', '2024'))})"
     kinds = [
-        (hexa("p", 18), "true", word("c", plain), 1),
-        (hexa("t", 40), "true", word("c", plain), 1),
-        (f"concat('AKIA', upper({mixed('k', 16)}))", "false", word("c", plain), 1),
-        (f"concat('AKIA', translate(upper({mixed('l', 16)}), '0123456789', 'QWRTYPSDFG'))", "false", word("c", plain), 1),
-        (f"concat('ghp_', {mixed('g', 36)})", "false", word("c", plain), 1),
-        (mixed("b", 40), "true", word("c", plain), 1),
-        (mixed("m", 12), "true", word("c", plain), 1),
-        (mixed("r", 32), "false", word("n", ("api key", "secret", "bearer", "token", "login")), 1),
-        (hexa("h", 32), "false", word("n", ("auth token", "access key", "password", "secret key")), 1),
-        (hexa("s", 40), "false", word("n", ("commit", "sha1", "revision", "at commit", "digest")), 0),
-        (hexa("d", 32), "false", word("n", ("md5", "checksum", "etag", "hash")), 0),
-        (f"regexp_replace({hexa('u', 32)}, '^(.{{8}})(.{{4}})(.{{4}})(.{{4}})', '$1-$2-$3-$4-')", "false", word("n", ("uuid", "guid", "id", "request")), 0),
-        (f"concat({word('w', stems)}, '_', {word('v', stems)}, pmod(id, 97))", "false", word("c", plain), 0),
-        (f"concat({word('q', ('changeme', 'your_password', 'example', 'placeholder', 'password', 'test_token', 'dummy_value', 'secret_here'))}, pmod(id, 7))", "true", word("c", plain), 0),
-        ("concat('AKIA', 'EXAMPLEEXAMPLE', pmod(id, 10) + 10)", "false", word("c", plain), 0),
-        (f"concat('assets/images/', {word('w', ('icon', 'photo', 'banner'))}, '_', pmod(id, 9999), 'x', pmod(id, 77))", "false", word("c", plain), 0),
-        ("concat('build-', 2000 + pmod(id, 30), '-release-candidate-', pmod(id, 12))", "false", word("c", ("version", "build", "and")), 0),
-        (mixed("e", 32), "true", word("n", ("example", "sample value")), 0),
-        ("concat(1000000 + id, '-', 200000 + id, 'th-item')", "false", word("c", plain), 0),
+        (hexa("p", 16, 64), "true", word("c", plain), 1),
+        (mixed("b", 10, 48), "true", word("c", plain), 1),
+        (marked("w", 8, 24), "true", word("c", plain), 1),
+        (hexa("q", 16, 40), "true", word("c", plain), 1),
+        (f"concat({word('pre', ('AKIA', 'ASIA'))}, substring(upper({mixed('k', 40, 40)}), 1, 16))", "false", word("c", plain), 1),
+        (f"concat('AKIA', substring(translate(upper({mixed('l', 40, 40)}), '0123456789', 'QWRTYPSDFG'), 1, 16))", "false", word("c", plain), 1),
+        (f"concat({word('pr2', ('ghp_', 'gho_', 'sk_live_', 'glpat-', 'xoxb-', 'AIza'))}, {mixed('g', 24, 40)})", "false", word("c", plain), 1),
+        (mixed("r", 24, 44), "false", word("n", near), 1),
+        (hexa("h", 32, 64), "false", word("n", near), 1),
+        (hexa("s", 32, 64), "false", word("n", ("commit", "sha1", "revision", "at commit", "digest", "sha256")), 0),
+        (hexa("d", 32, 40), "false", word("n", ("md5", "checksum", "etag", "hash", "integrity")), 0),
+        (f"regexp_replace({hexa('u', 32, 32)}, '^(.{{8}})(.{{4}})(.{{4}})(.{{4}})', '$1-$2-$3-$4-')", "false", word("n", ("uuid", "guid", "id", "request", "and the")), 0),
+        (joined("i"), "false", word("c", plain), 0),
+        (joined("j"), "true", word("c", plain), 0),
+        (f"concat({word('ph', ('changeme', 'your_password', 'example', 'placeholder', 'password', 'test_token', 'dummy_value', 'secret_here', 'enter-your-key', 'replace_me', 'hunter2', 'admin123', 'letmein'))}, {pick('pn', 7)})", "true", word("c", plain), 0),
+        (f"{word('ref', ('os.environ[TOKEN]', 'process.env.API_KEY', 'getenv(SECRET)', 'config.password', 'request.headers.get', '${DB_PASSWORD}', 'settings.SECRET_KEY', 'self.access_key', 'None,', 'null;', 'user.password)'))}", "true", word("c", plain), 0),
+        (f"{word('mask', ('xxxxxxxxxxxxxxxx', '****************', '12345678', '1234567890', 'abcdefgh', 'aaaaaaaaaaaa', '0000000000000000', 'XXXXXXXX', '........', 'qwertyuiop'))}", "true", word("c", plain), 0),
+        (f"concat({word('px', ('AKIA', 'ASIA'))}, {word('py', ('EXAMPLEEXAMPLE', 'XXXXXXXXXXXXXX', 'IOSFODNNEXAMPL'))}, {pick('pz', 10)}, 'A')", "false", word("c", plain), 0),
+        (f"concat({word('dir', ('assets', 'static', 'src', 'public', 'build'))}, '/', {word('di2', some)}, '/', {word('di3', some)}, '_', {pick('pf', 9999)}, 'x', {pick('pg', 77)})", "false", word("c", plain), 0),
+        (f"concat('build-', 2000 + {pick('yr', 30)}, '-release-candidate-', {pick('rc', 12)})", "false", word("c", ("version", "build", "and")), 0),
+        (mixed("e", 24, 40), "true", word("n", ("example", "sample value", "a placeholder")), 0),
+        (f"concat({pick('d1', 9999999)}, '-', {pick('d2', 999999)}, 'th-item')", "false", word("c", plain), 0),
     ]
     n = len(kinds)
     case = lambda k: "case cast(pmod(id, {}) as int) {} end".format(n, " ".join(f"when {i} then {row[k]}" for i, row in enumerate(kinds)))
-    base = spark.range(rows)
-    path = F.when(F.expr(case(3)) == 0, F.expr(word("path", ("tests/data", "docs/example", "src0", "web/site", "vendor/lib")))).otherwise(F.expr(word("path", ("src0", "src7", "web/site", "app/main", "settings"))))
-    return base.select(path.alias("path"), F.expr(case(2)).alias("before"), F.expr(case(1)).alias("named"), F.expr(case(0)).alias("value"), F.expr(case(3)).alias("label"))
+    shared = ("src/app", "lib/client", "", "web", "core/main")
+    path = F.when(F.expr(case(3)) == 0, F.expr(word("path", ("tests/data", "docs/example", "vendor/lib", *shared)))).otherwise(F.expr(word("path", ("config/prod", "deploy/env", *shared))))
+    return spark.range(rows).select(path.alias("path"), F.expr(case(2)).alias("before"), F.expr(case(1)).alias("named"), F.expr(case(0)).alias("value"), F.expr(case(3)).alias("label"))
 
 
 def grow(x: np.ndarray, y: np.ndarray, spec: Forest) -> list:
