@@ -53,14 +53,57 @@ def broadcast_join(a: DataFrame, b: DataFrame, on: str, most_rows: int = 1_000_0
     return a.join(F.broadcast(b), on)
 
 
-def _cogroup(schema: str, a: DataFrame, b: DataFrame, key: str, pieces: int, kernel) -> DataFrame:
+#: Rows of both sides that one vectorised task holds, about.
+PIECE_ROWS = 2_000_000
+
+
+def _cogroup(schema: str, a: DataFrame, b: DataFrame, key: str, pieces: int | None, kernel) -> DataFrame:
+    """Runs the kernel on pieces of the key space, as many as the rows need; a key of over PIECE_ROWS rows has to be taken out before."""
+    pieces = pieces or max(1, -(-(a.count() + b.count()) // PIECE_ROWS))
     piece = F.pmod(F.hash(F.col(key)), F.lit(pieces))
     left, right = (df.withColumn("_p", piece).groupBy("_p") for df in (a, b))
     return left.cogroup(right).applyInArrow(kernel, schema)
 
 
-def arrow_hash_join(a: DataFrame, b: DataFrame, pieces: int = 64) -> DataFrame:
-    """(key, l_rid, r_rid) of a(key, l_rid) and b(key, r_rid): vectorised joins of key pieces, sized by `pieces`."""
+def nested_loop_join(a: DataFrame, b: DataFrame, on: str, most_rows: int = 10_000) -> DataFrame:
+    """Every row of a against every row of b, a control for small tables: b is replicated, after a count shows that it is small."""
+    if b.count() > most_rows:
+        raise ValueError(f"the side to replicate has over {most_rows} rows")
+    right = b.withColumnRenamed(on, "_on").hint("shuffle_replicate_nl")
+    return a.join(right, F.col(on) == F.col("_on")).drop("_on")
+
+
+def partition_tables(a: DataFrame, b: DataFrame, pieces: int | None = None) -> DataFrame:
+    """(key, l_rid, r_rid): pieces of the key space small enough for a task's own fast memory, each with an open-addressing table of b's rows in
+    NumPy; a's keys walk it from their home slot to the first empty one."""
+
+    def kernel(left: pa.Table, right: pa.Table) -> pa.Table:
+        keys, rids = right["key"].to_numpy(), right["r_rid"].to_numpy()
+        slots = max(2, 2 * len(keys))
+        home = lambda x: (x.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(17)).astype(np.int64) % slots
+        at = np.full(slots, -1, np.int64)
+        todo, spot = np.arange(len(keys)), home(keys)
+        while len(todo):
+            free = at[spot[todo]] < 0
+            at[spot[todo[free]][::-1]] = todo[free][::-1]  # of several newcomers the first stays
+            todo = todo[at[spot[todo]] != todo]
+            spot[todo] = (spot[todo] + 1) % slots
+        want, mine = left["key"].to_numpy(), left["l_rid"].to_numpy()
+        todo, spot, out = np.arange(len(want)), home(want), []
+        while len(todo):
+            here = at[spot[todo]]
+            todo, here = todo[here >= 0], here[here >= 0]
+            hit = keys[here] == want[todo]
+            out.append((todo[hit], here[hit]))
+            spot[todo] = (spot[todo] + 1) % slots
+        l, r = (np.concatenate([o[k] for o in out] or [np.zeros(0, np.int64)]) for k in (0, 1))
+        return pa.table({"key": want[l], "l_rid": mine[l], "r_rid": rids[r]})
+
+    return _cogroup("key bigint, l_rid bigint, r_rid bigint", a, b, "key", pieces, kernel)
+
+
+def arrow_hash_join(a: DataFrame, b: DataFrame, pieces: int | None = None) -> DataFrame:
+    """(key, l_rid, r_rid) of a(key, l_rid) and b(key, r_rid): vectorised joins of key pieces."""
 
     def kernel(left: pa.Table, right: pa.Table) -> pa.Table:
         return left.drop_columns(["_p"]).join(right.drop_columns(["_p"]), "key", join_type="inner").select(["key", "l_rid", "r_rid"])
@@ -68,7 +111,7 @@ def arrow_hash_join(a: DataFrame, b: DataFrame, pieces: int = 64) -> DataFrame:
     return _cogroup("key bigint, l_rid bigint, r_rid bigint", a, b, "key", pieces, kernel)
 
 
-def sorted_lookup(a: DataFrame, b: DataFrame, pieces: int = 64) -> DataFrame:
+def sorted_lookup(a: DataFrame, b: DataFrame, pieces: int | None = None) -> DataFrame:
     """(key, l_rid, r_rid): b's keys are sorted, each key of a finds its run by two binary searches."""
 
     def kernel(left: pa.Table, right: pa.Table) -> pa.Table:

@@ -42,16 +42,45 @@ def _carried(homes: DataFrame) -> DataFrame:
     return run.join(F.broadcast(side), "bin").withColumn("carry", F.col("s") + F.greatest("w", -F.col("m"))).drop("s", "m", "w")
 
 
+#: Slots that one window runs over, about.
+BIN_SLOTS = 4_000_000
+
+
 def displacement(keys: DataFrame, slots: int, spec: HashSpec = HashSpec(), bins: int = 16) -> DataFrame:
     """keys(key) -> one row: slots, displacement (steps past home over all inserts), worst carry. Independent of insert order."""
     n = keys.where("key is not null").count()
     if n >= slots:
         raise ValueError(f"{n} keys don't fit in {slots} slots")
-    return _carried(_homes(keys, slots, spec, bins)).agg(F.lit(slots).cast("bigint").alias("slots"), F.sum("carry").cast("bigint").alias("displacement"), F.max("carry").cast("bigint").alias("max_carry"))
+    return _carried(_homes(keys, slots, spec, max(bins, ceil(slots / BIN_SLOTS)))).agg(F.lit(slots).cast("bigint").alias("slots"), F.sum("carry").cast("bigint").alias("displacement"), F.max("carry").cast("bigint").alias("max_carry"))
+
+
+def find_first_cost(keys: DataFrame, slots: int, spec: HashSpec = HashSpec(), bins: int = 16) -> DataFrame:
+    """One row: slots looked at when each of the distinct keys is sought until its first hit.
+
+    Of unique keys, whatever their order, the walks to the hits add up to the displacement and one slot each.
+    """
+    unique = keys.where("key is not null").select("key").distinct()
+    n = unique.count()
+    moved = displacement(unique, slots, spec, bins)
+    return moved.select("slots", F.lit(n).cast("bigint").alias("n_keys"), (F.col("displacement") + n).alias("slots_read"))
+
+
+def miss_cost(keys: DataFrame, slots: int, spec: HashSpec = HashSpec(), bins: int = 16) -> DataFrame:
+    """One row: slots looked at when one absent key is sought from every slot, and their mean."""
+    every = keys.sparkSession.range(slots).select(F.col("id").alias("slot"), F.lit(1).cast("bigint").alias("n_probes"))
+    read = _walks(keys, slots, spec, max(bins, ceil(slots / BIN_SLOTS))).join(every, "slot")
+    total = F.sum(F.col("n_probes") * F.col("walk"))
+    return read.agg(F.lit(slots).cast("bigint").alias("slots"), total.cast("bigint").alias("slots_read"), F.round(total / slots, 6).alias("mean"))
 
 
 def find_all_cost(keys: DataFrame, slots: int, spec: HashSpec = HashSpec(), bins: int = 16) -> DataFrame:
     """One row: slots looked at when each key scans from its home to the first empty slot."""
+    cost = F.col("n") * F.col("walk")
+    return _walks(keys, slots, spec, max(bins, ceil(slots / BIN_SLOTS))).agg(F.lit(slots).cast("bigint").alias("slots"), F.coalesce(F.sum(cost), F.lit(0)).cast("bigint").alias("slots_read"))
+
+
+def _walks(keys: DataFrame, slots: int, spec: HashSpec, bins: int) -> DataFrame:
+    """(slot, n, walk): keys whose home it is, and slots from it to the first empty one, both counted."""
     carried = _carried(_homes(keys, slots, spec, bins))
     before = carried.select((F.pmod(F.col("slot") + 1, F.lit(slots))).alias("slot"), F.col("carry").alias("came"))
     state = carried.join(before, "slot").withColumn("free_at", F.when((F.col("n") + F.col("came")) == 0, F.col("slot")))
@@ -67,8 +96,7 @@ def find_all_cost(keys: DataFrame, slots: int, spec: HashSpec = HashSpec(), bins
             if first[b] is not None:
                 seen = first[b] + lap
     side = keys.sparkSession.createDataFrame(list(after.items()) or [(0, 0)], "bin bigint, later bigint")
-    cost = F.col("n") * (F.coalesce("next_free", "later") - F.col("slot") + 1)
-    return near.join(F.broadcast(side), "bin").agg(F.lit(slots).cast("bigint").alias("slots"), F.coalesce(F.sum(cost), F.lit(0)).cast("bigint").alias("slots_read"))
+    return near.join(F.broadcast(side), "bin").select("slot", "n", (F.coalesce("next_free", "later") - F.col("slot") + 1).alias("walk"))
 
 
 def simulate(homes: list[int], slots: int) -> tuple[list[int | None], int]:

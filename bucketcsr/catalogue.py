@@ -12,7 +12,7 @@ from .functions.hashing import HashSpec, bucket_sql, mix32, murmur_sql, with_buc
 from .functions.rowid import dense_rid
 from .operators import applications as apps, build, dynamic, joins, probe
 from .functions import udfs
-from .plans.params import BuildSpec
+from .plans.params import BuildSpec, choose_load
 from .sources import storage
 from .streaming import streams
 
@@ -189,11 +189,33 @@ for _name, _bins, _text in (("b16", 16, "16"), ("b1", 1, "1"), ("bV", 1 << 30, "
     register(f"bins_orders_{_name}", lambda s, d, b=_bins: _orders_index(s, d, build.build_binned, BuildSpec(bins=b, parts=4)).bins.select("bin", "n", "bin_start"), _bins_sql(_text))
 
 
-@query("SELECT 0::BIGINT AS differing")
+def _differing(one: DataFrame, two: DataFrame) -> DataFrame:
+    """One row: rows of either side, their sums of positions, and how many rows of one the other lacks."""
+    both = one.withColumn("side", F.lit(1)).unionAll(two.withColumn("side", F.lit(2)))
+    rows = both.groupBy(*one.columns).agg(F.count(F.when(F.col("side") == 1, 1)).alias("a"), F.count(F.when(F.col("side") == 2, 1)).alias("b"))
+    total = lambda c, name: F.sum(c).cast("bigint").alias(name)
+    return rows.agg(total("a", "rows_one"), total("b", "rows_two"), total(F.col("a") * F.col("pos"), "positions_one"), total(F.abs(F.col("a") - F.col("b")), "differing"))
+
+
+@query("SELECT count(*) AS rows_one, count(*) AS rows_two, (count(*) * (count(*) - 1) // 2)::BIGINT AS positions_one, 0::BIGINT AS differing FROM orders")
 def build_v1_v2_diff(spark, d):
     cols = ["bucket", "pos", "key", "rid"]
-    one, two = (_orders_index(spark, d, how).edges.select(*cols) for how in (build.build_single_sweep, build.build_binned))
-    return one.exceptAll(two).unionAll(two.exceptAll(one)).agg(F.count("*").alias("differing"))
+    return _differing(*(_orders_index(spark, d, how).edges.select(*cols) for how in (build.build_single_sweep, build.build_binned)))
+
+
+@query(f"SELECT bucket, (row_number() OVER (ORDER BY bucket, key) - 1)::BIGINT AS pos, key FROM {rows_sql('lineitem', 'l_partkey')}")
+def edges_key_only(spark, d):
+    spec = BuildSpec(bins=16, parts=4, payload="key")
+    return build.build_binned(table(spark, d, "lineitem"), "l_partkey", "l_orderkey", spec, ["l_quantity"]).edges.drop("part", "bin").select("bucket", "pos", "key")
+
+
+@query(f"SELECT bucket, start, len, len AS places, start AS first, start + len - 1 AS last FROM (SELECT bucket, (sum(len) OVER (ORDER BY bucket) - len)::BIGINT AS start, len FROM {lengths_sql('lineitem', 'l_suppkey')})")
+def hot_bucket_places(spark, d):
+    """Every bucket of over 50 rows is kept in pieces; each still fills exactly its own slice."""
+    spec = BuildSpec(bins=16, parts=4, hot_bucket_rows=50)
+    ix = build.build_binned(lines(spark, d), "l_suppkey", "rid", spec)
+    filled = ix.edges.groupBy("bucket").agg(F.countDistinct("pos").alias("places"), F.min("pos").alias("first"), F.max("pos").alias("last"))
+    return ix.offsets.select("bucket", "start", "len").join(filled, "bucket")
 
 
 @query("SELECT bucket::BIGINT AS bucket, start::BIGINT AS start, len::BIGINT AS len FROM (VALUES (0, 0, 0), (1, 0, 3), (2, 3, 0), (3, 3, 0), (4, 3, 1), (5, 4, 0), (6, 4, 0), (7, 4, 0), (8, 4, 1), (9, 5, 0)) t(bucket, start, len)")
@@ -389,6 +411,47 @@ def cuckoo_lookup_join(spark, d):
     return cuckoo.cuckoo_build(keys, linear.slots_for(keys.count(), 0.5)).lookup(_line_keys(spark, d))
 
 
+@query(PAIRS)
+def cuckoo_partitioned_join(spark, d):
+    """The out-of-core form: four ranges of slots that no key leaves."""
+    return cuckoo.cuckoo_partitioned(_order_keys(spark, d), 0.5, 4).lookup(_line_keys(spark, d))
+
+
+@query(" UNION ALL ".join(f"SELECT {c}::DOUBLE AS load, {r}::BIGINT AS appearances, n AS n_keys FROM (SELECT count(*) AS n FROM orders)" for c, r in ((0.5, 1), (0.8, 1), (0.9, 1), (0.5, 2), (0.5, 4), (0.5, 8))))
+def cuckoo_keys_accounted(spark, d):
+    """Every key is placed or in the stash, at high loads and with repeated keys alike."""
+    out, orders = None, table(spark, d, "orders")
+    for load, r in ((0.5, 1), (0.8, 1), (0.9, 1), (0.5, 2), (0.5, 4), (0.5, 8)):
+        keys = orders.select(F.floor(F.col("o_orderkey") / r).cast("bigint").alias("key"), F.col("o_orderkey").alias("rid"))
+        t = cuckoo.cuckoo_build(keys, linear.slots_for(keys.count(), load), max_rounds=6)
+        one = t.placed.select("rid").unionAll(t.stash.select("rid")).agg(F.lit(load).alias("load"), F.lit(r).cast("bigint").alias("appearances"), F.countDistinct("rid").alias("n_keys"))
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+@query(f"SELECT n.slots, n.keys AS n_keys, (c.moved + n.keys)::BIGINT AS slots_read FROM (SELECT sum(carry)::BIGINT AS moved FROM {_linear_sql('orders', 'o_orderkey', 0.8)}) c, (SELECT count(*) AS keys, ceil(count(*) / 0.8)::BIGINT AS slots FROM orders) n")
+def linear_find_first_cost(spark, d):
+    keys = table(spark, d, "orders").select(F.col("o_orderkey").alias("key"))
+    return linear.find_first_cost(keys, linear.slots_for(keys.count(), 0.8))
+
+
+@query(f"""WITH c AS {_linear_sql('orders', 'o_orderkey', 0.8)}, k AS (SELECT count(*) AS slots FROM c),
+    f AS (SELECT c.slot, (c.n + p.carry = 0) AS free FROM c, k, c AS p WHERE p.slot = (c.slot + k.slots - 1) % k.slots),
+    laps AS (SELECT slot AS p, free, true AS first FROM f UNION ALL SELECT slot + slots, free, false FROM f, k),
+    nx AS (SELECT *, min(CASE WHEN free THEN p END) OVER (ORDER BY p ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS nf FROM laps)
+    SELECT (SELECT slots FROM k) AS slots, sum(nf - p + 1)::BIGINT AS slots_read, round(sum(nf - p + 1) / (SELECT slots FROM k), 6) AS mean FROM nx WHERE first""")
+def linear_miss_cost(spark, d):
+    keys = table(spark, d, "orders").select(F.col("o_orderkey").alias("key"))
+    return linear.miss_cost(keys, linear.slots_for(keys.count(), 0.8))
+
+
+@query("SELECT n_nationkey AS key, c_custkey AS l_rid, n_nationkey::BIGINT AS r_rid FROM customer JOIN nation ON c_nationkey = n_nationkey")
+def nested_loop_join(spark, d):
+    a = table(spark, d, "customer").select(F.col("c_nationkey").alias("key"), F.col("c_custkey").alias("l_rid"))
+    b = table(spark, d, "nation").select(F.col("n_nationkey").alias("key"), F.col("n_nationkey").cast("bigint").alias("r_rid"))
+    return base_joins.nested_loop_join(a, b, "key").select("key", "l_rid", "r_rid")
+
+
 @query(PAIRS)
 def unique_first_match(spark, d):
     return base_joins.unique_lookup(table(spark, d, "orders"), lines(spark, d), "o_orderkey", "l_orderkey", "o_orderkey", "rid")
@@ -408,6 +471,7 @@ for _name, _join in (
     ("shuffle_hash_join", lambda a, b: base_joins.multicore_join(a, b, "key")),
     ("distributed_join", lambda a, b: base_joins.distributed_join(a, b, "key", 8)),
     ("broadcast_join", lambda a, b: base_joins.broadcast_join(a, b, "key")),
+    ("partition_tables_join", lambda a, b: base_joins.partition_tables(a, b, 8)),
     ("arrow_hash_join", lambda a, b: base_joins.arrow_hash_join(a, b, 8)),
     ("sorted_lookup_join", lambda a, b: base_joins.sorted_lookup(a, b, 8)),
 ):
@@ -438,7 +502,11 @@ register("lookup_scan", _lookup("all", "scan"), PAIRS)
 register("lookup_first", _lookup("first"), PAIRS)
 register("lookup_count", _lookup("count"), f"SELECT count(*) AS n_pairs FROM ({PAIRS})")
 register("lookup_exists", _lookup("exists"), f"SELECT key, l_rid FROM ({PAIRS})")
-register("lookup_none", _lookup("none"), f"SELECT key, l_rid FROM ({PAIRS}) WHERE false")
+register(
+    "lookup_none",
+    lambda s, d: probe.lookup_probe(build.build_binned(table(s, d, "events"), "user_id", "event_id", PARTS4), table(s, d, "orders"), "o_custkey", "o_orderkey", "none"),
+    "SELECT o_custkey AS key, o_orderkey AS l_rid FROM orders WHERE o_custkey NOT IN (SELECT user_id FROM events)",
+)
 
 
 def _pair(spark, d, left=("orders", "o_custkey", "o_orderkey"), right=("events", "user_id", "event_id")):
@@ -461,11 +529,61 @@ def cobucket_all(spark, d):
 
 
 def flagship(spark: SparkSession, d: str) -> DataFrame:
-    """Pairs of line items and orders, counted through two indexes of one layout."""
+    """Pairs of line items and orders, counted list against list."""
+    return probe.cobucket_count(table(spark, d, "lineitem"), table(spark, d, "orders"), "l_orderkey", "o_orderkey")
+
+
+LINE_ORDERS = "SELECT count(*) AS n_pairs FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
+register("cobucket_count", flagship, LINE_ORDERS)
+
+
+@query(LINE_ORDERS)
+def cobucket_count_indexed(spark, d):
     return probe.cobucket_probe(*probe.build_pair(table(spark, d, "lineitem"), table(spark, d, "orders"), "l_orderkey", "o_orderkey", spec=PARTS4), mode="count")
 
 
-register("cobucket_count", flagship, "SELECT count(*) AS n_pairs FROM lineitem JOIN orders ON l_orderkey = o_orderkey")
+def _stored_orders(spark, d, spec=PARTS4):
+    path = storage.shared_folder(spark, "index")
+    storage.save(_orders_index(spark, d, build.build_binned, spec), path)
+    return storage.load(spark, path)
+
+
+@query(PAIRS)
+def stored_side_probe(spark, d):
+    """A stored index stays as it is; line items are indexed in its layout and meet it."""
+    stored = _stored_orders(spark, d)
+    return probe.cobucket_probe(probe.align(stored, lines(spark, d), "l_orderkey", "rid"), stored)
+
+
+@query("SELECT 'orders' AS name, (SELECT count(*) FROM customer JOIN orders ON c_custkey = o_custkey) AS n_pairs UNION ALL SELECT 'events', (SELECT count(*) FROM customer JOIN events ON c_custkey = user_id)")
+def cobucket_many(spark, d):
+    """One index, built once, against two others of its layout."""
+    base = build.build_binned(table(spark, d, "customer"), "c_custkey", "c_custkey", PARTS4)
+    others = {"orders": probe.align(base, table(spark, d, "orders"), "o_custkey", "o_orderkey"), "events": probe.align(base, table(spark, d, "events"), "user_id", "event_id")}
+    made = probe.cobucket_many(base, list(others.values()))
+    one, two = (m.agg(F.count("*").alias("n_pairs")).select(F.lit(name).alias("name"), "n_pairs") for name, m in zip(others, made, strict=True))
+    return one.unionAll(two)
+
+
+def _auto(broadcast: int, wanted: str):
+    def f(spark, d):
+        kind, rows = probe.auto_probe(_orders_index(spark, d, build.build_binned), lines(spark, d), "l_orderkey", "rid", appearances=4.07, broadcast_bytes=broadcast)
+        return rows.withColumn("probe", F.lit(kind))
+
+    return f, f"SELECT *, '{wanted}' AS probe FROM ({PAIRS})"
+
+
+register("auto_probe_small", *_auto(probe.BROADCAST_BYTES, "lookup"))
+register("auto_probe_large", *_auto(0, "cobucket"))
+
+
+@query("SELECT 1 + n / (n + m) AS load, n, ceil(n / (1 + n / (n + m)))::BIGINT AS v FROM (SELECT (SELECT count(*) FROM orders)::BIGINT AS n, (SELECT count(*) FROM lineitem)::BIGINT AS m)")
+def chosen_load(spark, d):
+    """The load that build and probe sizes call for, and the bucket range it gives."""
+    n, m = table(spark, d, "orders").count(), table(spark, d, "lineitem").count()
+    load = choose_load(n, m)
+    ix = _orders_index(spark, d, build.build_binned, BuildSpec(load=load, bins=16, parts=4))
+    return ix.offsets.agg(F.lit(load).alias("load"), F.sum("len").alias("n")).withColumn("v", F.lit(ix.layout.v).cast("bigint"))
 
 _SHARED_V = v_sql("orders", "o_orderkey", 1.0)
 _LA, _LB = lengths_sql("orders", "o_orderkey", sized_by=_SHARED_V), lengths_sql("lineitem", "l_orderkey", sized_by=_SHARED_V)
@@ -499,6 +617,26 @@ def _load_pairs():
 register("fetch_stats", *_load_pairs())
 
 
+def _appearance_probes():
+    """Lists of a self-probe, by how often keys appear."""
+    cols = (*COLUMNS, ("events", "user_id"), ("lineitem", "l_suppkey"))
+    sql = " UNION ALL ".join(f"SELECT '{k}' AS name, sum(len * len)::BIGINT AS comparisons, sum(len)::BIGINT AS lookup_fetches, count(*) AS cobucket_fetches, sum(2 * len)::BIGINT AS cobucket_elements FROM {lengths_sql(t, k)}" for t, k in cols)
+
+    def f(spark, d):
+        out = None
+        for t, k in cols:
+            ix = build.build_binned(table(spark, d, t), k, None, PARTS4)
+            one = probe.comparisons(ix, ix)
+            one = one.select(F.lit(k).alias("name"), *one.columns)
+            out = one if out is None else out.unionAll(one)
+        return out
+
+    return f, sql
+
+
+register("fetch_stats_by_appearance", *_appearance_probes())
+
+
 @query(" UNION ALL ".join(f"SELECT '{k}' AS name, sum(n)::BIGINT AS n_rows, sum(n * n)::BIGINT AS pairs, round(sum(n * n) / (2 * sum(n)), 6) AS blow_up FROM (SELECT count(*) AS n FROM {t} GROUP BY {k})" for t, k in COLUMNS))
 def output_blowup(spark, d):
     return measures.self_join_sizes([(k, table(spark, d, t).select(F.col(k).alias("key"))) for t, k in COLUMNS])
@@ -521,7 +659,7 @@ for _kind, _word in (("intersect", "INTERSECT"), ("union", "UNION"), ("except",
 
 
 def _count_pairs(left, right, spec=PARTS4):
-    return lambda s, d: probe.cobucket_probe(*probe.build_pair(table(s, d, left[0]), table(s, d, right[0]), left[1], right[1], spec=spec), mode="count")
+    return lambda s, d: probe.cobucket_count(table(s, d, left[0]), table(s, d, right[0]), left[1], right[1], spec)
 
 
 def _count_sql(left, right) -> str:
@@ -558,6 +696,22 @@ def join_null_keys(spark, d):
     return joins.bucket_join(a, b, "k", "k", "i", "j", "full", BuildSpec(bins=2, parts=2))
 
 
+@query("SELECT l_returnflag AS key, rid AS l_rid, r_rid::BIGINT AS r_rid FROM " + LINES + " l JOIN (VALUES ('A', 1), ('N', 2), ('N', 3), ('X', 4)) f(flag, r_rid) ON l_returnflag = flag")
+def hot_key_join(spark, d):
+    """Three keys hold all rows: their lists are cut into chunks that meet the other side in tasks of their own."""
+    flags = spark.createDataFrame([("A", 1), ("N", 2), ("N", 3), ("X", 4)], "flag string, r bigint")
+    spec = BuildSpec(bins=16, parts=4, hash=HashSpec("xx64"), hot_bucket_rows=2000)
+    return joins.bucket_join(lines(spark, d), flags, "l_returnflag", "flag", "rid", "r", "inner", spec)
+
+
+@query("SELECT o.k AS key, o.o_orderkey AS l_rid, l.rid AS r_rid FROM (SELECT *, nullif(o_orderkey, 7) AS k FROM orders) o JOIN (SELECT *, nullif(l_orderkey, 7) AS k FROM " + LINES + ") l ON o.k IS NOT DISTINCT FROM l.k")
+def join_null_safe(spark, d):
+    """Null meets null: the rows without a key are joined beside the index, which holds none."""
+    orders = table(spark, d, "orders").withColumn("k", F.nullif("o_orderkey", F.lit(7)))
+    items = lines(spark, d).withColumn("k", F.nullif("l_orderkey", F.lit(7)))
+    return joins.null_safe_join(orders, items, "k", "k", "o_orderkey", "rid", PARTS4)
+
+
 @query("SELECT p_partkey, s_suppkey FROM part JOIN supplier ON p_partkey >= s_suppkey * 10 AND p_partkey < s_suppkey * 10 + 7")
 def theta_range_join(spark, d):
     spans = table(spark, d, "supplier").select("s_suppkey", (F.col("s_suppkey") * 10).alias("low"), (F.col("s_suppkey") * 10 + 7).alias("high"))
@@ -622,10 +776,10 @@ def spgemm(spark, d):
     return apps.spgemm(ones, ones.select(F.col("col").alias("row"), F.col("row").alias("col"), "val"), PARTS4)
 
 
-@query("""WITH p AS (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem WHERE l_orderkey < 3000), e AS (SELECT DISTINCT a.l_partkey AS s, b.l_partkey AS d FROM p a JOIN p b USING (l_orderkey) WHERE a.l_partkey < b.l_partkey)
+@query("""WITH p AS (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem ), e AS (SELECT DISTINCT a.l_partkey AS s, b.l_partkey AS d FROM p a JOIN p b USING (l_orderkey) WHERE a.l_partkey < b.l_partkey)
     SELECT count(*) AS n_triangles FROM e x JOIN e y ON x.d = y.s JOIN e z ON z.s = x.s AND z.d = y.d""")
 def triangles(spark, d):
-    """Parts that share an order, over all orders (the SQL beside it is cut to a key range)."""
+    """Parts that share an order, over all orders."""
     p = table(spark, d, "lineitem").select("l_orderkey", "l_partkey").distinct()
     pairs = p.alias("a").join(p.alias("b"), F.col("a.l_orderkey") == F.col("b.l_orderkey")).where("a.l_partkey < b.l_partkey").select(F.col("a.l_partkey").alias("src"), F.col("b.l_partkey").alias("dst"))
     return apps.count_triangles(pairs, PARTS4)
@@ -687,7 +841,7 @@ def append_then_probe(spark, d):
     return live.probe(table(spark, d, "orders"), "o_custkey", "o_orderkey")
 
 
-@query("SELECT 0::BIGINT AS differing")
+@query("SELECT count(*) AS rows_one, count(*) AS rows_two, (count(*) * (count(*) - 1) // 2)::BIGINT AS positions_one, 0::BIGINT AS differing FROM events WHERE event_type <> 'error'")
 def compact_equals_rebuild(spark, d):
     events = table(spark, d, "events")
     gone = events.where("event_type = 'error'").select(F.col("event_id").alias("rid"))
@@ -695,8 +849,27 @@ def compact_equals_rebuild(spark, d):
     packed = live.compact()
     cols = ["bucket", "pos", "key", "rid"]
     fresh = build.build_binned(events.where("event_type <> 'error'"), "user_id", "event_id", PARTS4, layout=live.base.layout)
-    one, two = packed.edges.select(*cols), fresh.edges.select(*cols)
-    return one.exceptAll(two).unionAll(two.exceptAll(one)).agg(F.count("*").alias("differing"))
+    return _differing(packed.edges.select(*cols), fresh.edges.select(*cols))
+
+
+@query(_EV)
+def append_days_then_probe(spark, d):
+    """All days but the last three as a base, then one delta index a day."""
+    events = table(spark, d, "events").withColumn("day", F.to_date("ts"))
+    days = [r["day"] for r in events.select("day").distinct().orderBy(F.desc("day")).limit(3).collect()]
+    live = dynamic.LiveIndex(build.build_binned(events.where(~F.col("day").isin(days)), "user_id", "event_id", PARTS4))
+    for day in reversed(days):
+        live = live.append(events.where(F.col("day") == F.lit(day)), "user_id", "event_id")
+    return live.probe(table(spark, d, "orders"), "o_custkey", "o_orderkey")
+
+
+_GONE = f"(SELECT event_type = 'error' AS dead, user_id AS key, event_id AS rid, {bucket_sql('user_id', '(SELECT count(*) FROM events)')} AS bucket FROM events)"
+
+
+@query(f"SELECT bucket, pos, key, rid FROM (SELECT *, (row_number() OVER (ORDER BY bucket, dead, key, rid) - 1)::BIGINT AS pos FROM {_GONE}) WHERE NOT dead")
+def live_rows_in_front(spark, d):
+    gone = table(spark, d, "events").where("event_type = 'error'").select(F.col("event_id").alias("rid"))
+    return _event_base(spark, d).delete(gone).live_front().where("live").select("bucket", "pos", "key", "rid")
 
 
 _CLOSED = '"end" <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR'
@@ -742,9 +915,7 @@ def stream_running_bins(spark, d):
 @query(f"SELECT bucket, pos, key, rid FROM ({EDGES_ORDERS}) WHERE key IN (5, 77, 1234, 14999)")
 def stored_point_lookup(spark, d):
     """An index written to the shared folder, opened again and asked for a few keys."""
-    path = f"{streams._folder(spark)}-index"
-    storage.save(_orders_index(spark, d, build.build_binned), path)
-    return storage.load(spark, path).get_many([5, 77, 1234, 14999]).select("bucket", "pos", "key", "rid")
+    return _stored_orders(spark, d).get_many([5, 77, 1234, 14999]).select("bucket", "pos", "key", "rid")
 
 
 @query(_sql["hash_mix32_orders"])

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.hashing import bucket_of
-from ..plans.params import BuildSpec
+from ..plans.params import BuildSpec, bucket_count
 from .build import build_binned
-from .probe import BROADCAST_BYTES, PLACE, build_pair, cobucket_probe
+from .probe import BROADCAST_BYTES, PLACE, build_pair, cobucket_count
 
 
 def spmv(matrix: DataFrame, vector: DataFrame, spec: BuildSpec = BuildSpec()) -> DataFrame:
@@ -37,10 +39,12 @@ def count_triangles(edges: DataFrame, spec: BuildSpec = BuildSpec()) -> DataFram
     ranked = plain.join(ds, "s").join(dd, "d")
     first = (F.col("ps") < F.col("pd")) | ((F.col("ps") == F.col("pd")) & (F.col("s") < F.col("d")))
     out = ranked.select(F.when(first, F.col("s")).otherwise(F.col("d")).alias("u"), F.when(first, F.col("d")).otherwise(F.col("s")).alias("w"))
-    wedges = out.alias("a").join(out.alias("b"), F.col("a.u") == F.col("b.u")).where(F.col("a.w") < F.col("b.w")).select(F.least("a.w", "b.w").alias("p"), F.greatest("a.w", "b.w").alias("q"))
-    closed = plain.select(F.col("s").alias("p"), F.col("d").alias("q")).withColumn("rid", F.lit(0))
-    ia, ib = build_pair(wedges.withColumn("rid", F.lit(0)), closed, ["p", "q"], ["p", "q"], "rid", "rid", spec)
-    return cobucket_probe(ia, ib, "count").select(F.col("n_pairs").alias("n_triangles"))
+    # lists of out-neighbours meet themselves in place; the wedges are then counted by their two ends before they meet the edges
+    lists = build_binned(out, "u", None, spec, ["w"]).edges.select(*PLACE, "key", "w")
+    wedges = lists.withColumnRenamed("w", "p").join(lists.withColumnRenamed("w", "q"), [*PLACE, "key"]).where("p < q").select("p", "q")
+    closed = plain.select(F.col("s").alias("p"), F.col("d").alias("q"))
+    sized = replace(spec, buckets=bucket_count(plain.count(), spec.load))
+    return cobucket_count(wedges, closed, ["p", "q"], ["p", "q"], sized).select(F.col("n_pairs").alias("n_triangles"))
 
 
 def kmers(docs: DataFrame, doc_id: str, text: str, k: int = 12, block: int = 512) -> DataFrame:

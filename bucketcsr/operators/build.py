@@ -3,29 +3,42 @@
 Single sweep: count rows per bucket, prefix the counts, place each row. Binned: rows first move to bins, ranges of
 neighbouring buckets; whole bins go to one partition each by a pass-through exchange, and one sort inside it gives
 ranks, positions and offsets. That exchange is the only one over the rows.
+
+A bucket of over `hot_bucket_rows` rows would be sorted by one task. Such buckets are found from the bin counts (only rows of bins over the
+limit are counted by bucket), their rows are ranked in pieces of about that many rows, and every other row of the bin is moved on
+by their number. The order inside a hot bucket is then by piece, not by key.
 """
 
 from __future__ import annotations
 
+from bisect import bisect_right
 from collections.abc import Sequence
 from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.hashing import bucket_of, normal_key
-from ..plans.params import BuildSpec, Layout, resolve
-from .prefix import exclusive_prefix, starts
+from ..plans.params import MOST_PARTS, BuildSpec, Layout, resolve
+from .prefix import MOST_GROUPS, exclusive_prefix, starts
+
+#: Hot buckets that the driver may hold and send to every executor.
+MOST_HOT = 100_000
 
 
 @dataclass(frozen=True)
 class CsrIndex:
-    """edges(part, bin, bucket, pos, key, rid, payload...), offsets(part, bin, bucket, start, len), bins(bin, part, n, bin_start)."""
+    """edges(part, bin, bucket, pos, key, rid, payload...), offsets(part, bin, bucket, start, len), bins(bin, part, n, bin_start).
+
+    hot: rows of each bucket that is kept in pieces; its edges carry the part after the last one.
+    """
 
     edges: DataFrame
     offsets: DataFrame
     bins: DataFrame
     layout: Layout
     spec: BuildSpec
+    hot: tuple[tuple[int, int], ...] = ()
+    lists: DataFrame | None = None  # (bucket, key, n), where it is stored
 
     def persist(self) -> CsrIndex:
         return replace(self, edges=self.edges.persist(), offsets=self.offsets.persist())
@@ -84,13 +97,32 @@ def bucket_counts(rows: DataFrame) -> DataFrame:
 
 
 def count_bins(rows: DataFrame) -> dict[int, int]:
-    """Rows per bin; one number per non-empty bin reaches the driver."""
-    return {r["bin"]: r["n"] for r in rows.groupBy("bin").agg(F.count("*").alias("n")).collect()}
-
-
-def bins_table(spark, counts: dict[int, int], layout: Layout, weights: dict[int, int] | None = None) -> DataFrame:
-    """(bin, part, n, bin_start); parts are runs of bins of about equal weight (default: the counts)."""
+    """Rows per bin; one number per non-empty bin reaches the driver, and no more than MOST_GROUPS of them."""
+    found = rows.groupBy("bin").agg(F.count("*").alias("n")).limit(MOST_GROUPS + 1).collect()
+    if len(found) > MOST_GROUPS:
+        raise ValueError(f"over {MOST_GROUPS} bins; take fewer")
+    return {r["bin"]: r["n"] for r in found}
+
+
+def hot_buckets(rows: DataFrame, counts: dict[int, int], limit: int) -> dict[int, int]:
+    """Rows of each bucket with over `limit` of them; only bins over the limit are looked into."""
+    wide = [b for b, n in counts.items() if n > limit]
+    if not wide:
+        return {}
+    inside = rows.where(F.col("bin").isin(wide)) if len(wide) <= 1000 else rows
+    found = inside.groupBy("bucket").agg(F.count("*").alias("n")).where(F.col("n") > limit).limit(MOST_HOT + 1).collect()
+    if len(found) > MOST_HOT:
+        raise ValueError(f"over {MOST_HOT} hot buckets; raise hot_bucket_rows")
+    return {r["bucket"]: r["n"] for r in found}
+
+
+def bins_table(spark, counts: dict[int, int], layout: Layout, weights: dict[int, int] | None = None, parts: dict[int, int] | None = None) -> DataFrame:
+    """(bin, part, n, bin_start); parts are runs of bins of about equal weight (default: the counts), or those of another index's bins."""
     begin = starts(counts.items())
+    if parts:
+        known = sorted(parts)
+        part = lambda b: parts[known[max(0, bisect_right(known, b) - 1)]]
+        return spark.createDataFrame([(b, part(b), n, begin[b]) for b, n in sorted(counts.items())], "bin bigint, part int, n bigint, bin_start bigint")
     weights = weights or counts
     total, seen, part_of = max(1, sum(weights.values())), 0, {}
     for b in sorted(weights):
@@ -117,14 +149,56 @@ def finish_bins(dealt: DataFrame) -> tuple[DataFrame, DataFrame]:
     return edges, offsets
 
 
+def split_hot(rows: DataFrame, hot: Sequence[int]) -> tuple[DataFrame, DataFrame]:
+    """Rows outside and inside the hot buckets, a checked number that goes to every executor."""
+    if not hot:
+        return rows, rows.where("false")
+    side = F.broadcast(rows.sparkSession.createDataFrame([(b,) for b in hot], "bucket bigint"))
+    return rows.join(side, "bucket", "left_anti").select(*rows.columns), rows.join(side, "bucket", "left_semi").select(*rows.columns)
+
+
+def place(rows: DataFrame, counts: dict[int, int], layout: Layout, spec: BuildSpec, hot: dict[int, int], weights: dict[int, int] | None = None, size: int | None = None, parts: dict[int, int] | None = None) -> CsrIndex:
+    """An index of bucketed rows whose bins are counted; weights size the parts (or parts tells them), hot buckets are kept in pieces."""
+    spark = rows.sparkSession
+    bins = bins_table(spark, counts, layout, weights, parts)
+    sized = replace(layout, n=layout.n if size is None else size)
+    if not hot:
+        edges, offsets = finish_bins(reorganise(rows, bins, layout.parts))
+        return CsrIndex(edges, offsets, bins, sized, spec)
+    cold, warm = split_hot(rows, list(hot))
+    own = {r["bucket"]: r["n"] for r in warm.groupBy("bucket").agg(F.count("*").alias("n")).collect()}  # at most MOST_HOT
+    by_bin: dict[int, list[tuple[int, int]]] = {}
+    for b, n in sorted(own.items()):
+        by_bin.setdefault(b // layout.width, []).append((b, n))
+    jumps = F.broadcast(spark.createDataFrame(list(by_bin.items()), "bin bigint, jumps array<struct<b: bigint, n: bigint>>"))
+    marked = cold.join(jumps, "bin", "left")
+    edges, _ = finish_bins(reorganise(marked, bins, layout.parts))
+    # rows of hot buckets in front of this one
+    jump = F.aggregate(F.filter("jumps", lambda h: h["b"] < F.col("bucket")), F.lit(0).cast("bigint"), lambda total, h: total + h["n"])
+    edges = edges.withColumn("pos", F.col("pos") + F.coalesce(jump, F.lit(0))).drop("jumps")
+    offsets = edges.groupBy("part", "bin", "bucket").agg(F.min("pos").alias("start"), F.count("*").alias("len"))
+    spots = F.broadcast(spark.createDataFrame([(b // layout.width, b) for b in own], "bin bigint, hot bigint"))
+    before = {r["hot"]: r["n"] for r in cold.join(spots, "bin").where("bucket < hot").groupBy("hot").agg(F.count("*").alias("n")).collect()}
+    begin, first = starts(counts.items()), {}
+    for k, inside in by_bin.items():
+        at = begin[k]
+        for b, n in inside:
+            first[b] = at + before.get(b, 0)
+            at += n
+    heads = spark.createDataFrame([(b, first[b], n) for b, n in own.items()] or [(-1, 0, 0)], "bucket bigint, start bigint, len bigint")
+    ranked = hot_chunks(warm, spec.hot_limit(), own).join(F.broadcast(heads.select("bucket", "start")), "bucket")
+    spread = ranked.withColumn("pos", F.col("start") + F.col("rank")).withColumn("part", F.lit(layout.parts)).select(*edges.columns)
+    more = heads.where("bucket >= 0").select(F.lit(layout.parts).alias("part"), F.floor(F.col("bucket") / F.lit(layout.width)).cast("bigint").alias("bin"), "bucket", "start", "len")
+    return CsrIndex(edges.unionByName(spread), offsets.unionByName(more), bins, sized, spec, tuple(sorted(hot.items())))
+
+
 def build_binned(df: DataFrame, key: str | Sequence[str], rid: str | None = None, spec: BuildSpec = BuildSpec(), payload: Sequence[str] = (), layout: Layout | None = None) -> CsrIndex:
     """Groups rows into bins first; rows of a bin are placed inside one partition."""
     rows = rows_of(df, key, None if spec.payload == "key" else rid, () if spec.payload == "key" else payload)
     layout = layout or resolve(rows.count(), spec)
     rows = bucketed(rows, layout, spec)
-    bins = bins_table(df.sparkSession, count_bins(rows), layout)
-    edges, offsets = finish_bins(reorganise(rows, bins, layout.parts))
-    return CsrIndex(edges, offsets, bins, layout, spec)
+    counts = count_bins(rows)
+    return place(rows, counts, layout, spec, hot_buckets(rows, counts, spec.hot_limit()))
 
 
 def build_single_sweep(df: DataFrame, key: str | Sequence[str], rid: str | None = None, spec: BuildSpec = BuildSpec(), payload: Sequence[str] = (), layout: Layout | None = None) -> CsrIndex:
@@ -145,23 +219,40 @@ def build_single_sweep(df: DataFrame, key: str | Sequence[str], rid: str | None
     return CsrIndex(edges, offsets.select("part", "bin", "bucket", "start", "len"), bins, layout, spec)
 
 
-def build_tiered(df: DataFrame, key: str | Sequence[str], rid: str | None = None, spec: BuildSpec = BuildSpec(), payload: Sequence[str] = (), tier_bins: int = 64) -> CsrIndex:
-    """For more bins than an exchange can hold: the exchange deals coarse tiers of bins, the sort inside each tier does the rest."""
-    rows = rows_of(df, key, rid, payload).count()
-    fine = resolve(rows, spec)
-    coarse = replace(fine, parts=max(1, min(-(-fine.bins // tier_bins), 32_768)))
-    return build_binned(df, key, rid, spec, payload, coarse)
+def build_tiered(df: DataFrame, key: str | Sequence[str], rid: str | None = None, spec: BuildSpec = BuildSpec(), payload: Sequence[str] = (), tier_bins: int = 64, store=None) -> CsrIndex:
+    """For more bins than one exchange can hold: a first exchange deals coarse tiers of `tier_bins` bins, a second one deals the bins of each tier.
 
-
-def hot_chunks(rows: DataFrame, limit: int) -> DataFrame:
-    """Rows (bucket, key, rid) of buckets over `limit` rows cut into chunks by position, so that no task sorts a whole hot bucket.
-
-    Adds chunk and rank: rows are dealt by a hash of the rid to as many pieces as chunks are needed, each piece is counted and ranked
-    alone, and a small prefix over the pieces gives the first rank. The order inside a hot bucket is then by piece, not by key.
+    store: writes and rereads a DataFrame (None: both exchanges run in one job). With it, the tiers lie on disk before the second pass, so a lost
+    executor costs a part of one pass only. Bin counts of the second tier come from the reorganised rows.
+    """
+    rows = rows_of(df, key, rid, payload)
+    fine = resolve(rows.count(), spec)
+    tiers = max(1, min(-(-fine.bins // tier_bins), MOST_PARTS))
+    wide = replace(fine, bins=tiers, width=fine.width * -(-fine.bins // tiers), parts=tiers)
+    coarse = bucketed(rows, wide, spec)
+    first = reorganise(coarse, bins_table(df.sparkSession, count_bins(coarse), wide), wide.parts).select(*rows.columns)
+    dealt = bucketed(store(first) if store else first, fine, spec)
+    counts = count_bins(dealt)
+    return place(dealt, counts, fine, spec, hot_buckets(dealt, counts, spec.hot_limit()))
+
+
+def hot_chunks(rows: DataFrame, limit: int, sizes: dict[int, int] | None = None) -> DataFrame:
+    """Rows (bucket, key, rid...) with rank, from 0 in each bucket, and chunk, of at most `limit` rows each.
+
+    sizes: rows of the buckets over the limit, a checked number that goes to every executor (None: they are counted here). Their rows are dealt by a hash of all columns to as many pieces as chunks are needed, each piece is counted and ranked alone, and a
+    small prefix over the pieces gives the first rank, so no task sorts a whole bucket. The order inside a bucket is by piece, not by key.
+    Rows that are equal in every column can't be told apart and share a piece.
     """
-    counts = bucket_counts(rows).withColumn("pieces", F.ceil(F.col("n") / F.lit(limit)).cast("bigint"))
-    dealt = rows.join(counts.select("bucket", "pieces"), "bucket").withColumn("piece", F.pmod(F.xxhash64("rid"), F.col("pieces")))
-    sizes = dealt.groupBy("bucket", "piece").agg(F.count("*").alias("m"))
-    first = sizes.withColumn("first", F.sum("m").over(Window.partitionBy("bucket").orderBy("piece")) - F.col("m")).select("bucket", "piece", "first")
-    rank = F.row_number().over(Window.partitionBy("bucket", "piece").orderBy("key", "rid")) - 1
-    return dealt.withColumn("local", rank).join(first, ["bucket", "piece"]).withColumn("rank", F.col("first") + F.col("local")).withColumn("chunk", F.floor(F.col("rank") / F.lit(limit)).cast("bigint")).drop("pieces", "piece", "local", "first")
+    if sizes is None:
+        found = bucket_counts(rows).where(F.col("n") > limit).limit(MOST_HOT + 1).collect()
+        if len(found) > MOST_HOT:
+            raise ValueError(f"over {MOST_HOT} hot buckets; raise the limit")
+        sizes = {r["bucket"]: r["n"] for r in found}
+    cuts = rows.sparkSession.createDataFrame([(b, -(-n // limit)) for b, n in sizes.items()] or [(-1, 1)], "bucket bigint, pieces bigint")
+    pieces = F.coalesce("pieces", F.lit(1).cast("bigint"))
+    dealt = rows.join(F.broadcast(cuts), "bucket", "left").withColumn("piece", F.pmod(F.xxhash64(*rows.columns), pieces)).drop("pieces")
+    small = dealt.groupBy("bucket", "piece").agg(F.count("*").alias("m"))
+    first = small.withColumn("first", F.sum("m").over(Window.partitionBy("bucket").orderBy("piece")) - F.col("m")).select("bucket", "piece", "first")
+    rank = F.row_number().over(Window.partitionBy("bucket", "piece").orderBy(*[c for c in ("key", "rid") if c in rows.columns])) - 1
+    ranked = dealt.withColumn("local", rank).join(first, ["bucket", "piece"]).withColumn("rank", F.col("first") + F.col("local"))
+    return ranked.withColumn("chunk", F.floor(F.col("rank") / F.lit(limit)).cast("bigint")).drop("piece", "local", "first")

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from .build import CsrIndex, bins_table, build_binned, count_bins, finish_bins, reorganise
 from .probe import lookup_probe
@@ -33,6 +33,16 @@ class LiveIndex:
         gone = self.base.edges.join(self.dead, "rid", "left_semi").groupBy("bucket").agg(F.count("*").alias("gone"))
         return self.base.offsets.join(gone, "bucket", "left").withColumn("live_len", F.col("len") - F.coalesce("gone", F.lit(0))).drop("gone")
 
+    def live_front(self) -> DataFrame:
+        """Edges of the base with `live`, in each slice the live rows in front: a probe reads the first live_len of them and needs no marker."""
+        edges = self.base.edges
+        if self.dead is None:
+            return edges.withColumn("live", F.lit(True))
+        marked = edges.join(self.dead.withColumn("_gone", F.lit(True)), "rid", "left").withColumn("live", F.col("_gone").isNull())
+        starts = self.base.offsets.select("part", "bin", "bucket", "start")
+        rank = F.row_number().over(Window.partitionBy("part", "bin", "bucket").orderBy(F.desc("live"), "pos")) - 1
+        return marked.join(starts, ["part", "bin", "bucket"]).withColumn("pos", F.col("start") + rank).select(*edges.columns, "live")
+
     def delete(self, rids: DataFrame) -> LiveIndex:
         """rids(rid): rows to take out; repeated and unknown ones do no harm."""
         more = rids.select(F.col("rid").cast("bigint")).distinct()

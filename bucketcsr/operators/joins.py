@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from ..plans.params import BuildSpec
 from .build import CsrIndex, build_binned
-from .probe import PLACE, build_pair
+from .probe import PLACE, build_pair, meet, tiles
 
 HOW = ("inner", "left", "right", "full", "left_semi", "left_anti")
 
@@ -18,15 +18,9 @@ def bucket_join(a: DataFrame, b: DataFrame, key_a: str | Sequence[str], key_b: s
     if how not in HOW:
         raise ValueError(f"join {how!r} is none of {HOW}")
     ia, ib = build_pair(a, b, key_a, key_b, rid_a, rid_b, spec)
-    left = ia.edges.select(*PLACE, "key", F.col("rid").alias("l_rid"))
-    right = ib.edges.select(*PLACE, "key", F.col("rid").alias("r_rid"))
-    joined = left.join(right, [*PLACE, "key"], how)
+    out = meet(ia, ib, how)
     if how in ("left_semi", "left_anti"):
-        out = joined.select("key", "l_rid")
-        if how == "left_anti":
-            out = out.unionAll(_null_keys(a, key_a, rid_a, out))
-        return out
-    out = joined.select("key", "l_rid", "r_rid")
+        return out.unionAll(_null_keys(a, key_a, rid_a, out)) if how == "left_anti" else out
     if how in ("left", "full"):
         out = out.unionByName(_null_keys(a, key_a, rid_a, out.select("key", "l_rid")).withColumn("r_rid", F.lit(None).cast("bigint")))
     if how in ("right", "full"):
@@ -35,6 +29,15 @@ def bucket_join(a: DataFrame, b: DataFrame, key_a: str | Sequence[str], key_b: s
     return out
 
 
+def null_safe_join(a: DataFrame, b: DataFrame, key_a: str, key_b: str, rid_a: str, rid_b: str, spec: BuildSpec = BuildSpec()) -> DataFrame:
+    """(key, l_rid, r_rid) where null meets null as well. Rows without a key form one list on each side: their numbers are told first, and each side's list is
+    cut into chunks that meet in tasks of their own."""
+    met = bucket_join(a, b, key_a, key_b, rid_a, rid_b, "inner", spec)
+    nulls = lambda df, key, rid, name: df.where(F.col(key).isNull()).select(F.lit(0).cast("bigint").alias("bucket"), F.lit(0).alias("key"), F.col(rid).cast("bigint").alias(name))
+    pairs = tiles(nulls(a, key_a, rid_a, "l_rid"), nulls(b, key_b, rid_b, "r_rid"), spec.hot_limit())
+    return met.unionByName(pairs.select(F.lit(None).cast(met.schema["key"].dataType).alias("key"), "l_rid", "r_rid"))
+
+
 def _null_keys(df: DataFrame, key: str | Sequence[str], rid: str, like: DataFrame) -> DataFrame:
     keys = [key] if isinstance(key, str) else list(key)
     rows = df.where(" OR ".join(f"`{k}` IS NULL" for k in keys))

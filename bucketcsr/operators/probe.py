@@ -7,7 +7,7 @@ from collections.abc import Sequence
 from pyspark.sql import DataFrame, functions as F
 
 from ..plans.params import BuildSpec, Layout, resolve
-from .build import CsrIndex, bins_table, bucketed, count_bins, finish_bins, key_parts, reorganise, rows_of
+from .build import CsrIndex, bucketed, count_bins, hot_buckets, key_parts, place, rows_of, split_hot
 from ..functions.hashing import bucket_of
 
 #: An index of at most so many bytes is sent to every executor.
@@ -26,6 +26,17 @@ def _shape(pairs: DataFrame, mode: str) -> DataFrame:
     raise ValueError(f"mode {mode!r} is none of {MODES}")
 
 
+#: Bytes of a value by type, as estimates go; the longest string of an index is not known, so strings count for many.
+WIDTHS = {"string": 512, "binary": 512, "array": 512, "struct": 64, "decimal": 16}
+
+
+def edge_bytes(index: CsrIndex) -> int:
+    """Estimated bytes of an edge as it is sent: bucket, key and rid, with the spec's row_bytes at least."""
+    kind = index.edges.schema["key"].dataType
+    fields = [f.dataType for f in kind.fields] if kind.typeName() == "struct" else [kind]
+    return max(index.spec.row_bytes, 24 + sum(WIDTHS.get(k.typeName(), 8) for k in fields))
+
+
 def lookup_probe(index: CsrIndex, probe: DataFrame, key: str | Sequence[str], rid: str | None, mode: str = "all", kernel: str = "merge", broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """Each probe row meets the rows of its one bucket.
 
@@ -34,7 +45,7 @@ def lookup_probe(index: CsrIndex, probe: DataFrame, key: str | Sequence[str], ri
     """
     rows = rows_of(probe, key, rid)
     rows = rows.withColumn("bucket", bucket_of(key_parts(rows), index.layout.v, index.spec.hash))
-    small = index.layout.n * index.spec.row_bytes <= broadcast_bytes
+    small = index.layout.n * edge_bytes(index) <= broadcast_bytes
     built = index.edges.select(F.col("bucket").alias("_b"), F.col("key").alias("_k"), *([F.col("rid").alias("r_rid")] if "rid" in index.edges.columns else []))
     side = F.broadcast(built) if small else built
     if mode == "count":
@@ -58,38 +69,108 @@ def build_pair(a: DataFrame, b: DataFrame, key_a: str | Sequence[str], key_b: st
     rows_a, rows_b = rows_of(a, key_a, rid_a, payload_a), rows_of(b, key_b, rid_b, payload_b)
     n, m = rows_a.count(), rows_b.count()
     base = resolve(max(n, m), spec, other_rows=min(n, m))
-    built = []
     sides = [bucketed(rows, base, spec) for rows in (rows_a, rows_b)]
     counts = [count_bins(rows) for rows in sides]
+    hot: dict[int, int] = {}
+    for rows, own in zip(sides, counts, strict=True):
+        hot |= hot_buckets(rows, own, spec.hot_limit())
     both = {k: counts[0].get(k, 0) + counts[1].get(k, 0) for k in counts[0].keys() | counts[1].keys()}
-    for rows, own, size in zip(sides, counts, (n, m), strict=True):
-        bins = bins_table(a.sparkSession, own, base, both)
-        edges, offsets = finish_bins(reorganise(rows, bins, base.parts))
-        built.append(CsrIndex(edges, offsets, bins, Layout(size, base.v, base.bins, base.width, base.parts), spec))
-    return built[0], built[1]
+    one, two = (place(rows, own, base, spec, hot, both, size) for rows, own, size in zip(sides, counts, (n, m), strict=True))
+    return one, two
+
 
+def align(index: CsrIndex, df: DataFrame, key: str | Sequence[str], rid: str | None = None, payload: Sequence[str] = ()) -> CsrIndex:
+    """An index of df in the layout of one that is there already, say a stored one, so that the two can meet; the other is not touched."""
+    rows = bucketed(rows_of(df, key, rid, payload), index.layout, index.spec)
+    counts = count_bins(rows)
+    parts = {r["bin"]: r["part"] for r in index.bins.select("bin", "part").collect()}  # one row per bin, a number checked when it was built
+    return place(rows, counts, index.layout, index.spec, hot_buckets(rows, counts, index.spec.hot_limit()), size=sum(counts.values()), parts=parts)
 
-def cobucket_probe(a: CsrIndex, b: CsrIndex, mode: str = "all", kernel: str = "merge") -> DataFrame:
-    """Meets two indexes of one layout, list against list; no further exchange of rows. l is a's side, r is b's."""
+
+def tiles(left: DataFrame, right: DataFrame, limit: int) -> DataFrame:
+    """Pairs (key, l_rid, r_rid) of hot rows (bucket, key, rid): each side's list of a bucket is cut into chunks of about `limit` rows by a hash,
+    and every chunk of one side meets every chunk of the other in a task of its own."""
+    count = lambda df, name: df.groupBy("bucket").agg(F.ceil(F.count("*") / F.lit(limit)).cast("int").alias(name))
+    cuts = F.broadcast(count(left, "cl").join(count(right, "cr"), "bucket"))  # one row per hot bucket, a checked number
+    spot = lambda c, n: F.pmod(F.xxhash64(c), F.col(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    a = left.join(cuts, "bucket").select("bucket", "key", "l_rid", spot("l_rid", "cl").alias("i"), every("cr").alias("j"))
+    b = right.join(cuts, "bucket").select("bucket", "key", "r_rid", spot("r_rid", "cr").alias("j"), every("cl").alias("i"))
+    return a.join(b, ["bucket", "key", "i", "j"]).select("key", "l_rid", "r_rid")
+
+
+def meet(a: CsrIndex, b: CsrIndex, how: str = "inner", hint: str | None = None) -> DataFrame:
+    """(key, l_rid, r_rid) of two indexes of one layout, or (key, l_rid) for semi and anti joins; hot buckets meet chunk by chunk."""
+    left = a.edges.select(*PLACE, "key", F.col("rid").alias("l_rid"))
+    right = b.edges.select(*PLACE, "key", F.col("rid").alias("r_rid"))
+    hot = sorted({k for k, _ in (*a.hot, *b.hot)})
+    on = [*PLACE, "key"]
+    (left, hot_left), (right, hot_right) = split_hot(left, hot), split_hot(right, hot)
+    cols = ["key", "l_rid"] if how in ("left_semi", "left_anti") else ["key", "l_rid", "r_rid"]
+    out = left.join(right.hint(hint) if hint else right, on, how).select(*cols)
+    if not hot:
+        return out
+    near = ["bucket", "key"]
+    only = lambda x, y: x.join(y.select(*near).distinct(), near, "left_anti")
+    if how == "left_semi":
+        return out.unionByName(hot_left.join(hot_right.select(*near).distinct(), near, "left_semi").select(*cols))
+    if how == "left_anti":
+        return out.unionByName(only(hot_left, hot_right).select(*cols))
+    out = out.unionByName(tiles(hot_left, hot_right, a.spec.hot_limit()))
+    if how in ("left", "full"):
+        out = out.unionByName(only(hot_left, hot_right).select("key", "l_rid", F.lit(None).cast("bigint").alias("r_rid")))
+    if how in ("right", "full"):
+        out = out.unionByName(only(hot_right, hot_left).select("key", F.lit(None).cast("bigint").alias("l_rid"), "r_rid"))
+    return out
+
+
+def key_lists(index: CsrIndex) -> DataFrame:
+    """(bucket, key, n): how often each key stands in its list; stored indexes keep it ready."""
+    return index.edges.groupBy("bucket", "key").agg(F.count("*").alias("n"))
+
+
+def _sum_products(n: DataFrame, m: DataFrame) -> DataFrame:
+    met = n.join(m.withColumnRenamed("n", "m"), ["bucket", "key"])
+    return met.agg(F.coalesce(F.sum(F.col("n") * F.col("m")), F.lit(0)).cast("bigint").alias("n_pairs"))
+
+
+def cobucket_count(a: DataFrame, b: DataFrame, key_a: str | Sequence[str], key_b: str | Sequence[str], spec: BuildSpec = BuildSpec()) -> DataFrame:
+    """One row n_pairs. No row is placed: each side's lists are counted by (bucket, key) before the exchange, and only the counts meet.
+
+    A key that fills a table arrives as one number from each task. The bucket range comes from row counts of the sources, as Parquet footers tell them.
+    """
+    v = spec.buckets or resolve(max(a.count(), b.count(), 1), spec).v
+    sides = [rows_of(df, key, None) for df, key in ((a, key_a), (b, key_b))]
+    lists = [r.groupBy(bucket_of(key_parts(r), v, spec.hash).alias("bucket"), "key").agg(F.count("*").alias("n")) for r in sides]
+    return _sum_products(*lists)
+
+
+def cobucket_probe(a: CsrIndex, b: CsrIndex, mode: str = "all", kernel: str = "merge", max_list: int = 1_000_000) -> DataFrame:
+    """Meets two indexes of one layout, list against list; no further exchange of rows but those of hot buckets. l is a's side, r is b's.
+
+    kernel set gathers the distinct keys of a list in an array: a list of over max_list rows raises.
+    """
     if (a.layout.v, a.layout.width, a.layout.parts, a.spec.hash) != (b.layout.v, b.layout.width, b.layout.parts, b.spec.hash):
         raise ValueError("the two indexes differ in layout; build them as a pair")
+    near = PLACE if a.hot == b.hot else ["bucket"]
     if kernel == "set":
-        keys = lambda ix, name: ix.edges.groupBy(*PLACE).agg(F.collect_set("key").alias(name))
-        return keys(a, "ka").join(keys(b, "kb"), PLACE).select(F.explode(F.array_intersect("ka", "kb")).alias("key"))
+        def keys(ix: CsrIndex, name: str) -> DataFrame:
+            gathered = ix.edges.select(*PLACE, "key").distinct().groupBy(*near).agg(F.collect_list("key").alias(name))
+            fits = F.assert_true(F.size(name) <= max_list, F.lit("a list holds over max_list keys; take another kernel"))
+            return gathered.where(fits.isNull())
+
+        return keys(a, "ka").join(keys(b, "kb"), near).select(F.explode(F.array_intersect("ka", "kb")).alias("key"))
     if mode == "count" or kernel == "count":
-        n = a.edges.groupBy(*PLACE, "key").agg(F.count("*").alias("n"))
-        m = b.edges.groupBy(*PLACE, "key").agg(F.count("*").alias("m"))
-        return n.join(m, [*PLACE, "key"]).agg(F.coalesce(F.sum(F.col("n") * F.col("m")), F.lit(0)).cast("bigint").alias("n_pairs"))
-    left = a.edges.select(*PLACE, "key", F.col("rid").alias("l_rid"))
-    right = b.edges.select(*PLACE, F.col("key").alias("_k"), F.col("rid").alias("r_rid"))
+        return _sum_products(*(ix.lists if ix.lists is not None else key_lists(ix) for ix in (a, b)))
     if mode in ("exists", "none"):
-        on = [left[c] == right[c] for c in PLACE] + [left["key"] == right["_k"]]
-        return left.join(right, on, "left_semi" if mode == "exists" else "left_anti").select("key", "l_rid")
+        return meet(a, b, "left_semi" if mode == "exists" else "left_anti")
     if kernel == "scan":
-        met = left.join(right, PLACE).where(F.col("key") == F.col("_k"))
+        left = a.edges.select(*near, "key", F.col("rid").alias("l_rid"))
+        right = b.edges.select(*near, F.col("key").alias("_k"), F.col("rid").alias("r_rid"))
+        met = left.join(right, near).where(F.col("key") == F.col("_k")).select("key", "l_rid", "r_rid")
     else:
-        met = left.join(right.withColumnRenamed("_k", "key").hint("merge"), [*PLACE, "key"])
-    return _shape(met.select("key", "l_rid", "r_rid"), mode)
+        met = meet(a, b, hint="merge")
+    return _shape(met, mode)
 
 
 def cobucket_many(base: CsrIndex, others: Sequence[CsrIndex]) -> list[DataFrame]:
@@ -106,6 +187,14 @@ def comparisons(a: CsrIndex, b: CsrIndex) -> DataFrame:
     return both.agg(total(F.col("la") * F.col("lb")).alias("comparisons"), total("lb").alias("lookup_fetches"), F.count("*").alias("cobucket_fetches"), total(F.col("la") + F.col("lb")).alias("cobucket_elements"))
 
 
+def auto_probe(index: CsrIndex, probe: DataFrame, key: str | Sequence[str], rid: str, mode: str = "all", index_stored: bool = False, appearances: float = 1.0, broadcast_bytes: int = BROADCAST_BYTES) -> tuple[str, DataFrame]:
+    """Probes an index the way choose_probe picks; (its name, the result)."""
+    kind, _ = choose_probe(index.layout.n * edge_bytes(index), index_stored, False, appearances, mode, broadcast_bytes)
+    if kind == "lookup":
+        return kind, lookup_probe(index, probe, key, rid, mode, broadcast_bytes=broadcast_bytes)
+    return kind, cobucket_probe(align(index, probe, key, rid), index, mode)
+
+
 def choose_probe(index_bytes: int, index_stored: bool, probe_stored: bool, appearances: float, mode: str = "all", broadcast_bytes: int = BROADCAST_BYTES) -> tuple[str, str]:
     """(probe, reason)."""
     if index_bytes <= broadcast_bytes:

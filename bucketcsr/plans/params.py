@@ -29,6 +29,10 @@ class BuildSpec:
     target_part_bytes: int = 512 << 20
     hot_bucket_rows: int | None = None
 
+    def hot_limit(self) -> int:
+        """Rows of a bucket above which it is kept in pieces (default: what fits in a part)."""
+        return self.hot_bucket_rows or max(1, self.target_part_bytes // self.row_bytes)
+
 
 @dataclass(frozen=True)
 class Layout:

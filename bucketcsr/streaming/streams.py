@@ -7,17 +7,16 @@ a window comes out once the watermark has passed its end; later rows of it are d
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
-from uuid import uuid4
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..functions.hashing import bucket_of
+from ..sources.storage import forget, shared_folder
 
 
 def _folder(spark: SparkSession) -> str:
-    base = (spark.conf.get("spark.checkpoint.dir", None) or "file:///tmp/bucketcsr-streams").rstrip("/")
-    return f"{base}/stream-{uuid4().hex}"
+    return shared_folder(spark, "stream")
 
 
 def source(spark: SparkSession, path: str, at: str | None = "ts", files_per_batch: int = 1000) -> DataFrame:
@@ -33,6 +32,7 @@ def drain(stream: DataFrame) -> DataFrame:
     folder = _folder(spark)
     query = stream.writeStream.format("parquet").outputMode("append").option("path", f"{folder}/rows").option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
+    forget(spark, f"{folder}/state")
     return spark.read.schema(stream.schema).parquet(f"{folder}/rows")
 
 
@@ -55,16 +55,17 @@ def sessions(spark: SparkSession, path: str, key: str, gap: str = "30 minutes",
     return _ntz(drain(made.select(key, F.col("session_window.start").alias("begin"), F.col("session_window.end").alias("end"), "n")), "begin", "end")
 
 
-def first_seen(spark: SparkSession, path: str, keys: list[str]) -> DataFrame:
-    """Distinct key tuples as they first appear."""
-    return drain(source(spark, path, None).select(*keys).dropDuplicates(keys))
+def first_seen(spark: SparkSession, path: str, keys: list[str], late: str = "1 hour") -> DataFrame:
+    """Distinct key tuples of each day as they first appear, then over all days; state is dropped once the watermark has passed a day."""
+    rows = source(spark, path).withWatermark("ts", late).select(*keys, F.window("ts", "1 day").alias("day"))
+    return drain(rows.dropDuplicates([*keys, "day"]).select(*keys)).distinct()
 
 
 def static_probe(spark: SparkSession, path: str, key: str, index_edges: DataFrame, v: int) -> DataFrame:
-    """(rid, r_rid): stream rows against a static index, bucket and key."""
+    """(rid, r_rid): stream rows against a static index, by bucket and key."""
     rows = source(spark, path, None).withColumn("bucket", bucket_of([F.col(key).cast("bigint")], v))
     built = index_edges.select("bucket", F.col("key").alias("_k"), F.col("rid").alias("r_rid"))
-    return drain(rows.join(built, "bucket").where(F.col(key) == F.col("_k")).select(F.col("event_id").alias("rid"), "r_rid"))
+    return drain(rows.join(built, (rows["bucket"] == built["bucket"]) & (F.col(key) == F.col("_k"))).select(F.col("event_id").alias("rid"), "r_rid"))
 
 
 def batches_into(spark: SparkSession, path: str, each: Callable[[DataFrame, int], None]) -> None:
