@@ -9,8 +9,9 @@ The drawn blocks of all sources are then split among output shards: at each tree
 are divided between its two halves by one multivariate hypergeometric draw, until each leaf holds its own
 count of each source. Leaves draw disjoint runs of the permuted blocks; rows are shuffled inside a shard only.
 
-What the driver holds: sources x shards integers, at most `tree_cells`. Blocks per source are bounded, so
-no task orders a whole source. Draws depend on the seed and on row values alone: reruns agree.
+What the driver holds: sources x shards integers, for at most `most_sources` sources; more raise an error. Tables with a row per source
+or block are stored first and joined without a hint, so they are broadcast only where their known size is small. Blocks per source are
+bounded, so no task orders a whole source. Draws depend on the seed and on row values alone: reruns agree.
 
 Null text: size 0. Null source: a source of its own, last in order. Empty table: empty result. Equal rows get
 equal hashes, hence tie order is broken by row number inside the block; each counts by itself.
@@ -35,7 +36,7 @@ class MixPlan:
     shards: int = 64
     blocks: int = 4096  # per source, at most
     seed: int = 20
-    tree_cells: int = 8_000_000
+    most_sources: int = 200_000  # the driver holds shards numbers for each
 
 
 def targets(sizes: dict[str | None, int], plan: MixPlan) -> dict[str | None, float]:
@@ -94,7 +95,9 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     # salt 1 deals rows to blocks, salt 2 orders blocks, salt 3 orders rows of a block
     sized = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{source}`").cast("string").alias(src), word_count(F.col(f"`{text}`")).alias("size"), F.xxhash64(F.lit(plan.seed), F.col(f"`{doc_id}`").cast("string"), F.xxhash64(F.col(f"`{text}`").cast("string"))).alias(key))
     sized = store(sized.withColumn(tag, F.monotonically_increasing_id()))
-    totals = [tuple(r) for r in sized.groupBy(src).agg(F.count("*"), F.sum("size")).collect()]  # one row per source
+    totals = [tuple(r) for r in sized.groupBy(src).agg(F.count("*"), F.sum("size")).limit(plan.most_sources + 1).collect()]  # one row per source
+    if len(totals) > plan.most_sources:
+        raise ValueError(f"over {plan.most_sources} sources; group them before mixing")
     if not totals:
         empty = sized.select(*[sized[c] for c in keep], "size", F.lit(0).cast("long").alias("source_size"), F.lit(0.0).alias("target"), F.lit(0).cast("long").alias("passes"), F.lit(0).cast("long").alias("taken"), F.array(F.lit(0)).alias("shards"))
         return empty
@@ -102,7 +105,7 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     goal = targets({s: int(n) for s, _, n in order}, plan)
     table = [(i, s, int(n), int(size), goal[s], max(1, min(plan.blocks, int(n)))) for i, (s, n, size) in enumerate(order)]
     sources = spark.createDataFrame(table, "_s int, _name string, _n long, source_size long, target double, _blocks int")
-    named = sized.join(F.broadcast(sources), sized[src].eqNullSafe(sources["_name"])).withColumn("_block", F.pmod(F.xxhash64(F.lit(1), key), F.col("_blocks")).cast("int"))
+    named = sized.join(sources, sized[src].eqNullSafe(sources["_name"])).withColumn("_block", F.pmod(F.xxhash64(F.lit(1), key), F.col("_blocks")).cast("int"))
     # one row per block: at most `blocks` per source
     by_block = named.groupBy("_s", "_block").agg(F.sum("size").alias("_size"), F.first("target").alias("target"), F.first("source_size").alias("source_size"))
     at = Window.partitionBy("_s").orderBy(F.xxhash64(F.lit(2), F.lit(plan.seed), "_s", "_block"), "_block")
@@ -114,25 +117,23 @@ def mix(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str
     per_source = blocks.groupBy("_s").agg(F.max("_whole"), F.count(F.when(F.col("_quota") > 0, 1)), F.count("*")).collect()
     drawn = {s: (int(w), int(more), int(n)) for s, w, more, n in per_source}
     counts = np.array([drawn[i][0] * drawn[i][2] + drawn[i][1] for i in range(len(table))], np.int64)
-    shards = max(1, min(plan.shards, int(counts.sum()) or 1, plan.tree_cells // len(table)))
+    shards = max(1, min(plan.shards, int(counts.sum()) or 1))
     ends = np.cumsum(split_tree(counts, shards, plan.seed), axis=0)  # by shard: where its run of a source's drawn blocks ends
     runs = spark.createDataFrame([(i, [int(x) for x in ends[:, i]], drawn[i][1], drawn[i][2]) for i in range(len(table))], "_r int, _ends array<long>, _more long, _nb long")
-    edge = F.broadcast(blocks.where("_quota > 0 and _quota < _size").select(F.col("_s").alias("_es"), F.col("_block").alias("_eb"), "_quota"))  # one row per source
+    edge = store(blocks.where("_quota > 0 and _quota < _size").select(F.col("_s").alias("_es"), F.col("_block").alias("_eb"), "_quota"))  # one row per source
     cut = Window.partitionBy("_s").orderBy(F.xxhash64(F.lit(3), key), tag)
     cut_rows = named.join(edge, (named["_s"] == edge["_es"]) & (named["_block"] == edge["_eb"])).withColumn("_upto", F.sum("size").over(cut))
     cut_rows = store(cut_rows.where(F.col("_upto") <= F.col("_quota")).select(F.col(tag).alias("_cut_tag")))
     places = blocks.select(F.col("_s").alias("_bs"), F.col("_block").alias("_bb"), "_place", "_whole", (F.col("_quota") >= F.col("_size")).alias("_full"), F.col("_quota").alias("_q"))
-    if len(table) * plan.blocks <= 400_000:
-        places = F.broadcast(places)
     rows = named.join(places, (named["_s"] == places["_bs"]) & (named["_block"] == places["_bb"])).join(cut_rows, named[tag] == cut_rows["_cut_tag"], "left")
     rows = rows.withColumn("_fits", ((F.col("_q") > 0) & F.col("_full")) | F.col("_cut_tag").isNotNull())
     # what is still missing of each quota is left to the one undrawn row whose size is nearest to it
     gap = F.first("target") - F.first(F.col("_whole") * F.col("source_size")) - F.sum(F.when(F.col("_fits"), F.col("size")).otherwise(0))
     gaps = store(rows.groupBy("_s").agg(gap.alias("_gap")).select(F.col("_s").alias("_gs"), "_gap"))
     missed = F.abs(F.col("_gap") - F.col("size"))
-    spare = rows.where(~F.col("_fits")).join(F.broadcast(gaps), F.col("_s") == F.col("_gs")).where(missed < F.col("_gap"))
+    spare = rows.where(~F.col("_fits")).join(gaps, F.col("_s") == F.col("_gs")).where(missed < F.col("_gap"))
     fill = store(spare.groupBy("_s").agg(F.min_by(tag, F.struct(missed, F.xxhash64(F.lit(3), key), tag)).alias("_fill_tag")).select(F.col("_s").alias("_fs"), "_fill_tag"))
-    rows = rows.join(F.broadcast(fill), (F.col("_s") == F.col("_fs")) & (F.col(tag) == F.col("_fill_tag")), "left").join(F.broadcast(runs), named["_s"] == runs["_r"])
+    rows = rows.join(fill, (F.col("_s") == F.col("_fs")) & (F.col(tag) == F.col("_fill_tag")), "left").join(runs, named["_s"] == runs["_r"])
     # a source's drawn blocks are numbered: the partial pass first (the row that fills it up counts to its last block), then whole passes
     partial = F.when(F.col("_fits"), F.array(F.col("_place").cast("long"))).when(F.col("_fill_tag").isNotNull(), F.array(F.greatest(F.col("_more") - 1, F.lit(0)))).otherwise(F.array().cast("array<long>"))
     passes = F.when(F.col("_whole") > 0, F.sequence(F.lit(0).cast("long"), F.col("_whole").cast("long") - 1)).otherwise(F.array().cast("array<long>"))
