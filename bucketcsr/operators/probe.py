@@ -129,8 +129,13 @@ def key_lists(index: CsrIndex) -> DataFrame:
     return index.edges.groupBy("bucket", "key").agg(F.count("*").alias("n"))
 
 
-def _sum_products(n: DataFrame, m: DataFrame) -> DataFrame:
-    met = n.join(m.withColumnRenamed("n", "m"), ["bucket", "key"])
+#: Rows of a side below which the tables of its lists surely fit their tasks, so that neither side is sorted.
+HASHED_ROWS = 50_000_000
+
+
+def _sum_products(n: DataFrame, m: DataFrame, hashed: bool = False) -> DataFrame:
+    right = m.withColumnRenamed("n", "m")
+    met = n.join(right.hint("shuffle_hash") if hashed else right, ["bucket", "key"])
     return met.agg(F.coalesce(F.sum(F.col("n") * F.col("m")), F.lit(0)).cast("bigint").alias("n_pairs"))
 
 
@@ -139,10 +144,13 @@ def cobucket_count(a: DataFrame, b: DataFrame, key_a: str | Sequence[str], key_b
 
     A key that fills a table arrives as one number from each task. The bucket range comes from row counts of the sources, as Parquet footers tell them.
     """
-    v = spec.buckets or resolve(max(a.count(), b.count(), 1), spec).v
+    sizes = [a.count(), b.count()] if spec.buckets is None else [0, HASHED_ROWS]
+    v = spec.buckets or resolve(max(*sizes, 1), spec).v
+    if sizes[0] < sizes[1]:
+        a, b, key_a, key_b = b, a, key_b, key_a
     sides = [rows_of(df, key, None) for df, key in ((a, key_a), (b, key_b))]
     lists = [r.groupBy(bucket_of(key_parts(r), v, spec.hash).alias("bucket"), "key").agg(F.count("*").alias("n")) for r in sides]
-    return _sum_products(*lists)
+    return _sum_products(*lists, hashed=min(sizes) < HASHED_ROWS and spec.buckets is None)
 
 
 def cobucket_probe(a: CsrIndex, b: CsrIndex, mode: str = "all", kernel: str = "merge", max_list: int = 1_000_000) -> DataFrame:
