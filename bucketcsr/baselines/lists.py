@@ -8,6 +8,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.hashing import HashSpec, bucket_of
+from ..operators.build import CsrIndex, key_parts, rows_of
+from ..operators.probe import PLACE
+from ..sources.storage import forget, shared_folder
 
 
 def _lengths(keys: DataFrame, v: int, spec: HashSpec) -> DataFrame:
@@ -24,6 +27,34 @@ def chain_cost(keys: DataFrame, v: int, spec: HashSpec = HashSpec()) -> DataFram
     return _lengths(keys, v, spec).agg(_long(a * (a - 1) / 2).alias("insert_steps"), _long(a * a).alias("find_all_steps"), (2 * _long(a) + F.lit(v)).cast("bigint").alias("words"))
 
 
+def chain_table(index: CsrIndex) -> DataFrame:
+    """(bucket, node, next_node, key, rid): each list as linked nodes in the index's order; the last node has no next."""
+    ends = index.offsets.select(*PLACE, (F.col("start") + F.col("len") - 1).alias("last"))
+    near = PLACE if not index.hot else ["bucket"]
+    nodes = index.edges.join(ends.select(*near, "last"), near)
+    return nodes.select("bucket", F.col("pos").alias("node"), F.when(F.col("pos") < F.col("last"), F.col("pos") + 1).alias("next_node"), "key", "rid")
+
+
+def chain_probe_cost(index: CsrIndex, probe: DataFrame, key: str) -> DataFrame:
+    """One row: probes that hit and miss, and nodes read until the first hit or the end of the list. Null keys are no probes.
+
+    Probes are counted by key before they move, so a frequent key is one row.
+    """
+    rows = rows_of(probe, key, None)
+    asked = rows.groupBy(bucket_of(key_parts(rows), index.layout.v, index.spec.hash).alias("bucket"), "key").agg(F.count("*").alias("n"))
+    firsts = index.edges.groupBy("bucket", "key").agg(F.min("pos").alias("at"))
+    lists = index.offsets.select("bucket", "start", "len")
+    met = asked.join(firsts, ["bucket", "key"], "left").join(lists, "bucket", "left")
+    hit = F.col("at").isNotNull()
+    n = F.col("n")
+    return met.agg(
+        _long(F.when(hit, n)).alias("hits"),
+        _long(F.when(~hit, n)).alias("misses"),
+        _long(F.when(hit, n * (F.col("at") - F.col("start") + 1))).alias("hit_nodes"),
+        _long(F.when(~hit, n * F.coalesce("len", F.lit(0)))).alias("miss_nodes"),
+    )
+
+
 def slab_cost(keys: DataFrame, v: int, slab: int = 30, spec: HashSpec = HashSpec()) -> DataFrame:
     """One row: slabs, links between slabs, slabs touched when each key reads its whole list."""
     slabs = F.ceil(F.col("a") / F.lit(slab))
@@ -120,3 +151,32 @@ def two_choice_cost(keys: DataFrame, slots: int, bins: int = 8, spec: HashSpec =
 
     columns = ["bin", "n", "longest_two", "longest_one"]
     return _per_bin(keys, slots, bins, spec).mapInArrow(_by_bin(kernel, columns), _schema(columns))
+
+
+def two_choice_rounds(keys: DataFrame, slots: int, rounds: int = 4, spec: HashSpec = HashSpec(), second: HashSpec = HashSpec(seed=7)) -> DataFrame:
+    """(round, tab, bucket, key, n) of one whole table pair of slots / 2 lists each: rows come in rounds by rid, and a key's rows of a
+    round go to the list that was shorter when the round began, ties to table 0.
+
+    A round moves one row per key. Null keys are left out; fewer rows than rounds leave rounds empty.
+    """
+    half = max(1, slots // 2)
+    rows = keys.where("key is not null").select("key", F.pmod("rid", F.lit(rounds)).cast("int").alias("round"))
+    counted = rows.groupBy("round", "key").agg(F.count("*").alias("n"))
+    counted = counted.select("round", "key", "n", bucket_of([F.col("key")], half, spec).alias("h0"), bucket_of([F.col("key")], half, second).alias("h1"))
+    spark = keys.sparkSession
+    folder = shared_folder(spark, "two_choice")
+    counted.write.partitionBy("round").parquet(f"{folder}/keys")
+    counted = spark.read.schema(counted.schema).parquet(f"{folder}/keys")
+    lists = spark.createDataFrame([], "tab int, bucket bigint, size bigint")
+    for i in range(rounds):
+        side = lambda t: lists.where(F.col("tab") == t).select(F.col("bucket").alias(f"h{t}"), F.col("size").alias(f"s{t}"))  # noqa: B023, E731
+        met = counted.where(F.col("round") == i).join(side(0), "h0", "left").join(side(1), "h1", "left")
+        first = F.coalesce("s0", F.lit(0)) <= F.coalesce("s1", F.lit(0))
+        placed = met.select("round", F.when(first, 0).otherwise(1).alias("tab"), F.when(first, F.col("h0")).otherwise(F.col("h1")).alias("bucket"), "key", "n")
+        placed.write.parquet(f"{folder}/placed/{i}")
+        fresh = spark.read.parquet(f"{folder}/placed/{i}").select("tab", "bucket", F.col("n").alias("size"))
+        lists.unionByName(fresh).groupBy("tab", "bucket").agg(F.sum("size").alias("size")).write.parquet(f"{folder}/lists/{i}")
+        lists = spark.read.parquet(f"{folder}/lists/{i}")
+    forget(spark, f"{folder}/keys")
+    forget(spark, f"{folder}/lists")
+    return spark.read.parquet(*[f"{folder}/placed/{i}" for i in range(rounds)])

@@ -12,8 +12,11 @@ def _hash(seed: int, shingle: Column) -> Column:
 
 def signatures(docs: DataFrame, doc_id: str, text: str, k: int = 8, shingle: int = 2, bits: int | None = None) -> DataFrame:
     """(doc_id, component, value): the smallest hash of the text's distinct word shingles under each of k seeds."""
-    words = F.split(F.col(text), " ")
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.size(words) - shingle + 1, F.lit(1))), lambda i: F.array_join(F.slice(words, i, shingle), " "))
+    # the words are bound once: a lambda would split the text again for every shingle
+    grams = F.transform(
+        F.array(F.split(F.col(text), " ")),
+        lambda w: F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - shingle + 1, F.lit(1))), lambda i: F.array_join(F.slice(w, i, shingle), " ")),
+    )[0]
     rows = docs.where(F.col(text).isNotNull()).select(F.col(doc_id).alias("doc_id"), F.explode(F.array_distinct(grams)).alias("g"))
     least = rows.groupBy("doc_id").agg(*[F.min(_hash(i, F.col("g"))).alias(f"h{i}") for i in range(k)])
     value = (lambda c: F.pmod(c, F.lit(1 << bits))) if bits else (lambda c: c)

@@ -387,6 +387,46 @@ def two_choice_balance(spark, d):
     return lists.two_choice_cost(keys, keys.count())
 
 
+def _two_choice_sql(rounds: int) -> str:
+    """Round by round: a key's rows of a round go to the list that was shorter before it."""
+    half = "(SELECT greatest(1, count(*) // 2) FROM orders)"
+    parts = [f"k AS (SELECT o_orderkey % {rounds} AS round, o_custkey AS key, count(*) AS n, {bucket_sql('o_custkey', half)} AS h0, {bucket_sql('o_custkey', half, 7)} AS h1 FROM orders GROUP BY ALL)"]
+    before = "SELECT 0 AS tab, 0::BIGINT AS bucket, 0::BIGINT AS n WHERE false"
+    for i in range(rounds):
+        parts.append(f"c{i} AS (SELECT tab, bucket, sum(n) AS size FROM ({before}) GROUP BY ALL)")
+        first = "coalesce(a.size, 0) <= coalesce(b.size, 0)"
+        parts.append(
+            f"p{i} AS (SELECT k.round, CASE WHEN {first} THEN 0 ELSE 1 END AS tab, CASE WHEN {first} THEN h0 ELSE h1 END AS bucket, key, n FROM k"
+            f" LEFT JOIN c{i} a ON a.tab = 0 AND a.bucket = h0 LEFT JOIN c{i} b ON b.tab = 1 AND b.bucket = h1 WHERE k.round = {i})"
+        )
+        before += f" UNION ALL SELECT tab, bucket, n FROM p{i}"
+    return f"WITH {', '.join(parts)} " + " UNION ALL ".join(f"SELECT round::INT AS round, tab, bucket, key, n FROM p{i}" for i in range(rounds))
+
+
+@query(_two_choice_sql(4))
+def two_choice_rounds(spark, d):
+    keys = _cust_keys(spark, d)
+    return lists.two_choice_rounds(keys, keys.count(), 4)
+
+
+@query(f"""SELECT bucket, node, CASE WHEN node + 1 < first + len THEN node + 1 END AS next_node, key, rid FROM (
+    SELECT bucket, key, rid, row_number() OVER (ORDER BY bucket, key, rid) - 1 AS node, count(*) OVER (PARTITION BY bucket) AS len,
+    rank() OVER (ORDER BY bucket) - 1 AS first FROM {rows_sql('orders', 'o_custkey', 'o_orderkey')})""")
+def chain_nodes(spark, d):
+    return lists.chain_table(build.build_binned(table(spark, d, "orders"), "o_custkey", "o_orderkey", PARTS4))
+
+
+@query(f"""WITH l AS (SELECT bucket, key, row_number() OVER (PARTITION BY bucket ORDER BY key) AS spot, count(*) OVER (PARTITION BY bucket) AS len FROM {rows_sql('lineitem', 'l_orderkey')}),
+    f AS (SELECT bucket, key, min(spot) AS spot FROM l GROUP BY ALL), b AS (SELECT bucket, min(len) AS len FROM l GROUP BY ALL),
+    p AS (SELECT o_orderkey AS key, {bucket_sql('o_orderkey', v_sql('lineitem', 'l_orderkey', 1.0))} AS bucket FROM orders)
+    SELECT count(f.spot) AS hits, count(*) - count(f.spot) AS misses, coalesce(sum(f.spot), 0)::BIGINT AS hit_nodes, coalesce(sum(CASE WHEN f.spot IS NULL THEN coalesce(b.len, 0) END), 0)::BIGINT AS miss_nodes
+    FROM p LEFT JOIN f USING (bucket, key) LEFT JOIN b USING (bucket)""")
+def chain_find_first_cost(spark, d):
+    """Orders sought in chains of line items: the first hit, or the whole list where there is none."""
+    ix = build.build_binned(table(spark, d, "lineitem"), "l_orderkey", None, PARTS4)
+    return lists.chain_probe_cost(ix, table(spark, d, "orders"), "o_orderkey")
+
+
 def _order_keys(spark, d):
     return table(spark, d, "orders").select(F.col("o_orderkey").alias("key"), F.col("o_orderkey").alias("rid"))
 
@@ -486,6 +526,39 @@ def minhash_documents(spark, d):
     return minhash.signatures(table(spark, d, "documents"), "doc_id", "text", k=4)
 
 
+@query(" UNION ALL ".join(f"SELECT doc_id, {i} AS component, min(('0x' || substr(md5('{i}:' || g), 1, 15))::BIGINT) % 16 AS value FROM {_GRAMS} GROUP BY doc_id" for i in range(4)))
+def minhash_four_bits(spark, d):
+    return minhash.signatures(table(spark, d, "documents"), "doc_id", "text", k=4, bits=4)
+
+
+_SKETCHED = (("orders", "o_orderkey"), ("orders", "o_custkey"), ("lineitem", "l_partkey"), ("lineitem", "l_orderkey"))
+
+
+@query(" UNION ALL ".join(f"SELECT '{k}' AS name, count({k}) AS n, true AS within_six_percent FROM {t}" for t, k in _SKETCHED))
+def sketched_distinct(spark, d):
+    """Distinct keys by a sketch, three standard errors around the exact number."""
+    out = None
+    for t, k in _SKETCHED:
+        rows = table(spark, d, t)
+        exact = rows.agg(F.countDistinct(k).alias("exact"))
+        one = measures.sketched_distinct(rows, k).crossJoin(exact)  # two rows of totals
+        one = one.select(F.lit(k).alias("name"), "n", (F.abs(F.col("distinct_estimate") - F.col("exact")) <= 0.06 * F.col("exact")).alias("within_six_percent"))
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
+_HOT = (("lineitem", "l_returnflag", 0.1), ("lineitem", "l_quantity", 0.02), ("customer", "c_nationkey", 0.04))
+
+
+@query(" UNION ALL ".join(f"SELECT '{k}' AS name, {k}::VARCHAR AS key, count(*) AS n FROM {t} WHERE {k} IS NOT NULL GROUP BY {k} HAVING count(*) >= {s} * (SELECT count({k}) FROM {t})" for t, k, s in _HOT))
+def hot_keys(spark, d):
+    out = None
+    for t, k, share in _HOT:
+        one = measures.hot_keys(table(spark, d, t), k, share).select(F.lit(k).alias("name"), F.col("key").cast("string").alias("key"), "n")
+        out = one if out is None else out.unionAll(one)
+    return out
+
+
 # --- probes ------------------------------------------------------------------------------------------------------
 
 
@@ -898,6 +971,32 @@ def stream_dedup(spark, d):
     return streams.first_seen(spark, f"{d}/events.parquet", ["user_id", "event_type"])
 
 
+_HALF = "(SELECT quantile_disc(ts, 0.5) FROM events)"
+
+
+@query(f"SELECT event_id, ts < {_HALF} AND (date_trunc('day', ts) + INTERVAL 1 DAY) <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR AS late FROM events")
+def stream_late_rows(spark, d):
+    """The younger half of the events arrives first; rows of the older half are late once their day has closed."""
+    events = table(spark, d, "events")
+    half = events.select(F.expr("percentile_disc(0.5) WITHIN GROUP (ORDER BY unix_micros(cast(ts AS timestamp)))").alias("h")).first()["h"]
+    folder = storage.shared_folder(spark, "halves")
+    micros = F.unix_micros(F.col("ts").cast("timestamp"))
+    events.where(micros >= half).write.mode("append").parquet(f"{folder}/events")
+    files = spark.read.parquet(f"{folder}/events").select(F.col("_metadata.file_path")).distinct().count()
+    events.where(micros < half).write.mode("append").parquet(f"{folder}/events")
+    on_time, late = streams.split_late(spark, f"{folder}/events", files_per_batch=files)
+    return on_time.select("event_id", F.lit(False).alias("late")).unionAll(late.select("event_id", F.lit(True).alias("late")))
+
+
+@query("SELECT event_id, ts FROM events")
+def stream_dedup_within(spark, d):
+    """Events that are delivered twice come out once."""
+    folder = storage.shared_folder(spark, "twice")
+    for _ in range(2):
+        table(spark, d, "events").write.mode("append").parquet(f"{folder}/events")
+    return streams.first_within(spark, f"{folder}/events", ["event_id"])
+
+
 @query("SELECT event_id AS rid, c_custkey AS r_rid FROM events JOIN customer ON user_id = c_custkey")
 def stream_delta_probe(spark, d):
     ix = build.build_binned(table(spark, d, "customer"), "c_custkey", "c_custkey", PARTS4)
@@ -944,6 +1043,13 @@ def udtf_bucket_scan(spark, d):
     return spark.sql("SELECT bucket, n FROM bucket_scan(TABLE(SELECT * FROM csr_binned) PARTITION BY bin ORDER BY bucket)")
 
 
+@query(f"SELECT bucket, count(DISTINCT key) AS n_keys, count(*) AS n_rows FROM {rows_sql('orders', 'o_custkey', 'o_orderkey')} GROUP BY bucket HAVING count(*) > 10")
+def index_views(spark, d):
+    """Plain SQL over an index's views."""
+    build.build_binned(table(spark, d, "orders"), "o_custkey", "o_orderkey", PARTS4).views("custkeys")
+    return spark.sql("SELECT o.bucket, count(DISTINCT e.key) AS n_keys, o.len AS n_rows FROM custkeys_offsets o JOIN custkeys_edges e ON o.bucket = e.bucket WHERE o.len > 10 GROUP BY o.bucket, o.len")
+
+
 @query(f"SELECT bucket, len FROM {lengths_sql('lineitem', 'l_partkey')} ORDER BY len DESC, bucket LIMIT 20")
 def topk_buckets(spark, d):
     """The twenty longest buckets: a report."""
@@ -967,6 +1073,9 @@ _PLAIN = {
     "distinct_counts": ("SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem GROUP BY l_returnflag", None),
     "window_ranks": ("SELECT o_orderkey, rank() OVER w AS r, dense_rank() OVER w AS dr, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS q, lag(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS prev FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate)", "SELECT o_orderkey, (rank() OVER w)::INT AS r, (dense_rank() OVER w)::INT AS dr, (ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey))::INT AS q, lag(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS prev FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate)"),
     "pivot_priorities": ("SELECT * FROM (SELECT o_orderstatus, o_orderpriority FROM orders) PIVOT (count(*) FOR o_orderpriority IN ('1-URGENT' AS urgent, '2-HIGH' AS high))", "SELECT o_orderstatus, nullif(count(*) FILTER (WHERE o_orderpriority = '1-URGENT'), 0) AS urgent, nullif(count(*) FILTER (WHERE o_orderpriority = '2-HIGH'), 0) AS high FROM orders GROUP BY o_orderstatus"),
+    "percentiles": ("SELECT l_returnflag, percentile(l_extendedprice, 0.5) AS median, percentile(l_extendedprice, 0.9) AS p90 FROM lineitem GROUP BY l_returnflag", "SELECT l_returnflag, quantile_cont(l_extendedprice, 0.5) AS median, quantile_cont(l_extendedprice, 0.9) AS p90 FROM lineitem GROUP BY l_returnflag"),
+    "bit_functions": ("SELECT o_orderkey, bit_count(o_orderkey) AS ones, shiftleft(o_orderkey, 3) AS by_eight, shiftright(o_orderkey, 2) AS quarter, o_orderkey ^ o_custkey AS mixed, pmod(o_orderkey - 100, 7) AS rest FROM orders", "SELECT o_orderkey, bit_count(o_orderkey)::INT AS ones, o_orderkey << 3 AS by_eight, o_orderkey >> 2 AS quarter, xor(o_orderkey, o_custkey) AS mixed, ((o_orderkey - 100) % 7 + 7) % 7 AS rest FROM orders"),
+    "map_functions": ("SELECT o_custkey, size(m) AS n, m['F'] AS filled, cardinality(map_keys(m)) AS n_keys FROM (SELECT o_custkey, map_from_entries(collect_list(struct(s, n))) AS m FROM (SELECT o_custkey, o_orderstatus AS s, count(*) AS n FROM orders GROUP BY ALL) GROUP BY o_custkey)", "SELECT o_custkey, count(*)::INT AS n, max(CASE WHEN s = 'F' THEN n END) AS filled, count(*)::INT AS n_keys FROM (SELECT o_custkey, o_orderstatus AS s, count(*) AS n FROM orders GROUP BY ALL) GROUP BY o_custkey"),
     "except_all_keys": ("SELECT o_custkey AS key FROM orders EXCEPT ALL SELECT user_id FROM events", None),
     "intersect_all_keys": ("SELECT o_custkey AS key FROM orders INTERSECT ALL SELECT user_id FROM events", None),
 }

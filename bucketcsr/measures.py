@@ -129,3 +129,52 @@ def plan_facts(df: DataFrame) -> dict[str, int]:
     text = df._jdf.queryExecution().executedPlan().toString()
     count = lambda p: len(re.findall(p, text))
     return {"exchanges": count(r"Exchange (?:hashpartitioning|rangepartitioning|RoundRobin|ShufflePartitionIdPassThrough|shufflepartitionid)"), "hash_exchanges": count(r"Exchange hashpartitioning"), "single": count(r"Exchange SinglePartition"), "broadcasts": count(r"BroadcastExchange"), "python": count(r"Python|Pandas|Arrow")}
+
+
+def run_facts(df: DataFrame) -> dict[str, int]:
+    """Runs a query to its end, keeps no row, and adds up what its plan measured: bytes exchanged, bytes spilled, exchanges."""
+    done = df._jdf.queryExecution()
+    done.toRdd().count()
+    total = {"shuffle_bytes": 0, "spill_bytes": 0, "exchanges": 0}
+    todo, seen = [done.executedPlan()], set()
+    while todo:
+        node = todo.pop()
+        kind = node.getClass().getSimpleName()
+        if kind == "AdaptiveSparkPlanExec":
+            todo.append(node.executedPlan())
+            continue
+        if kind.endswith("QueryStageExec"):
+            todo.append(node.plan())
+            continue
+        if kind == "ReusedExchangeExec" or node.id() in seen:
+            continue
+        seen.add(node.id())
+        metrics = node.metrics()
+        read = lambda name: metrics.get(name).get().value() if metrics.contains(name) else 0  # noqa: B023, E731
+        total["shuffle_bytes"] += read("shuffleBytesWritten")
+        total["spill_bytes"] += read("spillSize")
+        total["exchanges"] += kind == "ShuffleExchangeExec"
+        children = node.children()
+        todo += [children.apply(i) for i in range(children.size())]
+    return total
+
+
+def sketched_distinct(df: DataFrame, key: str, error: float = 0.02) -> DataFrame:
+    """One row: n (keys that are not null), distinct_estimate, appearances; by a HyperLogLog sketch, one small state per task."""
+    keys = df.where(F.col(key).isNotNull())
+    return keys.agg(F.count("*").alias("n"), F.approx_count_distinct(key, error).alias("distinct_estimate")).withColumn("appearances", F.col("n") / F.greatest("distinct_estimate", F.lit(1)))
+
+
+def hot_keys(df: DataFrame, key: str, share: float = 0.1) -> DataFrame:
+    """(key, n) of every key that holds at least `share` of the rows that have one; exact counts.
+
+    A frequent-items sketch of bounded size names all that can be so frequent (its error is far below the share), and only those are counted.
+    """
+    if not 0.001 <= share <= 1:
+        raise ValueError("share must lie between 0.001 and 1")
+    keys = df.where(F.col(key).isNotNull()).select(F.col(key).alias("key"))
+    most = int(2 / share) + 1
+    named = keys.agg(F.expr(f"approx_top_k(key, {most}, {max(64, 32 * most)})").alias("top")).select(F.explode("top").alias("t")).select(F.col("t.item").alias("key"))
+    total = keys.agg(F.count("*").alias("total"))
+    counted = keys.join(F.broadcast(named), "key", "left_semi").groupBy("key").agg(F.count("*").alias("n"))
+    return counted.join(F.broadcast(total)).where(F.col("n") >= F.lit(share) * F.col("total")).select("key", "n")

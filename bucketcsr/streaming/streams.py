@@ -61,6 +61,39 @@ def first_seen(spark: SparkSession, path: str, keys: list[str], late: str = "1 h
     return drain(rows.dropDuplicates([*keys, "day"]).select(*keys)).distinct()
 
 
+def first_within(spark: SparkSession, path: str, keys: list[str], within: str = "1 hour") -> DataFrame:
+    """Rows of key tuples that were not seen in the `within` before; a tuple's state is dropped after that time, so it stays bounded."""
+    rows = source(spark, path).select(*keys, "ts").withWatermark("ts", within)
+    return _ntz(drain(rows.dropDuplicatesWithinWatermark(keys)), "ts")
+
+
+def split_late(spark: SparkSession, path: str, length: str = "1 day", late: str = "1 hour", files_per_batch: int = 1000) -> tuple[DataFrame, DataFrame]:
+    """(rows in time, late rows): a row is late if its window had closed when its batch began.
+
+    A window closes when the largest event time of earlier batches, less `late`, has reached its end. Late rows are kept in a table of their
+    own, where the engine's windows would only count them. Each batch writes a folder named by its number, so a repeated batch writes the same rows again.
+    Rows without event time are in time. At least one batch must arrive.
+    """
+    folder = _folder(spark)
+    rows = source(spark, path, "ts", files_per_batch)
+
+    def each(batch: DataFrame, number: int) -> None:
+        mark = batch.sparkSession.read.schema("high timestamp").parquet(f"{folder}/marks/{number - 1}").first()[0] if number else None
+        ends = F.window("ts", length)["end"]
+        closed = F.coalesce(ends <= F.lit(mark) - F.expr(f"INTERVAL {late}"), F.lit(False)) if mark else F.lit(False)
+        marked = batch.withColumn("_late", closed).persist()
+        marked.where("not _late").drop("_late").write.mode("overwrite").parquet(f"{folder}/rows/{number}")
+        marked.where("_late").drop("_late").write.mode("overwrite").parquet(f"{folder}/late/{number}")
+        high = marked.agg(F.greatest(F.max("ts"), F.lit(mark).cast("timestamp")).alias("high"))
+        high.write.mode("overwrite").parquet(f"{folder}/marks/{number}")
+        marked.unpersist()
+
+    rows.writeStream.foreachBatch(each).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    forget(spark, f"{folder}/state")
+    read = lambda name: _ntz(spark.read.schema(rows.schema).option("recursiveFileLookup", "true").parquet(f"{folder}/{name}"), "ts")
+    return read("rows"), read("late")
+
+
 def static_probe(spark: SparkSession, path: str, key: str, index_edges: DataFrame, v: int) -> DataFrame:
     """(rid, r_rid): stream rows against a static index, by bucket and key."""
     rows = source(spark, path, None).withColumn("bucket", bucket_of([F.col(key).cast("bigint")], v))

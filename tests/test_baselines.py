@@ -74,3 +74,41 @@ def test_cost_terms():
     assert storage_elements(100, 50, 4, True)["reorganised"] == 200
     assert capacity(32 << 30, 1.0, False, entry_bytes=8) > capacity(32 << 30, 1.0, True, entry_bytes=8)
     assert HashSpec().family == "murmur32"
+
+
+def test_chains_as_nodes_and_their_probe_cost(spark):
+    from bucketcsr.operators import build
+    from bucketcsr.plans.params import BuildSpec
+
+    keys = [random.Random(3).randrange(40) for _ in range(200)]
+    df = spark.createDataFrame([(k, i) for i, k in enumerate(keys)] + [(None, 900)], "key bigint, rid bigint")
+    probes = [*range(60), None, 5, 5]
+    asked = spark.createDataFrame([(k,) for k in probes], "key bigint")
+    for hot in (None, 10):  # with and without hot buckets
+        ix = build.build_binned(df, "key", "rid", BuildSpec(buckets=23, bins=4, parts=2, hot_bucket_rows=hot))
+        chains = {}
+        for r in lists.chain_table(ix).orderBy("node").collect():
+            chains.setdefault(r["bucket"], []).append(r)
+        assert sum(map(len, chains.values())) == len(keys)
+        for nodes in chains.values():
+            assert [n["next_node"] for n in nodes] == [n["node"] for n in nodes[1:]] + [None]
+        at = {r["key"]: r["b"] for r in asked.where("key is not null").distinct().select("key", bucket_of([F.col("key")], 23).alias("b")).collect()}
+        want = dict.fromkeys(("hits", "misses", "hit_nodes", "miss_nodes"), 0)
+        for k in probes:
+            if k is None:
+                continue
+            chain = [n["key"] for n in chains.get(at[k], [])]
+            kind = "hit" if k in chain else "miss"
+            want["hits" if kind == "hit" else "misses"] += 1
+            want[f"{kind}_nodes"] += chain.index(k) + 1 if kind == "hit" else len(chain)
+        assert lists.chain_probe_cost(ix, asked, "key").first().asDict() == want
+
+
+def test_two_choice_rounds_balance(spark):
+    keys = spark.range(4000).select(F.col("id").alias("key"), F.col("id").alias("rid"))
+    placed = lists.two_choice_rounds(keys, 1000, rounds=8)
+    assert placed.agg(F.sum("n")).first()[0] == 4000
+    two = placed.groupBy("tab", "bucket").agg(F.sum("n").alias("s")).agg(F.max("s")).first()[0]
+    one = keys.groupBy(bucket_of([F.col("key")], 1000)).count().agg(F.max("count")).first()[0]
+    assert two < one
+    assert lists.two_choice_rounds(keys.where("false"), 10, rounds=2).count() == 0

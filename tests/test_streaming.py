@@ -38,3 +38,20 @@ def test_batches_become_delta_indexes(spark):
 
     streams.batches_into(spark, PATH, each)
     assert state["live"].edges().count() == events.count() and spec.bins == 4
+
+
+def test_late_rows_have_a_table_of_their_own(spark, tmp_path):
+    for day, hours in ((3, (1, 5)), (2, (9,)), (3, (2,)), (1, (0, 23))):
+        rows = [(f"2024-01-0{day} {h:02d}:00:00",) for h in hours]
+        spark.createDataFrame(rows, "t string").select(F.col("t").cast("timestamp_ntz").alias("ts"), F.lit(day).alias("day")).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    on_time, late = streams.split_late(spark, str(tmp_path / "in"), late="6 hours", files_per_batch=1)
+    # the mark after the first batch is 5 o'clock of the third day less six hours: day 2 is still open, day 1 closed
+    assert sorted(r["day"] for r in on_time.collect()) == [2, 3, 3, 3]
+    assert [r["day"] for r in late.collect()] == [1, 1]
+
+
+def test_rows_delivered_twice_come_out_once(spark, tmp_path):
+    for _ in range(2):
+        spark.read.parquet(PATH).write.mode("append").parquet(str(tmp_path / "in"))
+    got = streams.first_within(spark, str(tmp_path / "in"), ["event_id"])
+    assert got.count() == got.select("event_id").distinct().count() == spark.read.parquet(PATH).count()
