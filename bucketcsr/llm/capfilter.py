@@ -110,7 +110,12 @@ def units(vectors: np.ndarray) -> np.ndarray:
     return vectors / np.linalg.norm(vectors, axis=1, keepdims=True)
 
 
-def _filters(caps: Caps):
+def _small(caps: Caps) -> type:
+    """The number type of a filter as it is sent along."""
+    return np.uint32 if caps.words**caps.blocks <= 1 << 32 else np.int64
+
+
+def _filters(caps: Caps, kind: type):
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         # label, dim, uid, n, v  ->  label, dim, filter, uid, n, vector, all filters
         for batch in batches:
@@ -124,67 +129,137 @@ def _filters(caps: Caps):
                     order = np.lexsort((code, row))
                     row, code = row[order], code[order]
                     cuts = np.searchsorted(row, np.arange(part.num_rows + 1))
-                    lists = [code[a:b].tobytes() for a, b in zip(cuts, cuts[1:], strict=False)]
-                    with np.errstate(over="ignore"):
-                        short = vectors.astype(np.float32)
-                    bodies = [v.tobytes() for v in (short if (short == vectors).all() else vectors)]
+                    sent = code.astype(_small(caps))
+                    lists = pa.array([sent[a:b].tobytes() for a, b in zip(cuts, cuts[1:], strict=False)], pa.binary())
+                    bodies = pa.array([v.tobytes() for v in vectors.astype(kind)], pa.binary())
                     take = pa.array(row)
-                    yield pa.RecordBatch.from_arrays([part.column(0).take(take), part.column(1).take(take), pa.array(code), part.column(2).take(take), part.column(3).take(take), pa.array([bodies[i] for i in row], pa.binary()), pa.array([lists[i] for i in row], pa.binary())], names=["label", "dim", "filter", "uid", "n", "body", "filters"])
+                    yield pa.RecordBatch.from_arrays([part.column(0).take(take), part.column(1).take(take), pa.array(code), part.column(2).take(take), part.column(3).take(take), bodies.take(take), lists.take(take)], names=["label", "dim", "filter", "uid", "n", "body", "filters"])
 
     return run
 
 
-def _links(x: np.ndarray, y: np.ndarray, fx: list[np.ndarray], fy: list[np.ndarray], own: int, cosine: float) -> np.ndarray:
-    """Boolean matrix: linked, and `own` is the smallest filter of both."""
-    near = x @ y.T >= cosine
+@dataclass
+class Side:
+    """Vectors of a bucket: unit rows, their filters end to end with n + 1 offsets, uids and multiplicities."""
+
+    unit: np.ndarray
+    flat: np.ndarray
+    cuts: np.ndarray
+    uid: np.ndarray
+    n: np.ndarray
+    mine: np.ndarray
+
+    def rows(self, lo: int, hi: int) -> Side:
+        return Side(self.unit[lo:hi], self.flat, self.cuts[lo : hi + 1], self.uid[lo:hi], self.n[lo:hi], self.mine[lo:hi])
+
+    def picked(self, at: np.ndarray) -> Side:
+        """Rows at these places, which are runs of neighbours or not."""
+        size = np.diff(self.cuts)[at]
+        cuts = np.concatenate(([0], np.cumsum(size)))
+        spans = np.repeat(self.cuts[at] - cuts[:-1], size) + np.arange(cuts[-1])
+        return Side(self.unit[at], self.flat[spans], cuts, self.uid[at], self.n[at], self.mine[at])
+
+    def below(self, at: np.ndarray, own: int) -> tuple[np.ndarray, np.ndarray]:
+        """(place in `at`, filter) of those rows' filters under `own`."""
+        some = self.picked(at)
+        small = some.flat < own
+        return np.repeat(np.arange(len(at)), np.diff(some.cuts))[small], some.flat[small]
+
+
+def _joined(parts: list[Side]) -> Side:
+    if len(parts) == 1:
+        return parts[0]
+    parts = [p.picked(np.arange(len(p.uid))) for p in parts]
+    shifts = np.cumsum([0, *[len(p.flat) for p in parts]])
+    cuts = np.concatenate([[0], *[p.cuts[1:] + s for p, s in zip(parts, shifts, strict=False)]])
+    gather = lambda name: np.concatenate([getattr(p, name) for p in parts])
+    return Side(gather("unit"), gather("flat"), cuts, gather("uid"), gather("n"), gather("mine"))
+
+
+def _links(x: Side, y: Side, own: int, cosine: float, upper: bool) -> np.ndarray | None:
+    """Boolean matrix, None if nothing links: linked, `own` is the smallest filter of both, and with `upper` each pair of one side once."""
+    near = x.unit @ y.unit.T >= cosine
+    if upper:
+        near = np.triu(near, 1)
     if not near.any():
-        return near
-    lower = np.unique(np.concatenate([f[f < own] for f in [*fx, *fy]]))
-    if len(lower):
+        return None
+    i, j = np.flatnonzero(near.any(axis=1)), np.flatnonzero(near.any(axis=0))
+    row, fx = x.below(i, own)
+    col, fy = y.below(j, own)
+    shared = np.intersect1d(fx, fy)
+    if len(shared):
         marks = []
-        for lists in (fx, fy):
-            m = np.zeros((len(lists), len(lower)), np.float32)
-            sizes = [int(np.searchsorted(f, own)) for f in lists]
-            m[np.repeat(np.arange(len(lists)), sizes), np.searchsorted(lower, np.concatenate([f[:s] for f, s in zip(lists, sizes, strict=True)]))] = 1
+        for at, f, size in ((row, fx, len(i)), (col, fy, len(j))):
+            m = np.zeros((size, len(shared)), np.float32)
+            spot = np.minimum(np.searchsorted(shared, f), len(shared) - 1)
+            hit = shared[spot] == f
+            m[at[hit], spot[hit]] = 1
             marks.append(m)
-        near &= marks[0] @ marks[1].T == 0
+        near[np.ix_(i, j)] &= marks[0] @ marks[1].T == 0
+        if not near.any():
+            return None
     return near
 
 
-def _verify(caps: Caps):
-    """Reads rows sorted by (label, dim, filter, one, two); yields (kind, a, b): 0 uid and links, 1 an edge."""
-
-    def bucket(rows: list[tuple], forest: Forest, sums: dict[int, int], edges: list[tuple[int, int]]) -> None:
-        filter_id, one, two = rows[0][2], rows[0][3], rows[0][4]
-        mine = [r for r in rows if r[5] == one]
-        other = mine if one == two else [r for r in rows if r[5] == two]
-        step = 512
-        dim = rows[0][1]
-        body = lambda raw: np.frombuffer(raw, np.float32 if len(raw) == 4 * dim else np.float64)
-        load = lambda part: (units(np.array([body(r[8]) for r in part], np.float64)), [np.frombuffer(r[9], np.int64) for r in part], np.array([r[6] for r in part]), np.array([r[7] for r in part]))
-        left = [load(mine[i : i + step]) for i in range(0, len(mine), step)]
-        right = left if other is mine else [load(other[i : i + step]) for i in range(0, len(other), step)]
-        for i, (x, fx, ux, nx) in enumerate(left):
-            for j, (y, fy, uy, ny) in enumerate(right):
-                if other is mine and j < i:
-                    continue
-                near = _links(x, y, fx, fy, filter_id, caps.cosine)
-                if other is mine and i == j:
-                    near = np.triu(near, 1)
-                if not near.any():
+def _tree(near: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(row, column) pairs, or with few links all of them, and marks that connect what the matrix links; rows stand before columns."""
+    rows, columns = np.nonzero(near)
+    size = len(near)
+    if len(rows) <= 64:
+        return rows, columns + size
+    # the smallest row number travels along links until nothing changes; each member then hangs on its component's row
+    far = np.int64(size)
+    by_row, by_column = np.arange(size), np.where(near, np.arange(size)[:, None], far).min(axis=0)
+    while True:
+        after = np.minimum(by_row, np.where(near, by_column[None, :], far).min(axis=1))
+        if (after == by_row).all():
+            break
+        by_row = after
+        by_column = np.where(near, by_row[:, None], far).min(axis=0)
+    label = np.concatenate((by_row, by_column))
+    member = np.flatnonzero((label < far) & (label != np.arange(len(label))))
+    return label[member], member
+
+
+def _raw(column: pa.Array, lo: int, hi: int, kind: type) -> tuple[np.ndarray, np.ndarray]:
+    """Values of a binary column's rows end to end, and their n + 1 offsets."""
+    wide = np.int64 if pa.types.is_large_binary(column.type) else np.int32
+    offsets = np.frombuffer(column.buffers()[1], wide)[column.offset + lo : column.offset + hi + 1].astype(np.int64)
+    item = np.dtype(kind).itemsize
+    return np.frombuffer(column.buffers()[2], np.uint8)[offsets[0] : offsets[-1]].view(kind), (offsets - offsets[0]) // item
+
+
+def _verify(caps: Caps, kind: type):
+    """Reads rows sorted by (label, dim, filter, one, two); yields (kind, a, b): 0 uid and links, 1 an edge.
+
+    Bodies are read and scaled a batch at a time; a bucket that goes on in the next batch is kept until it ends (two tiles at most).
+    """
+    step = 512
+
+    def bucket(key: tuple, side: Side, forest: Forest, sums: dict[int, int], edges: list[tuple[int, int]]) -> None:
+        own, one, two = key[2:]
+        mine = side if one == two else side.picked(np.flatnonzero(side.mine == one))
+        other = side if one == two else side.picked(np.flatnonzero(side.mine == two))
+        for i in range(0, len(mine.uid), step):
+            for j in range(i if one == two else 0, len(other.uid), step):
+                x, y = mine.rows(i, i + step), other.rows(j, j + step)
+                near = _links(x, y, own, caps.cosine, one == two and i == j)
+                if near is None:
                     continue
-                for uid, total in zip(ux.tolist(), (near @ ny).tolist(), strict=True):
-                    if total:
-                        sums[uid] = sums.get(uid, 0) + total
-                for uid, total in zip(uy.tolist(), (nx @ near).tolist(), strict=True):
-                    if total:
+                for uids, totals in ((x.uid, near @ y.n), (y.uid, x.n @ near)):
+                    some = np.flatnonzero(totals)
+                    for uid, total in zip(uids[some].tolist(), totals[some].tolist(), strict=True):
                         sums[uid] = sums.get(uid, 0) + total
-                for a, b in zip(*(k.tolist() for k in np.nonzero(near)), strict=True):
-                    if forest.union(int(ux[a]), int(uy[b])):
-                        edges.append((int(ux[a]), int(uy[b])))
+                both = np.concatenate((x.uid, y.uid))
+                a, b = _tree(near)
+                for u, v in zip(both[a].tolist(), both[b].tolist(), strict=True):
+                    if forest.union(u, v):
+                        edges.append((u, v))
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        forest, sums, edges, rows = Forest(), {}, [], []
+        forest, sums, edges = Forest(), {}, []
+        held: tuple | None = None
+        parts: list[Side] = []
 
         def flush() -> pa.RecordBatch:
             found = [(0, u, n) for u, n in sums.items()] + [(1, a, b) for a, b in edges]
@@ -192,17 +267,42 @@ def _verify(caps: Caps):
             edges.clear()
             return pa.RecordBatch.from_arrays([pa.array([f[k] for f in found], t) for k, t in enumerate((pa.int32(), pa.int64(), pa.int64()))], names=["kind", "a", "b"])
 
+        def close() -> None:
+            if sum(len(p.uid) for p in parts) > 1:
+                bucket(held, _joined(parts), forest, sums, edges)
+            parts.clear()
+
         for batch in batches:
-            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                if rows and rows[0][:5] != row[:5]:
-                    if len(rows) > 1:
-                        bucket(rows, forest, sums, edges)
-                    rows = []
-                rows.append(row)
+            if not batch.num_rows:
+                continue
+            label = batch.column(0).dictionary_encode()
+            names = label.dictionary.to_pylist()
+            keys = [label.indices.to_numpy(zero_copy_only=False), *(np.asarray(batch.column(k).to_numpy(zero_copy_only=False)) for k in range(1, 5))]
+            mine, uid, n = (np.asarray(batch.column(k).to_numpy(zero_copy_only=False)) for k in (5, 6, 7))
+            change = np.zeros(batch.num_rows - 1, bool)
+            for k in keys:
+                change |= k[1:] != k[:-1]
+            begins = np.concatenate(([0], np.flatnonzero(change) + 1))
+            ends = np.append(begins[1:], batch.num_rows)
+            turns = np.concatenate(([0], np.flatnonzero(keys[1][1:] != keys[1][:-1]) + 1, [batch.num_rows]))
+            at = 0
+            for lo, hi in zip(turns, turns[1:], strict=False):  # rows of one vector length
+                body, _ = _raw(batch.column(8), lo, hi, kind)
+                flat, cuts = _raw(batch.column(9), lo, hi, _small(caps))
+                whole = Side(units(body.reshape(hi - lo, -1)), flat, cuts, uid[lo:hi], n[lo:hi], mine[lo:hi])
+                while at < len(begins) and begins[at] < hi:
+                    b, e = begins[at], ends[at]
+                    key = (names[keys[0][b]], *(int(k[b]) for k in keys[1:]))
+                    if key != held:
+                        close()
+                        held = key
+                    parts.append(whole.rows(b - lo, e - lo))
+                    at += 1
+            # what goes on in the next batch must not hold this one's arrays
+            parts[:] = [p.picked(np.arange(len(p.uid))) for p in parts]
             if len(sums) > 50_000:
                 yield flush()
-        if len(rows) > 1:
-            bucket(rows, forest, sums, edges)
+        close()
         yield flush()
 
     return run
@@ -211,6 +311,7 @@ def _verify(caps: Caps):
 def near_duplicates(vectors: DataFrame, vec_id: str = "vec_id", embedding: str = "embedding", label: str = "label", caps: Caps | None = None, fit_to_rows: bool = True) -> DataFrame:
     """vec_id, n_links, component_id, kept; one row per vector."""
     caps = caps or Caps()
+    kind = np.float32 if vectors.schema[embedding].dataType.simpleString() == "array<float>" else np.float64
     rows = vectors.select(F.col(f"`{vec_id}`").cast("long").alias("vec_id"), F.col(f"`{embedding}`").cast("array<double>").alias("v"), F.col(f"`{label}`").cast("string").alias("label"))
     finite = F.forall("v", lambda e: e.isNotNull() & ~F.isnan(e) & (F.abs(e) < F.lit(float("inf")))) & F.exists("v", lambda e: e != 0)
     rows = rows.withColumn("fine", F.coalesce(F.col("label").isNotNull() & finite, F.lit(False)))
@@ -220,7 +321,7 @@ def near_duplicates(vectors: DataFrame, vec_id: str = "vec_id", embedding: str =
     if fit_to_rows:
         caps = spread(distinct.count(), caps)
     schema = "label string, dim int, filter long, uid long, n long, body binary, filters binary"
-    passed = store(distinct.select("label", "dim", "uid", "n", "v").mapInArrow(_filters(caps), schema))
+    passed = store(distinct.select("label", "dim", "uid", "n", "v").mapInArrow(_filters(caps, kind), schema))
     bucket = ["label", "dim", "filter"]
     hot = store(passed.groupBy(*bucket).agg(F.count("*").alias("size")).where(F.col("size") > caps.tile).select(*[F.col(c).alias(f"h_{c}") for c in bucket], F.ceil(F.col("size") / caps.tile).cast("int").alias("g")))
     n_hot = hot.count()
@@ -233,7 +334,7 @@ def near_duplicates(vectors: DataFrame, vec_id: str = "vec_id", embedding: str =
         dealt = passed.withColumns({"one": F.lit(0), "two": F.lit(0), "mine": F.lit(0)})
     keys = [*bucket, "one", "two"]
     dealt = dealt.select(*keys, "mine", "uid", "n", "body", "filters").repartition(*keys).sortWithinPartitions(*keys)
-    found = store(dealt.mapInArrow(_verify(caps), "kind int, a long, b long"))
+    found = store(dealt.mapInArrow(_verify(caps, kind), "kind int, a long, b long"))
     reached = connected(found.where("kind = 1").select(F.col("a").alias("u"), F.col("b").alias("v")), contracted=True)
     sums = found.where("kind = 0").groupBy("a").agg(F.sum("b").alias("links"))
     named = distinct.drop("dim").join(sums, distinct["uid"] == sums["a"], "left").join(reached, distinct["uid"] == reached["node"], "left")
