@@ -1,7 +1,10 @@
 """Streams that have seen all there is agree with the batch result."""
 
+from datetime import timedelta
+
 from pyspark.sql import functions as F
 
+from bucketcsr import catalogue
 from bucketcsr.functions.hashing import bucket_of
 from bucketcsr.operators import build, dynamic
 from bucketcsr.plans.params import BuildSpec
@@ -55,3 +58,18 @@ def test_rows_delivered_twice_come_out_once(spark, tmp_path):
         spark.read.parquet(PATH).write.mode("append").parquet(str(tmp_path / "in"))
     got = streams.first_within(spark, str(tmp_path / "in"), ["event_id"])
     assert got.count() == got.select("event_id").distinct().count() == spark.read.parquet(PATH).count()
+
+
+def test_late_rows_where_a_file_of_the_first_half_is_empty(spark, tmp_path):
+    """The largest file holds old rows only, so the first task writes a file without rows; one event has no time."""
+    write = lambda rows: spark.createDataFrame(rows, "event_id bigint, t string").select("event_id", F.col("t").cast("timestamp_ntz").alias("ts")).coalesce(1).write.mode("append").parquet(str(tmp_path / "events.parquet"))
+    write([(i, f"2024-01-01 {i % 24:02d}:{i % 60:02d}:00") for i in range(5000)])
+    for part in range(4):
+        write([(10_000 * (part + 1) + i, f"2024-01-{2 + i % 9:02d} {i % 24:02d}:00:00") for i in range(1500)])
+    write([(99_999, None)])
+    got = {r["event_id"]: r["late"] for r in catalogue.queries()["stream_late_rows"](spark, str(tmp_path)).collect()}
+    rows = {r["event_id"]: r["ts"] for r in spark.read.parquet(str(tmp_path / "events.parquet")).collect()}
+    times = sorted(t for t in rows.values() if t)
+    half, mark = times[(len(times) - 1) // 2], times[-1] - timedelta(hours=1)
+    closes = lambda t: t.replace(hour=0, minute=0) + timedelta(days=1)
+    assert got == {k: None if t is None else t < half and closes(t) <= mark for k, t in rows.items()}
