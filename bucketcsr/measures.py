@@ -84,9 +84,10 @@ def work(spark: SparkSession, n: int, loads: Sequence[float], bins: int, cores:
 
 def expected(keys: DataFrame, loads: Sequence[float]) -> DataFrame:
     """Empty share and sum of squared lengths beside what unique keys under a random hash would give."""
-    n = keys.count()
+    n = keys.where("key is not null").count()
     stats = stats_by_load([("keys", keys)], loads)
-    return stats.select("load", F.round(1 - F.col("nonempty") / F.col("v"), 6).alias("empty"), F.round(F.exp(-F.col("load")), 6).alias("expected"), "sum_sq", F.round(F.lit(n) + F.lit(n) * (n - 1) / F.col("v"), 3).alias("expected_sum_sq"))
+    pairs = F.lit(float(n * (n - 1)))  # in Python's integers: past 46,341 rows the product leaves Spark's INT
+    return stats.select("load", F.round(1 - F.col("nonempty") / F.col("v"), 6).alias("empty"), F.round(F.exp(-F.col("load")), 6).alias("expected"), "sum_sq", F.round(F.lit(float(n)) + pairs / F.col("v"), 3).alias("expected_sum_sq"))
 
 
 def self_join_sizes(sources: Sequence[tuple[str, DataFrame]]) -> DataFrame:

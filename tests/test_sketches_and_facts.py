@@ -36,3 +36,10 @@ def test_minwise_values_of_short_and_long_texts(spark):
     got = minhash.signatures(docs, "doc_id", "text", k=3, bits=4).collect()
     assert sorted((r["doc_id"], r["component"]) for r in got) == [(d, c) for d in (1, 2, 4) for c in range(3)]
     assert all(0 <= r["value"] < 16 for r in got)
+
+
+def test_expected_squares_of_many_rows(spark):
+    """The number of pairs of 50,000 rows is beyond 32 bits; a row without a key is none."""
+    keys = spark.range(50_000).select(F.col("id").alias("key")).unionAll(spark.sql("SELECT CAST(NULL AS BIGINT)"))
+    got = {r["load"]: r["expected_sum_sq"] for r in measures.expected(keys, (0.5, 1.0)).collect()}
+    assert got == {0.5: round(50_000 + 50_000 * 49_999 / 100_000, 3), 1.0: 99_999.0}
