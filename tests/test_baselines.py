@@ -112,3 +112,10 @@ def test_two_choice_rounds_balance(spark):
     one = keys.groupBy(bucket_of([F.col("key")], 1000)).count().agg(F.max("count")).first()[0]
     assert two < one
     assert lists.two_choice_rounds(keys.where("false"), 10, rounds=2).count() == 0
+
+
+def test_walks_take_time_in_proportion_to_the_slots(spark):
+    """Every window frame ends at its row; one that ends with its bin costs slots times slots."""
+    df = spark.range(1000).select(F.col("id").alias("key"))
+    plans = [f(df, 2000)._jdf.queryExecution().optimizedPlan().toString() for f in (linear.miss_cost, linear.find_all_cost)]
+    assert all("unboundedfollowing$()" not in p for p in plans) and all("currentrow$()" in p for p in plans)
