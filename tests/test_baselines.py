@@ -114,6 +114,16 @@ def test_two_choice_rounds_balance(spark):
     assert lists.two_choice_rounds(keys.where("false"), 10, rounds=2).count() == 0
 
 
+@pytest.mark.parametrize("load", [0.5, 0.9])
+def test_walks_of_a_miss(spark, load):
+    keys = [x * x % 97 for x in range(60)]
+    slots = linear.slots_for(len(keys), load)
+    df, at = homes(spark, keys, slots)
+    table, _ = linear.simulate(at, slots)
+    walk = lambda h: next(k for k in range(slots) if table[(h + k) % slots] is None) + 1
+    assert linear.miss_cost(df, slots, bins=5).first()["slots_read"] == sum(walk(h) for h in range(slots))
+
+
 def test_walks_take_time_in_proportion_to_the_slots(spark):
     """Every window frame ends at its row; one that ends with its bin costs slots times slots."""
     df = spark.range(1000).select(F.col("id").alias("key"))
