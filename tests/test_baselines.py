@@ -129,3 +129,14 @@ def test_walks_take_time_in_proportion_to_the_slots(spark):
     df = spark.range(1000).select(F.col("id").alias("key"))
     plans = [f(df, 2000)._jdf.queryExecution().optimizedPlan().toString() for f in (linear.miss_cost, linear.find_all_cost)]
     assert all("unboundedfollowing$()" not in p for p in plans) and all("currentrow$()" in p for p in plans)
+
+
+def test_broadcast_join_of_a_side_over_the_limit(spark):
+    """A side of more rows than may be sent at once goes out in pieces and loses no pair."""
+    a = spark.range(400).select((F.col("id") % 150).alias("key"), F.col("id").alias("l_rid")).unionAll(spark.sql("SELECT CAST(NULL AS BIGINT), -1L"))
+    b = spark.range(200).select((F.col("id") % 170).alias("key"), F.col("id").alias("r_rid")).unionAll(spark.sql("SELECT CAST(NULL AS BIGINT), -1L"))
+    want = sorted(map(tuple, a.join(b, "key").collect()))
+    got = joins.broadcast_join(a, b, "key", most_rows=40)
+    assert got.columns == ["key", "l_rid", "r_rid"] and sorted(map(tuple, got.collect())) == want
+    assert joins.broadcast_join(a, b.where("key > 500"), "key", most_rows=1).count() == 0
+    assert joins.broadcast_join(a.where("false"), b, "key", most_rows=40).count() == 0
