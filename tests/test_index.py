@@ -171,3 +171,15 @@ def test_hot_chunks_are_bounded_and_whole(spark):
     for b in {r["bucket"] for r in got}:
         own = sorted(r["rank"] for r in got if r["bucket"] == b)
         assert own == list(range(len(own)))
+
+
+def test_an_index_over_the_broadcast_limit_is_looked_up_in_pieces(spark):
+    """Beside a probe side of several times its size the choice stays with the lookup, whatever the size."""
+    built, probing = frame(spark, list(range(200))), frame(spark, [x % 230 for x in range(900)] + [None])
+    ix = build.build_binned(built, "key", "rid", BuildSpec(bins=4, parts=2))
+    want = rows(built.withColumnRenamed("rid", "r_rid").join(probing.withColumnRenamed("rid", "l_rid"), "key"), "key", "l_rid", "r_rid")
+    kind, got = probe.auto_probe(ix, probing, "key", "rid", appearances=4.07, broadcast_bytes=2000)
+    assert kind == "lookup" and rows(got, "key", "l_rid", "r_rid") == want
+    kind, got = probe.auto_probe(ix, probing, "key", "rid", appearances=4.07, broadcast_bytes=0)
+    assert kind == "cobucket" and rows(got, "key", "l_rid", "r_rid") == want
+    assert probe.auto_probe(ix, built, "key", "rid", appearances=4.07, broadcast_bytes=2000)[0] == "cobucket"
