@@ -183,3 +183,25 @@ def test_an_index_over_the_broadcast_limit_is_looked_up_in_pieces(spark):
     kind, got = probe.auto_probe(ix, probing, "key", "rid", appearances=4.07, broadcast_bytes=0)
     assert kind == "cobucket" and rows(got, "key", "l_rid", "r_rid") == want
     assert probe.auto_probe(ix, built, "key", "rid", appearances=4.07, broadcast_bytes=2000)[0] == "cobucket"
+
+
+@pytest.mark.parametrize("hot", [None, 5])
+def test_more_bins_than_the_driver_lists(spark, monkeypatch, hot):
+    """One bin per bucket: the counts stay in a table, and the index is the same."""
+    df = frame(spark, [x * x % 101 for x in range(300)] + [7] * 20 + [None])
+    spec = BuildSpec(bins=1 << 30, parts=3, hot_bucket_rows=hot)
+    cols = {"bins": ("bin", "part", "n", "bin_start"), "offsets": ("part", "bin", "bucket", "start", "len"), "edges": ("part", "bin", "bucket", "pos", "key", "rid")}
+    one = build.build_binned(df, "key", "rid", spec)
+    want = {k: rows(getattr(one, k), *c) for k, c in cols.items()}
+    tiered = rows(build.build_tiered(df, "key", "rid", spec, tier_bins=128).edges, *cols["edges"])
+    monkeypatch.setattr(build, "MOST_LISTED", 10)
+
+    def refused(_):
+        raise AssertionError("bins are listed")
+
+    counted = build.count_bins
+    monkeypatch.setattr(build, "count_bins", refused)
+    two = build.build_binned(df, "key", "rid", spec)
+    assert {k: rows(getattr(two, k), *c) for k, c in cols.items()} == want
+    monkeypatch.setattr(build, "count_bins", counted)  # tiers are few and listed
+    assert rows(build.build_tiered(df, "key", "rid", spec, tier_bins=128).edges, *cols["edges"]) == tiered
