@@ -5,6 +5,7 @@ import uuid
 import pytest
 from pyspark.sql import functions as F
 
+from bucketcsr import catalogue
 from bucketcsr.functions import udfs
 from bucketcsr.functions.hashing import HashSpec, mix32
 from bucketcsr.functions.rowid import dense_rid, file_rid
@@ -71,3 +72,23 @@ def test_functions(spark):
         HashSpec("nothing")
     with pytest.raises(ValueError):
         storage.read_any(spark, SF, "xls")
+
+
+def test_examples_stand_on_given_tables(spark):
+    """The worked example and the join with null keys read their rows from the tables."""
+    d = "/root/testdata/sf0.001"
+    made = catalogue.queries()["csr_example"](spark, d)
+    assert any("orders" in f for f in made.inputFiles())
+    offsets = [tuple(r) for r in made.orderBy("bucket").collect()]
+    orders = spark.read.parquet(f"{d}/orders.parquet")
+    assert [b for b, _, _ in offsets] == list(range(10)) and sum(n for _, _, n in offsets) == orders.count()
+    assert all(start == sum(n for _, _, n in offsets[:b]) for b, start, _ in offsets) and any(n == 0 for _, _, n in offsets)
+    joined = catalogue.queries()["join_null_keys"](spark, d)
+    assert {n for f in joined.inputFiles() for n in ("orders", "events") if n in f} == {"orders", "events"}
+    a = {r["o_orderkey"]: r["o_custkey"] for r in orders.collect() if r["o_custkey"] % 10 != 3}
+    b = {r["event_id"]: r["user_id"] for r in spark.read.parquet(f"{d}/events.parquet").collect() if r["user_id"] % 10 != 7}
+    rows = [tuple(r) for r in joined.collect()]
+    pairs = [(a[i], i, j) for i in a for j in b if a[i] == b[j]]
+    assert sorted(r for r in rows if None not in r) == sorted(pairs)
+    lonely = [r for r in rows if None in r]
+    assert len(lonely) == orders.count() - len({i for _, i, _ in pairs}) + 1000 - len({j for _, _, j in pairs}) and any(r[0] is None for r in lonely)
