@@ -10,9 +10,9 @@ A tree is replicated to the tasks that hold rows of its own shard, by an exchang
 driver would carry the fingerprints of all documents, whose number has no bound. Of shards with the same members one is
 searched. A shard yields a spanning forest of its links, not its pairs; `components.connected` joins the forests.
 
-Two ways to link. By distance: fingerprints within `radius` bits. By similarity (`Similarity`): texts whose sets of word
-shingles have a Jaccard similarity of `least` or more. There fingerprints of similar texts may be ten and more bits apart, so
-shards come from bands of minwise values instead of equal blocks. First every text of a shard is compared with the shard's anchor, its
+Two ways to link. By distance: fingerprints within `radius` bits. By distance and similarity (`Similarity`): the trees link first, then texts whose
+sets of word shingles have a Jaccard similarity of `least` or more are linked as well. Fingerprints of similar texts may be ten and more bits apart, so
+for these shards come from bands of minwise values instead of equal blocks. First every text of a shard is compared with the shard's anchor, its
 smallest uid: one comparison a text, so a group of any size costs in proportion. Then, in the shards whose texts are not all
 linked by that, every two texts that nothing links yet are compared. Texts linked to the anchor need not meet each other; they and the rest
 are cut into tiles of chunk against chunk. All comparisons take the whole shingle sets, however far apart the fingerprints
@@ -395,8 +395,17 @@ def _tiled(members: DataFrame, spec: Similarity) -> DataFrame:
     return dealt.select(*shard, F.least("mine", "_peer").alias("one"), F.greatest("mine", "_peer").alias("two"), "mine", "uid", "root")
 
 
-def similar_links(sets: DataFrame, texts: DataFrame, spec: Similarity) -> DataFrame:
-    """sets(uid, n, bands) of distinct texts, texts(t, body) with t a uid -> edges (u, v) over uid."""
+def near_links(distinct: DataFrame, radius: int) -> DataFrame:
+    """distinct(fp, uid) of distinct texts -> edges (u, v) over uid that join texts whose fingerprints lie within the radius, by the trees."""
+    firsts = store(distinct.groupBy("fp").agg(F.min("uid").alias("_first")))
+    equal = distinct.join(firsts, "fp").where("uid <> _first").select(F.col("_first").alias("u"), F.col("uid").alias("v"))
+    end = lambda name: firsts.select(F.col("fp").alias(f"_{name}"), F.col("_first").alias(name))
+    found = links(firsts.select("fp"), radius).select(F.col("u").alias("_p"), F.col("v").alias("_q"))
+    return equal.unionByName(found.join(end("p"), "_p").join(end("q"), "_q").select(F.col("p").alias("u"), F.col("q").alias("v")))
+
+
+def similar_links(sets: DataFrame, texts: DataFrame, spec: Similarity, linked: DataFrame | None = None) -> DataFrame:
+    """sets(uid, n, bands) of distinct texts, texts(t, body) with t a uid, linked(u, v) that is known -> edges (u, v) over uid, with the linked ones."""
     spark = sets.sparkSession
     banded = sets.select("uid", "n", F.posexplode("bands").alias("band", "key"))
     groups = _groups(banded)
@@ -405,7 +414,8 @@ def similar_links(sets: DataFrame, texts: DataFrame, spec: Similarity) -> DataFr
     met = members.select(F.col("uid").alias("_u")).distinct()
     whole = map_text(texts.join(met, texts["t"] == met["_u"], "left_semi"), "body", [T.StructField("shingles", T.BinaryType())], lambda t: whole_sets(t, spec), ["t"])
     whole, whole_at = store_at(whole)
-    near = store(_anchored(members, whole, spec))
+    near = _anchored(members, whole, spec)
+    near = store(near.unionByName(linked) if linked is not None else near)
     reached, reached_at = store_at(connected(near, contracted=True))
     rooted = members.join(reached, members["uid"] == reached["node"], "left").select("band", "key", "anchor", "uid", "n", F.coalesce("root", "uid").alias("root"))
     keys = ["band", "key", "one", "two"]
@@ -433,13 +443,15 @@ def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, kee
         bodies = prints.select(F.col(tag).alias("_t"), F.col("_n").alias("n"), F.col("_bands").alias("bands"))
         # texts without words are copies of each other and similar to nothing else
         sets, sets_at = store_at(distinct.join(bodies, distinct["uid"] == bodies["_t"]).where("n > 0").select("uid", "n", "bands"))
-        edges = similar_links(sets, prints.select(F.col(tag).alias("t"), F.col(text).alias("body")), similarity)
+        trees, trees_at = store_at(near_links(distinct.select("fp", "uid"), radius))
+        edges = similar_links(sets, prints.select(F.col(tag).alias("t"), F.col(text).alias("body")), similarity, trees)
     else:
         distinct = store(distinct.withColumn("uid", F.col("fp")))
         edges = links(distinct.select("fp"), radius)
     reached = store(connected(edges, contracted=similarity is None))
     if similarity:
-        forget(docs.sparkSession, sets_at)
+        for path in (sets_at, trees_at):
+            forget(docs.sparkSession, path)
     # smallest doc_id of each component, over its distinct texts only
     rooted = distinct.join(reached, distinct["uid"] == reached["node"], "left").select("fp", "_set", "least", F.coalesce("root", "uid").alias("root"))
     rooted = store(rooted)
@@ -450,7 +462,7 @@ def _named(docs: DataFrame, doc_id: str, text: str, width: int, radius: int, kee
 def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = 3, radius: int = 2, keep: list[str] | None = None, similarity: Similarity | None = None) -> DataFrame:
     """keep columns (default: all of docs) + fp (long), component_id (long); columns of docs so named are replaced.
 
-    Links by distance (width, radius), or by similarity where that is given.
+    Links by distance (width, radius), and by similarity too where that is given; then fingerprints are made of its shingles.
     """
     keep = [c for c in (docs.columns if keep is None else keep) if c.lower() not in ("fp", "component_id")]
     clean = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(docs.columns)])

@@ -25,7 +25,7 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of texts whose five-word shingles are similar to 0.8 or more."""
+    """One document of each group of texts that the trees of fingerprints link or whose five-word shingles are similar to 0.8 or more."""
     return simhash.one_per_group(docs, similarity=simhash.Similarity())
 
 

@@ -88,3 +88,19 @@ def test_pack_holds_every_row(spark, table):
     assert (pieces.start == 0).sum() == len(ROWS) and (whole > 0).all()
     for _, g in pieces.sort_values("offset").groupby("sequence_id"):
         assert (g.offset.values == np.concatenate(([0], g.length.cumsum()[:-1]))).all() and g.length.sum() <= 2048
+
+
+def test_texts_are_linked_by_the_trees_of_fingerprints(spark):
+    """Two texts whose fingerprints differ in two bits or fewer are one group, though their shingles are similar to 10/13 only."""
+    import pyarrow as pa
+
+    from bucketcsr.llm import simhash
+
+    short = [" ".join(f"w{i}x{k}" for k in range(14)) for i in range(12_000)]
+    long = [t + "".join(f" w{i}x{k}" for k in range(14, 17)) for i, t in enumerate(short)]
+    a, b = (simhash.shingle_sets(pa.array(t), simhash.Similarity())[0].to_pylist() for t in (short, long))
+    near = next(i for i in range(len(a)) if ((a[i] ^ b[i]) & (2**64 - 1)).bit_count() <= 2)
+    far = next(i for i in range(len(a)) if ((a[i] ^ b[i]) & (2**64 - 1)).bit_count() > 9)
+    rows = [(1, short[near], "en", "a", 1), (2, long[near], "en", "a", 1), (3, short[far], "en", "a", 1), (4, long[far], "en", "a", 1)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    assert sorted(r["doc_id"] for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()) == [1, 3, 4]
