@@ -149,8 +149,11 @@ def draw(docs: DataFrame, **options) -> DataFrame:
     clean = docs.select(*[F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(columns)])
     at = {c: f"c{i}" for i, c in enumerate(columns)}
     plan = options.get("plan", MixPlan())
-    mixed = mix(clean, at[options.get("doc_id", "doc_id")], at[options.get("text", "text")], at[options.get("source", "source")], plan)
-    copies = mixed.select(*clean.columns, F.posexplode("shards").alias("_copy", "_shard"))
+    # the mix is found on row numbers alone, so that texts move twice: to their copies' numbers and to their shard
+    stored = store(clean.withColumn("_row", F.monotonically_increasing_id()))
+    mixed = mix(stored, at[options.get("doc_id", "doc_id")], at[options.get("text", "text")], at[options.get("source", "source")], plan, keep=["_row"])
+    drawn = mixed.where(F.size("shards") > 0).select(F.col("_row").alias("_drawn"), "shards")
+    copies = stored.join(drawn, F.col("_row") == F.col("_drawn")).select(*clean.columns, F.posexplode("shards").alias("_copy", "_shard"))
     rank = F.xxhash64(F.lit(plan.seed), F.lit(4), at[options.get("doc_id", "doc_id")], "_copy", "_shard")
     spread = copies.repartition(F.col("_shard"), F.pmod(rank, F.lit(16))).sortWithinPartitions("_shard", rank)
     return spread.select(*[F.col(at[c]).alias(c) for c in columns])
