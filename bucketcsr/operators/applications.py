@@ -7,7 +7,7 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.hashing import bucket_of
-from ..plans.params import BuildSpec, bucket_count
+from ..plans.params import MOST_PARTS, BuildSpec, bucket_count
 from .build import build_binned
 from .probe import BROADCAST_BYTES, PLACE, build_pair, cobucket_count
 
@@ -19,12 +19,71 @@ def spmv(matrix: DataFrame, vector: DataFrame, spec: BuildSpec = BuildSpec()) ->
     return met.groupBy("row").agg(F.sum(F.col("val") * F.col("x")).alias("y"))
 
 
-def spgemm(a: DataFrame, b: DataFrame, spec: BuildSpec = BuildSpec()) -> DataFrame:
-    """a(row, col, val) times b(row, col, val) -> (row, col, val); both are indexed once by the inner dimension."""
-    ia, ib = build_pair(a, b, "col", "row", spec=spec, payload_a=["row", "val"], payload_b=["col", "val"])
-    left = ia.edges.select(*PLACE, "key", "row", "val")
-    right = ib.edges.select(*PLACE, "key", "col", F.col("val").alias("_w"))
-    return left.join(right, [*PLACE, "key"]).groupBy("row", "col").agg(F.sum(F.col("val") * F.col("_w")).alias("val"))
+#: Products that one block of result rows holds, about.
+BLOCK_PRODUCTS = 1 << 22
+
+
+def _kept(df: DataFrame) -> tuple[DataFrame, str]:
+    """df written to the shared folder and read back, with its path."""
+    from ..sources.storage import shared_folder
+
+    folder = shared_folder(df.sparkSession, "entries")
+    df.write.option("compression", "zstd").parquet(folder)
+    return df.sparkSession.read.schema(df.schema).parquet(folder), folder
+
+
+def _blocks(entries: DataFrame, row: str, blocks: int) -> DataFrame:
+    """(_row, block): each value of `row` with its block of 0 .. blocks - 1, ranges of about as many entries each (by a hash where values are no whole numbers).
+
+    Neighbouring values share a block, so a list that neighbours ask for goes to few blocks.
+    """
+    values = entries.select(F.col(row).alias("_row")).distinct()
+    if blocks > 1 and entries.schema[row].dataType.typeName() in ("byte", "short", "integer", "long"):
+        ends = entries.agg(F.percentile_approx(row, [i / blocks for i in range(1, blocks)], 10 * blocks)).first()[0] or []
+        ends = F.array(*[F.lit(e).cast("bigint") for e in sorted(set(ends))]).cast("array<bigint>")
+        block = F.when(F.col("_row").isNull(), 0).otherwise(F.size(F.filter(ends, lambda e: e < F.col("_row").cast("bigint"))))
+    else:
+        block = F.pmod(F.xxhash64("_row"), F.lit(blocks))
+    return values.select("_row", block.cast("int").alias("block"))
+
+
+def _with_block(edges: DataFrame, row: str, table: DataFrame, known: int) -> DataFrame:
+    """edges + block; the table of `known` values is sent to every executor if it is small."""
+    side = F.broadcast(table) if known * 24 <= BROADCAST_BYTES else table
+    return edges.join(side, edges[row].eqNullSafe(side["_row"])).drop("_row")
+
+
+def spgemm(a: DataFrame, b: DataFrame | None = None, spec: BuildSpec = BuildSpec(), block_products: int = BLOCK_PRODUCTS) -> DataFrame:
+    """a(row, col, val) times b(row, col, val) -> (row, col, val); both are indexed once by the inner dimension. Without b: a times its transpose, by one index.
+
+    Rows of the result are cut into blocks. A list of b goes once, whole, to every block whose rows of a ask for it, and is multiplied and added up there:
+    lists move, products don't.
+    """
+    # inputs are read several times, the results of queries among them
+    a = _kept(a.select("row", "col", "val"))[0]
+    if b is None:
+        ia = build_binned(a, "col", None, spec, ["row", "val"])
+        ib, turned, n_products = ia, "row", a.where("col is not null").groupBy("col").agg(F.count("*").alias("n")).agg(F.sum(F.col("n") * F.col("n"))).first()[0] or 0
+    else:
+        b = _kept(b.select("row", "col", "val"))[0]
+        ia, ib = build_pair(a, b, "col", "row", spec=spec, payload_a=["row", "val"], payload_b=["col", "val"])
+        turned, n_products = "col", cobucket_count(a, b, "col", "row").first()[0]
+    blocks = max(1, min(-(-n_products // block_products), MOST_PARTS))
+    rows = _kept(_blocks(a, "row", blocks))[0]
+    left = _with_block(ia.edges, "row", rows, rows.count()).select(*PLACE, "key", "block", "row", "val")
+    asked = left.select(*PLACE, "key", "block").distinct()
+    right = ib.edges.select(*PLACE, "key", F.col(turned).alias("col"), F.col("val").alias("_w")).join(asked, [*PLACE, "key"])
+    own, sent = (df.repartitionById(blocks, F.col("block")) for df in (left.select("block", "key", "row", "val"), right.select("block", "key", "col", "_w")))
+    met = own.join(sent.hint("merge"), ["block", "key"])
+    if b is None:
+        met = met.where("col IS NULL OR row <= col")
+    summed = met.groupBy("block", "row", "col").agg(F.sum(F.col("val") * F.col("_w")).alias("val")).select("row", "col", "val")
+    if b is not None:
+        return summed
+    # the product is symmetric: one half is made, the other is its mirror
+    places = lambda *pairs: F.array(*[F.struct(F.col(x).alias("row"), F.col(y).alias("col")) for x, y in pairs])
+    both = F.when(F.col("row").eqNullSafe(F.col("col")), places(("row", "col"))).otherwise(places(("row", "col"), ("col", "row")))
+    return summed.select(F.explode(both).alias("_at"), "val").select("_at.row", "_at.col", "val")
 
 
 def count_triangles(edges: DataFrame, spec: BuildSpec = BuildSpec()) -> DataFrame:
