@@ -2,12 +2,10 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
-
 from pyspark.sql import DataFrame, functions as F
 
 from ..functions.hashing import bucket_of
-from ..plans.params import MOST_PARTS, BuildSpec, bucket_count
+from ..plans.params import MOST_PARTS, BuildSpec
 from .build import build_binned
 from .probe import BROADCAST_BYTES, PLACE, build_pair, cobucket_count
 
@@ -19,8 +17,8 @@ def spmv(matrix: DataFrame, vector: DataFrame, spec: BuildSpec = BuildSpec()) ->
     return met.groupBy("row").agg(F.sum(F.col("val") * F.col("x")).alias("y"))
 
 
-#: Products that one block of result rows holds, about.
-BLOCK_PRODUCTS = 1 << 22
+#: Products that one block of result rows holds, about, and edges of one block of a triangle count.
+BLOCK_PRODUCTS, BLOCK_EDGES = 1 << 22, 1 << 17
 
 
 def _kept(df: DataFrame) -> tuple[DataFrame, str]:
@@ -86,24 +84,35 @@ def spgemm(a: DataFrame, b: DataFrame | None = None, spec: BuildSpec = BuildSpec
     return summed.select(F.explode(both).alias("_at"), "val").select("_at.row", "_at.col", "val")
 
 
-def count_triangles(edges: DataFrame, spec: BuildSpec = BuildSpec()) -> DataFrame:
+def count_triangles(edges: DataFrame, spec: BuildSpec = BuildSpec(), block_edges: int = BLOCK_EDGES) -> DataFrame:
     """edges(src, dst) undirected -> one row n_triangles.
 
-    Each edge points from its end of lower (degree, id) to the other, so a hub's long list is never paired with itself.
+    Each edge points from its end of lower (degree, id) to the other, so a hub's long list is never paired with itself. Sources are cut into blocks;
+    a list of out-neighbours goes once, whole, to every block with an edge to its owner, and meets the lists of that block's sources there. No wedge moves.
     """
+    from ..sources.storage import forget
+
     plain = edges.where("src <> dst").select(F.least("src", "dst").alias("s"), F.greatest("src", "dst").alias("d")).distinct()
+    plain, plain_at = _kept(plain)
     ends = plain.select(F.col("s").alias("n")).unionAll(plain.select(F.col("d").alias("n")))
-    degree = ends.groupBy("n").agg(F.count("*").alias("deg"))
-    ds, dd = degree.select(F.col("n").alias("s"), F.col("deg").alias("ps")), degree.select(F.col("n").alias("d"), F.col("deg").alias("pd"))
-    ranked = plain.join(ds, "s").join(dd, "d")
+    degree, _ = _kept(ends.groupBy("n").agg(F.count("*").alias("deg")))
+    if (nodes := degree.count()) * 24 <= BROADCAST_BYTES:
+        degree = F.broadcast(degree)
+    ranked = plain.join(degree.select(F.col("n").alias("s"), F.col("deg").alias("ps")), "s").join(degree.select(F.col("n").alias("d"), F.col("deg").alias("pd")), "d")
     first = (F.col("ps") < F.col("pd")) | ((F.col("ps") == F.col("pd")) & (F.col("s") < F.col("d")))
-    out = ranked.select(F.when(first, F.col("s")).otherwise(F.col("d")).alias("u"), F.when(first, F.col("d")).otherwise(F.col("s")).alias("w"))
-    # lists of out-neighbours meet themselves in place; the wedges are then counted by their two ends before they meet the edges
-    lists = build_binned(out, "u", None, spec, ["w"]).edges.select(*PLACE, "key", "w")
-    wedges = lists.withColumnRenamed("w", "p").join(lists.withColumnRenamed("w", "q"), [*PLACE, "key"]).where("p < q").select("p", "q")
-    closed = plain.select(F.col("s").alias("p"), F.col("d").alias("q"))
-    sized = replace(spec, buckets=bucket_count(plain.count(), spec.load))
-    return cobucket_count(wedges, closed, ["p", "q"], ["p", "q"], sized).select(F.col("n_pairs").alias("n_triangles"))
+    out, _ = _kept(ranked.select(F.when(first, F.col("s")).otherwise(F.col("d")).alias("u"), F.when(first, F.col("d")).otherwise(F.col("s")).alias("w")))
+    forget(edges.sparkSession, plain_at)
+    blocks = max(1, min(-(-out.count() // block_edges), MOST_PARTS))
+    table, _ = _kept(_blocks(out, "u", blocks))
+    lists, into = build_pair(out, out, "u", "w", spec=spec, payload_a=["w"], payload_b=["u"])
+    edge = _with_block(into.edges, "u", table, nodes).select(*PLACE, "key", "block", "u")
+    asked = edge.select(*PLACE, "key", "block").distinct()
+    met = lists.edges.select(*PLACE, "key", F.col("w").alias("x")).join(asked, [*PLACE, "key"])
+    own, sent = (df.repartitionById(blocks, F.col("block")) for df in (edge.select("block", "key", "u"), met.select("block", "key", "x")))
+    near = own.groupBy("block", "u").agg(F.collect_list("key").alias("_near"))
+    far = sent.groupBy("block", "key").agg(F.collect_list("x").alias("_far"))
+    pairs = own.join(far.hint("merge"), ["block", "key"]).join(near.hint("shuffle_hash"), ["block", "u"])
+    return pairs.agg(F.coalesce(F.sum(F.size(F.array_intersect("_near", "_far"))), F.lit(0)).cast("bigint").alias("n_triangles"))
 
 
 def kmers(docs: DataFrame, doc_id: str, text: str, k: int = 12, block: int = 512) -> DataFrame:

@@ -1,5 +1,6 @@
-"""Sparse products cut into blocks: what moves are lists, not products."""
+"""Sparse products and triangle counts cut into blocks: what moves are lists, not products or wedges."""
 
+import itertools
 import random
 import re
 
@@ -42,3 +43,15 @@ def test_two_matrices_in_many_blocks(spark):
     exchanges = re.findall(r"Exchange (\w+)\(([^)]*)", got._jdf.queryExecution().executedPlan().toString())
     assert exchanges and not [at for kind, at in exchanges if kind == "hashpartitioning" and "row#" in at and "col#" in at]
 
+
+def test_triangles_in_many_blocks(spark):
+    rng = random.Random(6)
+    edges = {(rng.randrange(30), rng.randrange(30)) for _ in range(150)} | {(0, i) for i in range(30)}
+    plain = {tuple(sorted(e)) for e in edges if e[0] != e[1]}
+    want = sum((a, b) in plain and (b, c) in plain and (a, c) in plain for a, b, c in itertools.combinations(range(30), 3))
+    df = spark.createDataFrame([*edges, (None, 1), (2, None)], "src bigint, dst bigint")
+    got = apps.count_triangles(df, SPEC, block_edges=20)
+    assert got.first()[0] == want
+    # lists meet in their blocks: no exchange by the ends of a wedge
+    assert "hashpartitioning(p#" not in got._jdf.queryExecution().executedPlan().toString()
+    assert apps.count_triangles(df.where("false"), SPEC).first()[0] == 0
