@@ -64,6 +64,23 @@ def store_at(df: DataFrame, partition_by: list[str] | None = None) -> tuple[Data
     return spark.read.schema(T.StructType(fields)).parquet(path), path
 
 
+#: Bitmaps of row numbers of at most so many bytes are sent to every executor; a bitmap has 4,096 bytes.
+BITMAP_BYTES = 64 << 20
+
+
+def numbered(rows: DataFrame, number: str, chosen: DataFrame, chosen_number: str, most: int = BITMAP_BYTES) -> DataFrame:
+    """Rows whose number, given by monotonically_increasing_id, stands in chosen. They stay where they are: one bit per row goes to them (over `most` bytes: a join)."""
+    of = F.col(chosen_number)
+    bits = chosen.groupBy(F.bitmap_bucket_number(of).alias("_bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(of)).alias("_bits"))
+    bits = store(bits)
+    if bits.count() * 4096 > most:
+        return rows.join(chosen, rows[number] == chosen[chosen_number], "left_semi")
+    at = F.bitmap_bit_position(rows[number])
+    byte = F.conv(F.hex(F.substring(F.col("_bits"), F.floor(at / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    met = rows.join(F.broadcast(bits), F.bitmap_bucket_number(rows[number]) == F.col("_bucket"))
+    return met.where(byte.bitwiseAND(F.pow(F.lit(2), at % 8).cast("int")) != 0).select(*[rows[c] for c in rows.columns])
+
+
 def fresh(columns: list[str], name: str) -> str:
     """A column name that clashes with none of the given ones, in any case."""
     taken = {c.lower() for c in columns}

@@ -35,7 +35,7 @@ from pyspark.sql import DataFrame, functions as F, types as T
 
 from . import words as W
 from .components import Forest, connected
-from .shared import deal_tiles, forget, fresh, map_text, store, store_at
+from .shared import deal_tiles, forget, fresh, map_text, numbered, store, store_at
 
 BITS = 64
 
@@ -412,7 +412,7 @@ def similar_links(sets: DataFrame, texts: DataFrame, spec: Similarity, linked: D
     members, members_at = store_at(banded.join(groups, ["band", "key"]).select("band", "key", "anchor", "uid", "n"))
     # sets are large: only of texts that meet another one
     met = members.select(F.col("uid").alias("_u")).distinct()
-    whole = map_text(texts.join(met, texts["t"] == met["_u"], "left_semi"), "body", [T.StructField("shingles", T.BinaryType())], lambda t: whole_sets(t, spec), ["t"])
+    whole = map_text(numbered(texts, "t", met, "_u"), "body", [T.StructField("shingles", T.BinaryType())], lambda t: whole_sets(t, spec), ["t"])
     whole, whole_at = store_at(whole)
     near = _anchored(members, whole, spec)
     near = store(near.unionByName(linked) if linked is not None else near)
@@ -484,7 +484,7 @@ def one_per_group(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", w
     slim = prints.select("fp", "_set", ident, F.col(tag).alias("_t"))
     firsts = slim.join(named, (slim["fp"] == named["_fp"]) & (slim["_set"] == named["_name"]) & slim[ident].eqNullSafe(named["component_id"]))
     chosen = store(firsts.groupBy("_root").agg(F.min("_t").alias("_first")).select("_first"))
-    return prints.join(chosen, prints[tag] == chosen["_first"], "left_semi").select(*[F.col(at[c]).alias(c) for c in columns])
+    return numbered(prints, tag, chosen, "_first").select(*[F.col(at[c]).alias(c) for c in columns])
 
 
 def as_hex(fp):
