@@ -174,10 +174,11 @@ def count_triangles(edges: DataFrame, spec: BuildSpec = BuildSpec(), block_edges
         forget(spark, plain_at)
         sizes = lists.select("block", F.col("u").alias("w"), F.size("ws").alias("n"))
         own = {r["block"]: r["n"] for r in sizes.groupBy("block").agg(F.sum("n").alias("n")).collect()}  # at most one row per block, so below
-        n_edges, most = sum(own.values()), max(1, min(isqrt(blocks), MOST_GROUPED))
+        blocks = max(own, default=0) + 1
+        n_edges, most = sum(own.values()), min(isqrt(blocks), MOST_GROUPED)
         asked, asked_at = _kept(lists.select(F.col("block").alias("grp"), F.explode("ws").alias("w")).distinct())
         far, size = _asked_entries(asked, sizes), 1
-        if sum(far.values()) > (most - 1) * n_edges:
+        if most > 1 and sum(far.values()) > (most - 1) * n_edges:
             by_group, _ = _kept(asked.select(F.floor(F.col("grp") / most).cast("int").alias("grp"), "w").distinct())
             forget(spark, asked_at)
             asked, far, size = by_group, _asked_entries(by_group, sizes), most
